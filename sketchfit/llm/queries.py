@@ -20,6 +20,15 @@ def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages").select("page_id", "url"), URL_RULES).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from .decontaminate import contamination
+
+    found = contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
+
+
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_files import token_rows
 
@@ -44,9 +53,27 @@ SELECT p.page_id, host, path, b.rule AS rule, coalesce(b.verdict, 'allow') AS ve
 """
 
 
+LEAK_SQL = r"""
+WITH w(doc, k, pos, word) AS (
+  SELECT doc_id, k, unnest(range(len(ws))), unnest(ws) FROM (
+    SELECT doc_id, row_number() OVER () AS k, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM documents)),
+b AS (SELECT CAST(item_id AS VARCHAR) AS item, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS ws FROM benchmark),
+bw AS (SELECT item, unnest(range(greatest(len(ws) - 9, 1))) AS s, ws FROM b WHERE len(ws) > 0),
+win AS (SELECT item, list_aggregate(ws[s + 1 : least(s + 10, len(ws))], 'string_agg', ' ') AS phrase, least(10, len(ws)) AS n FROM bw),
+lens AS (SELECT DISTINCT n FROM win),
+g AS (SELECT k, doc, pos, n, string_agg(word, ' ') OVER (PARTITION BY k, n ORDER BY pos ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS p10, count(*) OVER (PARTITION BY k, n ORDER BY pos ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS c FROM w, lens WHERE n = 10),
+h AS (SELECT DISTINCT g.k, g.pos, win.item FROM g JOIN win ON g.p10 = win.phrase AND g.c = 10 AND win.n = 10),
+hp AS (SELECT k, count(DISTINCT pos + o) AS n_hit FROM h, range(10) t(o) GROUP BY k),
+hi AS (SELECT k, count(DISTINCT item) AS n_items, string_agg(DISTINCT item, ',' ORDER BY item) AS items FROM h GROUP BY k),
+d AS (SELECT row_number() OVER () AS k, doc_id, len(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')) AS n_words FROM documents)
+SELECT doc_id, n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items, sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM d LEFT JOIN hp USING (k) LEFT JOIN hi USING (k)
+"""
+
+
 def queries() -> dict[str, Query]:
     return {k: v for k, v in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_url_filters": URL_SQL.format(rules=", ".join(f"('{v}', '{r}')" for v, r in URL_RULES))}
+    return {"op2_url_filters": URL_SQL.format(rules=", ".join(f"('{v}', '{r}')" for v, r in URL_RULES)), "op8_decontaminate": LEAK_SQL}
