@@ -20,6 +20,12 @@ def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(table(spark, sf_dir, "pages").select("page_id", "url"), URL_RULES).select("page_id", "host", "path", "rule", "verdict")
 
 
+def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .near_duplicates import jaccard_components
+
+    return jaccard_components(table(spark, sf_dir, "documents"), n=3, num=90, den=100)
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pyspark.sql import functions as F
 
@@ -71,9 +77,22 @@ FROM d LEFT JOIN hp USING (k) LEFT JOIN hi USING (k)
 """
 
 
+NEAR_SQL = r"""
+WITH RECURSIVE d AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+s AS (SELECT doc_id, list_distinct([CAST(ws[i : i + least(3, len(ws)) - 1] AS VARCHAR) FOR i IN range(1, greatest(len(ws) - 2, 1) + 1)]) AS sh FROM d WHERE len(ws) > 0),
+f AS (SELECT doc_id, len(sh) AS n, unnest(sh) AS g FROM s),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, any_value(a.n) + any_value(b.n) AS sizes, count(*) AS i FROM f a JOIN f b ON a.g = b.g AND a.doc_id <> b.doc_id AND 10 * a.n >= 9 * b.n AND 10 * b.n >= 9 * a.n GROUP BY 1, 2),
+e AS (SELECT a, b FROM p WHERE 100 * i >= 90 * (sizes - i)),
+r(a, b) AS (SELECT a, b FROM e UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a)
+SELECT d.doc_id, CAST(coalesce(len(sh), 0) AS BIGINT) AS n_shingles, least(d.doc_id, coalesce(m, d.doc_id)) AS component_id
+FROM d LEFT JOIN s ON d.doc_id = s.doc_id LEFT JOIN (SELECT a, min(b) AS m FROM r GROUP BY a) c ON c.a = d.doc_id
+"""
+
+
 def queries() -> dict[str, Query]:
     return {k: v for k, v in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_url_filters": URL_SQL.format(rules=", ".join(f"('{v}', '{r}')" for v, r in URL_RULES)), "op8_decontaminate": LEAK_SQL}
+    return {"op2_url_filters": URL_SQL.format(rules=", ".join(f"('{v}', '{r}')" for v, r in URL_RULES)), "op4_ngram_jaccard": NEAR_SQL, "op8_decontaminate": LEAK_SQL}
