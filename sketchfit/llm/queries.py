@@ -14,6 +14,20 @@ Query = Callable[[SparkSession, str], DataFrame]
 URL_RULES = (("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/"))
 
 
+#: Target shares of tokens by domain for the mixing query.
+MIX_TARGETS = {"good": 0.9, "poor": 0.09, "toxic": 0.01}
+
+
+def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from .mixing import copies, document_rates, label_domains
+
+    rates, _ = document_rates(table(spark, sf_dir, "documents"), label_domains(table(spark, sf_dir, "labels")), MIX_TARGETS)
+    p = [F.col("p")[i].alias(f"p_{d}") for i, d in enumerate(MIX_TARGETS)]
+    return rates.select("doc_id", F.col("tokens").alias("n_tokens"), *p, "rate", copies(F.col("rate"), F.col("doc_id"), F.col("h")).alias("n_copies"))
+
+
 def op2_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .url_filters import filter_urls
 
@@ -90,8 +104,14 @@ FROM d LEFT JOIN s ON d.doc_id = s.doc_id LEFT JOIN (SELECT a, min(b) AS m FROM
 """
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Query]:
-    return {k: v for k, v in globals().items() if k.startswith("op") and k[2].isdigit()}
+    return {k: v for k, v in globals().items() if k.startswith("op") and k[2].isdigit()} | {"pipeline": pipeline}
 
 
 def oracle_sql() -> dict[str, str]:
