@@ -40,6 +40,17 @@ def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), n=3, num=90, den=100)
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from .pii import KINDS, personal_data
+
+    found = personal_data(table(spark, sf_dir, "documents"))
+    name = F.array(*[F.lit(k) for k in KINDS])
+    spans = F.array_join(F.transform("spans", lambda s: F.concat_ws(":", F.get(name, s["kind"]), s["start"].cast("string"), s["stop"].cast("string"))), ",")
+    return found.select("doc_id", *[F.col("n")[i].alias(f"n_{k}") for i, k in enumerate(KINDS[:4])], "base_sha256", spans.alias("spans"))
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pyspark.sql import functions as F
 
