@@ -31,6 +31,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 from .common import UPPER_TO_LOWER, docs_view, free_shuffles, stored
 from .components import components
+from .packed import parts_for, repeated
 
 U = np.uint64
 LEVEL = 1.3
@@ -160,67 +161,6 @@ def sets_of(docs: DataFrame, n: int) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def shared_buckets(reps: DataFrame, parts: int) -> DataFrame:
-    """(key, rid) of the keys that several sets hold. Keys travel packed, many in a row; a task holds each distinct key of its share once."""
-    packed_schema, out_schema = "part int, rids binary, keys binary", "key long, rid long"
-    packed_arrow, out_arrow = (to_arrow_schema(T._parse_datatype_string(x)) for x in (packed_schema, out_schema))
-
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def flush() -> pa.RecordBatch:
-            rids, keys = np.concatenate(held_rids), np.concatenate(held_keys)
-            part = (keys % U(parts)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
-            rids, keys, part = rids[order], keys[order], part[order]
-            cuts = np.flatnonzero(np.diff(part, prepend=-1))
-            ends = [*cuts[1:].tolist(), len(part)]
-            return pa.RecordBatch.from_arrays([pa.array(part[cuts], pa.int32()), pa.array([rids[a:b].tobytes() for a, b in zip(cuts, ends)], pa.binary()), pa.array([keys[a:b].tobytes() for a, b in zip(cuts, ends)], pa.binary())], schema=packed_arrow)
-
-        held_rids, held_keys, held = [], [], 0
-        for batch in batches:
-            for rid, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                keys = np.frombuffer(raw, dtype=U)
-                if len(keys):
-                    held_keys.append(keys)
-                    held_rids.append(np.full(len(keys), rid, dtype=np.int64))
-                    held += len(keys)
-                if held >= 1_500_000:
-                    yield flush()
-                    held_rids, held_keys, held = [], [], 0
-        if held:
-            yield flush()
-
-    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        first_keys, first_rids = np.zeros(0, dtype=U), np.zeros(0, dtype=np.int64)  # sorted distinct keys so far; rid -1: already told
-        wait_keys, wait_rids, waiting = [], [], 0
-
-        def settle() -> pa.RecordBatch | None:
-            nonlocal first_keys, first_rids
-            keys, rids = np.concatenate([first_keys, *wait_keys]), np.concatenate([first_rids, *wait_rids])
-            order = np.argsort(keys, kind="stable")
-            keys, rids = keys[order], rids[order]
-            begin = np.diff(keys, prepend=keys[:1] ^ U(1)) != 0
-            run = np.cumsum(begin) - 1
-            many = np.bincount(run)[run] > 1
-            told = many & (rids >= 0)
-            starts = np.flatnonzero(begin)
-            out = pa.RecordBatch.from_arrays([pa.array(keys[told].view(np.int64)), pa.array(rids[told])], schema=out_arrow)
-            first_keys, first_rids = keys[starts], np.where(many[starts], -1, rids[starts])
-            return out
-
-        for batch in batches:
-            for a, b in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                wait_rids.append(np.frombuffer(a, dtype=np.int64))
-                wait_keys.append(np.frombuffer(b, dtype=U))
-                waiting += len(wait_rids[-1])
-            if waiting >= max(2_000_000, len(first_keys) // 2):
-                yield settle()
-                wait_keys, wait_rids, waiting = [], [], 0
-        if waiting:
-            yield settle()
-
-    return reps.select("rid", "keys").mapInArrow(pack, packed_schema).repartition(parts, "part").mapInArrow(unpack, out_schema)
-
-
 BITS = 2048
 FANOUT = 8
 
@@ -316,9 +256,7 @@ def link_classes(docs: DataFrame, n: int, num: int, den: int, block_grams: int =
     reps = signatures(docs, n, num, den).where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("keys").alias("keys"))
     reps = stored(reps.withColumn("rid", F.monotonically_increasing_id()), "classes")
     free_shuffles(spark)
-    total = reps.select(F.sum(F.octet_length("keys") / 8)).first()[0] or 0
-    parts = int(max(int(spark.conf.get("spark.sql.shuffle.partitions")), total // partition_keys + 1))
-    buckets = stored(shared_buckets(reps, parts), "buckets")
+    buckets = stored(repeated(reps, ["rid"], parts_for(reps, "keys", partition_keys)), "buckets")
     free_shuffles(spark)
 
     # one earlier set for each set; ids of classes rise in no meaningful order, any choice is right

@@ -51,6 +51,15 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *[F.col("n")[i].alias(f"n_{k}") for i, k in enumerate(KINDS[:4])], "base_sha256", spans.alias("spans"))
 
 
+def op7_chunk_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pyspark.sql import functions as F
+
+    from .chunk_dedup import chunk_dedup
+
+    done = chunk_dedup(table(spark, sf_dir, "documents"))
+    return done.select("doc_id", "n_bytes", "n_dup_chunks", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pyspark.sql import functions as F
 
