@@ -2,16 +2,26 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession
 
-Query = Callable[[SparkSession, str], DataFrame]
+from .plans.registry import Query, Registry
+
+
+def registries() -> list[Registry]:
+    from .plans import relational
+
+    return [relational.R]
 
 
 def queries() -> dict[str, Query]:
-    return {}
+    return {k: v for r in registries() for k, v in r.queries.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: v for r in registries() for k, v in r.sql.items()}
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .workloads.moments import slice_query
+
+    return slice_query(spark, sf_dir)
