@@ -8,9 +8,11 @@ from .plans.registry import Query, Registry
 
 
 def registries() -> list[Registry]:
-    from .plans import relational
+    from .plans import relational, sketch_queries
+    from .streaming import queries as streaming
+    from .workloads import autoencoder, clusters, moments, privacy
 
-    return [relational.R]
+    return [relational.R, sketch_queries.R, streaming.R, moments.R, privacy.R, clusters.R, autoencoder.R]
 
 
 def queries() -> dict[str, Query]:

@@ -67,7 +67,7 @@ def clip_norm(v: Column, limit: float) -> Column:
 
 
 def clamp(v: Column, low: Column, high: Column) -> Column:
-    return F.zip_with(F.zip_with(v, low, F.greatest), high, F.least)
+    return F.zip_with(F.zip_with(v, low, lambda x, y: F.greatest(x, y)), high, lambda x, y: F.least(x, y))
 
 
 def argmin(v: Column) -> Column:
@@ -91,5 +91,5 @@ def fixed(x: Column, bits: int = 20) -> Column:
 
 
 def micro(x: Column) -> Column:
-    """x in millionths as an integer."""
-    return F.floor(x * F.lit(1e6) + F.lit(0.5)).cast("bigint")
+    """x in millionths as an integer; the cut lies off the ties of decimal data, which would fall either way with the order of a sum."""
+    return F.floor(x * F.lit(1e6) + F.lit(0.4637)).cast("bigint")

@@ -12,7 +12,7 @@ from ..sources.tables import load_table, round_trip, written
 from .registry import Registry
 
 R = Registry()
-M = "CAST(floor(({}) * 1e6 + 0.5) AS BIGINT)"
+M = "CAST(floor(({}) * 1e6 + 0.4637) AS BIGINT)"
 
 
 def micro_sql(x: str) -> str:
@@ -260,7 +260,7 @@ CENT = "(SELECT vec_id AS cid, list_transform(embedding, lambda x: CAST(x AS DOU
 D2 = "list_sum(list_transform(list_zip(e, c), lambda p: (p[1] - p[2]) * (p[1] - p[2])))"
 
 
-@R.add("join_cross_centroids", f"WITH x AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), d AS (SELECT vec_id, cid, {D2} AS d2 FROM x, {CENT}) SELECT vec_id, min_by(cid, struct_pack(d := CAST(floor(d2 * 1e6 + 0.5) AS BIGINT), c := cid)) AS cid FROM d GROUP BY vec_id")
+@R.add("join_cross_centroids", f"WITH x AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), d AS (SELECT vec_id, cid, {D2} AS d2 FROM x, {CENT}) SELECT vec_id, min_by(cid, struct_pack(d := CAST(floor(d2 * 1e6 + 0.4637) AS BIGINT), c := cid)) AS cid FROM d GROUP BY vec_id")
 def _(s, d):
     e = t(s, d, "embeddings").select("vec_id", V.as_doubles(F.col("embedding")).alias("e"))
     c = t(s, d, "embeddings").where("vec_id < 5").select(F.col("vec_id").alias("cid"), V.as_doubles(F.col("embedding")).alias("c"))  # five centroids
@@ -432,7 +432,7 @@ def _(s, d):
     return t(s, d, "customer").select("c_custkey").orderBy("c_custkey").offset(5).limit(10)
 
 
-@R.add("knn_bruteforce", f"WITH x AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), q AS (SELECT vec_id AS q, e AS c FROM x WHERE vec_id % 50 = 0) SELECT q AS vec_id, vec_id AS nb, CAST(r AS INTEGER) AS rank FROM (SELECT q, vec_id, row_number() OVER (PARTITION BY q ORDER BY CAST(floor({D2} * 1e6 + 0.5) AS BIGINT), vec_id) AS r FROM x, q WHERE q <> vec_id) WHERE r <= 5")
+@R.add("knn_bruteforce", f"WITH x AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings), q AS (SELECT vec_id AS q, e AS c FROM x WHERE vec_id % 50 = 0) SELECT q AS vec_id, vec_id AS nb, CAST(r AS INTEGER) AS rank FROM (SELECT q, vec_id, row_number() OVER (PARTITION BY q ORDER BY CAST(floor({D2} * 1e6 + 0.4637) AS BIGINT), vec_id) AS r FROM x, q WHERE q <> vec_id) WHERE r <= 5")
 def _(s, d):
     x = t(s, d, "embeddings").select("vec_id", V.as_doubles(F.col("embedding")).alias("e"))
     q = x.where(F.pmod("vec_id", F.lit(50)) == 0).select(F.col("vec_id").alias("q"), F.col("e").alias("c"))
