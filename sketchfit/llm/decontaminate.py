@@ -135,8 +135,8 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, window: int = 10, id_co
     """Whole rows of the documents without a hit."""
     view = docs_view(docs, id_col, text_col)
     _, hits = find_hits(view, items, window, **kw)
-    bad = hits.select("k1", "k2").distinct()
+    bad = hits.select(F.col("k1").alias("__b1"), F.col("k2").alias("__b2")).distinct()  # names that the documents' own columns cannot meet
     own = docs.columns
     keyed = docs.withColumns({"__k1": F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)), "__k2": F.xxhash64(F.col(text_col).cast("string"))})
     few = bad.count() <= kw.get("broadcast_words", 2_000_000)
-    return keyed.join(F.broadcast(bad) if few else bad, (F.col("__k1") == F.col("k1")) & (F.col("__k2") == F.col("k2")), "left_anti").select(*own)
+    return keyed.join(F.broadcast(bad) if few else bad, (F.col("__k1") == F.col("__b1")) & (F.col("__k2") == F.col("__b2")), "left_anti").select(*own)
