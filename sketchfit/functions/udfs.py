@@ -61,3 +61,29 @@ def register_all(spark: SparkSession, maps: dict[str, FeatureMap]) -> None:
                 yield i, float(w), [float(x) for x in c], float(got.loss)
 
     spark.udtf.register("decode_kmeans", DecodeKMeans)
+
+
+def predict_features(fm: FeatureMap, batch_size: int = 4096):
+    """The same map through the ML library's batch inference function: the model is made once in each worker."""
+    from pyspark.ml.functions import predict_batch_udf
+
+    def make():
+        return lambda x: fm.batch(x)
+
+    return predict_batch_udf(make, return_type=T.ArrayType(T.DoubleType()), batch_size=batch_size, input_tensor_shapes=[[fm.d]])
+
+
+def autoencoder_codes(df: DataFrame, ae, z: np.ndarray | None = None) -> DataFrame:
+    """code (bottleneck) and bits (reconstruction) of every row of features; z is the dataset's condition."""
+    schema = T.StructType([*df.schema.fields, T.StructField("code", T.ArrayType(T.DoubleType())), T.StructField("bits", T.ArrayType(T.IntegerType()))])
+
+    def run(pdfs: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in pdfs:
+            if not len(pdf):
+                yield pdf.assign(code=pd.Series(dtype=object), bits=pd.Series(dtype=object))
+                continue
+            x = np.stack(pdf["features"].to_numpy())
+            each = None if z is None else np.repeat(z[None], len(x), axis=0)
+            yield pdf.assign(code=list(ae.encode(x, each)), bits=list(ae.reconstruct(x, each).astype(np.int32)))
+
+    return df.mapInPandas(run, schema)

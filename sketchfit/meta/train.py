@@ -258,6 +258,53 @@ def train_unrolled_pair(datasets: list[np.ndarray], k: int, m: int, budget: int
     return pair
 
 
+def unrolled_gradient(x: np.ndarray, w: np.ndarray, theta: np.ndarray, steps: int, alpha: float) -> tuple[float, np.ndarray, float]:
+    """(loss, its gradient in W, largest norm met on the way back) of `steps` plain steps on the sketch distance of cos-sin features, then the distance of rows to the centroids.
+
+    Reverse mode through every inner step, second derivatives of the features included; the norm shows where the way back explodes.
+    """
+    k, n = len(theta), len(w)
+    y = x @ w.T
+    zc, zs = np.cos(y).mean(0), np.sin(y).mean(0)
+    dzc, dzs = -(np.sin(y).T @ x) / len(x), (np.cos(y).T @ x) / len(x)
+    states = []
+    for _ in range(steps):
+        u = theta @ w.T
+        c, s = np.cos(u), np.sin(u)
+        ec, es = c.mean(0) - zc, s.mean(0) - zs
+        a = -s * ec + c * es
+        states.append((theta, c, s, ec, es, a))
+        theta = theta - alpha * (2 / k) * a @ w
+    d2 = ((x[:, None] - theta[None]) ** 2).sum(-1)
+    near = d2.argmin(1)
+    v = np.zeros_like(theta)
+    np.add.at(v, near, 2 * (theta[near] - x) / len(x))
+    gw, top = np.zeros((n, x.shape[1])), float(np.linalg.norm(v))
+    for theta_t, c, s, ec, es, a in reversed(states):
+        p = (v @ w.T) * (2 / k)
+        pull_c, pull_s = (-p * s).sum(0), (p * c).sum(0)
+        gy = p * (-c * ec - s * es) - s / k * pull_c + c / k * pull_s
+        gw -= alpha * (gy.T @ theta_t + (2 / k) * a.T @ v - pull_c[:, None] * dzc - pull_s[:, None] * dzs)
+        v = v - alpha * gy @ w
+        top = max(top, float(np.linalg.norm(v)))
+    return float(d2.min(1).mean()), gw, top
+
+
+def train_unrolled_backprop(datasets: list[np.ndarray], k: int, m: int, steps: int = 20, alpha: float = 0.02, rounds: int = 60, rate: float = 0.02, seed: int = 0) -> tuple[UnrolledPair, list[tuple[float, float]]]:
+    """The gradient-trained alternative to the search: Adam on W. Returns the pair and (loss, largest norm on the way back) of every round."""
+    rng = np.random.Generator(np.random.Philox([seed, 5]))
+    d = datasets[0].shape[1]
+    w = 4 * rng.standard_normal((max(1, m // 2), d))
+    opt, log = Adam(rate), []
+    for _ in range(rounds):
+        x = datasets[rng.integers(len(datasets))]
+        loss, g, top = unrolled_gradient(x, w, np.clip(0.5 + 0.28 * rng.standard_normal((k, d)), 0, 1), steps, alpha)
+        log.append((loss, top))
+        size = np.linalg.norm(g)
+        opt.update({"w": w}, {"w": g if size < 10 else g * 10 / size})
+    return UnrolledPair(linear_act_map(w, "cos_sin"), steps, alpha, "sgd", 0.08, "uniform", [x for x, _ in log]), log
+
+
 # autoencoders ---------------------------------------------------------------------------------------------------------
 
 

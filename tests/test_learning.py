@@ -163,3 +163,30 @@ def test_adam_schedules():
             o.observe(1.0)
         assert p["w"][0] < 5
         assert o.current() <= 0.1
+
+
+def test_gradient_through_the_unrolled_steps():
+    x, _ = planted_mixture(2, 2, 60, 1)
+    w, th = np.random.default_rng(0).standard_normal((5, 2)), np.array([[0.3, 0.4], [0.6, 0.7]])
+    _, g, top = M.unrolled_gradient(x, w, th, 4, 0.05)
+    assert np.isfinite(top)
+    for i in np.ndindex(5, 2):
+        e = np.zeros_like(w)
+        e[i] = 1e-6
+        num = (M.unrolled_gradient(x, w + e, th, 4, 0.05)[0] - M.unrolled_gradient(x, w - e, th, 4, 0.05)[0]) / 2e-6
+        assert np.isclose(g[i], num, atol=1e-5)
+    pair, log = M.train_unrolled_backprop([x], 2, 20, rounds=20)
+    assert len(log) == 20 and pair.fm.m == 20
+
+
+def test_batch_inference_and_codes(spark):
+    from sketchfit.functions.udfs import autoencoder_codes, predict_features
+
+    fm = fourier_map(3, 8, 1.0)
+    x = np.random.default_rng(0).random((20, 3))
+    df = spark.createDataFrame([(r.tolist(),) for r in x], "features array<double>")
+    got = np.array([r.z for r in df.select(predict_features(fm)("features").alias("z")).collect()])
+    assert np.allclose(got, fm.batch(x))
+    ae = M.Autoencoder(3, 2, 4, "mean")
+    out = autoencoder_codes(df, ae, x.mean(0)).collect()
+    assert len(out) == 20 and len(out[0].code) == 2 and len(out[0].bits) == 3
