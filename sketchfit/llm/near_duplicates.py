@@ -18,7 +18,7 @@ from __future__ import annotations
 
 import hashlib
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -144,8 +144,8 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
 
 def sets_of(docs: DataFrame, n: int) -> DataFrame:
-    """sid, grams (array of longs) of documents."""
-    schema = "sid binary, grams array<long>"
+    """sid, grams (array of longs), bits (bitmap of the grams) of documents."""
+    schema = "sid binary, grams array<long>, bits binary"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -156,15 +156,21 @@ def sets_of(docs: DataFrame, n: int) -> DataFrame:
                 sids = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
                 offsets = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
                 flat = pa.array(np.concatenate(sets).view(np.int64) if sets else [], type=pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(sids, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), flat).cast(arrow.field(1).type)], schema=arrow)
+                yield pa.RecordBatch.from_arrays([pa.array(sids, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), flat).cast(arrow.field(1).type), pa.array([bitmap(s) for s in sets], pa.binary())], schema=arrow)
 
     return docs.mapInArrow(run, schema)
 
 
-BITS = 2048
+BITS = 4096
 FANOUT = 8
 
 
+def bitmap(s: np.ndarray) -> bytes:
+    bits = np.zeros(BITS, dtype=bool)
+    bits[(mix(s, 21) % U(BITS)).astype(np.int64)] = True
+    return np.packbits(bits).tobytes()
+
+
 class Node:
     __slots__ = ("low", "high", "some", "every", "comp", "below", "at")
 
@@ -172,14 +178,12 @@ class Node:
         self.low, self.high, self.some, self.every, self.comp, self.below, self.at = low, high, some, every, comp, below, at
 
 
-def signature_tree(sets: list[np.ndarray], comps: list[int]) -> Node:
+def signature_tree(places: list[int], sizes: list[int], bits: list[bytes], comps: list[int]) -> Node:
     """Leaves by size; inner nodes join up to FANOUT neighbours: size range, OR and AND of the bitmaps, the component if it is one."""
     nodes = []
-    for at in sorted(range(len(sets)), key=lambda i: (len(sets[i]), sets[i][0])):
-        bits = np.zeros(BITS, dtype=bool)
-        bits[(mix(sets[at], 21) % U(BITS)).astype(np.int64)] = True
-        word = int.from_bytes(np.packbits(bits).tobytes(), "big")
-        nodes.append(Node(len(sets[at]), len(sets[at]), word, word, comps[at], (), at))
+    for at in sorted(places, key=lambda i: (sizes[i], bits[i])):
+        word = int.from_bytes(bits[at], "big")
+        nodes.append(Node(sizes[at], sizes[at], word, word, comps[at], (), at))
     while len(nodes) > 1:
         up = []
         for i in range(0, len(nodes), FANOUT):
@@ -194,8 +198,11 @@ def signature_tree(sets: list[np.ndarray], comps: list[int]) -> Node:
     return nodes[0]
 
 
-def tree_links(sets: list[np.ndarray], comps: list[int], num: int, den: int, sides: list[int] | None = None) -> list[tuple[int, int]]:
-    """Pairs of places that join different components; enough of them to connect all that are similar. sides: only pairs across two blocks."""
+def tree_pairs(sizes: list[int], bits: list[bytes], comps: list[int], num: int, den: int, joins: Callable[[int, int], bool], sides: list[int] | None = None) -> None:
+    """Dual traversal: joins(i, j) is asked for every pair of places in different components whose bound allows Jaccard >= num/den.
+
+    Where it says yes, the two components are one from then on. sides: only pairs across two blocks.
+    """
     top = {c: c for c in comps}
 
     def find(c: int) -> int:
@@ -212,27 +219,11 @@ def tree_links(sets: list[np.ndarray], comps: list[int], num: int, den: int, sid
         overlap = min(a.high - (a.every & ~b.some).bit_count(), b.high - (b.every & ~a.some).bit_count())
         return (num + den) * overlap < num * (a.low + b.low)
 
-    links = []
-    if not sets:
-        return links
-    if sides is None:
-        root = signature_tree(sets, comps)
-        stack = [(root, root)]
-    else:
-        left, right = [i for i, s in enumerate(sides) if s == 0], [i for i, s in enumerate(sides) if s == 1]
-        if not left or not right:
-            return links
-        roots = []
-        for own in (left, right):
-            r = signature_tree([sets[i] for i in own], [comps[i] for i in own])
-            todo = [r]
-            while todo:
-                x = todo.pop()
-                todo.extend(x.below)
-                if x.at >= 0:
-                    x.at = own[x.at]
-            roots.append(r)
-        stack = [tuple(roots)]
+    groups = [[i for i in range(len(sizes)) if sides is None or sides[i] == side] for side in ((0,) if sides is None else (0, 1))]
+    if not all(groups):
+        return
+    roots = [signature_tree(g, sizes, bits, comps) for g in groups]
+    stack = [(roots[0], roots[-1])]
     while stack:
         a, b = stack.pop()
         if a is b:
@@ -240,17 +231,70 @@ def tree_links(sets: list[np.ndarray], comps: list[int], num: int, den: int, sid
                 stack.extend((x, y) for i, x in enumerate(a.below) for y in a.below[i:])
         elif not apart(a, b):
             if not a.below and not b.below:
-                if similar(sets[a.at], sets[b.at], num, den):
-                    links.append((a.at, b.at))
+                if joins(a.at, b.at):
                     top[find(a.comp)] = find(b.comp)
             elif a.below and (not b.below or a.high - a.low >= b.high - b.low):
                 stack.extend((x, b) for x in a.below)
             else:
                 stack.extend((a, y) for y in b.below)
+
+
+def tree_links(sets: list[np.ndarray], num: int, den: int) -> list[tuple[int, int]]:
+    """For sets in memory: links enough to connect all that are similar, each decided on the whole sets."""
+    links: list[tuple[int, int]] = []
+
+    def joins(i: int, j: int) -> bool:
+        if similar(sets[i], sets[j], num, den):
+            links.append((i, j))
+            return True
+        return False
+
+    if sets:
+        tree_pairs([len(s) for s in sets], [bitmap(s) for s in sets], list(range(len(sets))), num, den, joins)
     return links
 
 
-def link_classes(docs: DataFrame, n: int, num: int, den: int, block_grams: int = 4_000_000, partition_keys: int = 3_000_000) -> DataFrame:
+def proved(pairs: DataFrame, grams: DataFrame, num: int, den: int) -> DataFrame:
+    """The pairs (a, b) whose whole sets are similar."""
+    one = grams.select(F.col("rid").alias("a"), F.col("grams").alias("g1"))
+    two = grams.select(F.col("rid").alias("b"), F.col("grams").alias("g2"))
+    common = F.size(F.array_intersect("g1", "g2"))
+    return pairs.join(one, "a").join(two, "b").where(den * common >= num * (F.size("g1") + F.size("g2") - common)).select("a", "b")
+
+
+def open_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
+    """key, rid, comp of the buckets that hold several components, of buckets with the same sets one."""
+    named = buckets.join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
+    kinds = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("rid").alias("c"), F.expr("bit_xor(xxhash64(rid))").alias("x"), F.sum(F.shiftright(F.xxhash64("rid", F.lit(1)), 8)).alias("y"))
+    keys = kinds.where("lo < hi").groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key")
+    return named.join(keys, "key").select("key", "rid", "comp")
+
+
+def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block_sets: int, spanning: bool) -> DataFrame:
+    """(a, b) that the signature trees of the buckets cannot rule out; spanning: once two components have met in a bucket, no more of them there.
+
+    A bucket of more than block_sets sets is cut into blocks and each pair of blocks is a task's group.
+    """
+    cut = left.groupBy("key").agg(F.ceil(F.count("rid") / block_sets).cast("int").alias("m"))
+    block = F.pmod(F.xxhash64("rid"), F.col("m")).cast("int")
+    dealt = left.join(cut, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
+    dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rid", "comp").join(marks, "rid")
+
+    def search(keys: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        rid, out = pdf["rid"].tolist(), []
+
+        def joins(x: int, y: int) -> bool:
+            out.append((min(rid[x], rid[y]), max(rid[x], rid[y])))
+            return spanning
+
+        sides = None if keys[1] == keys[2] else [int(x == keys[2]) for x in pdf["block"]]
+        tree_pairs(pdf["n"].tolist(), pdf["bits"].tolist(), pdf["comp"].tolist(), num, den, joins, sides)
+        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
+
+    return dealt.groupBy("key", "i", "j").applyInPandas(search, "a long, b long").distinct()
+
+
+def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int = 4000, partition_keys: int = 3_000_000) -> DataFrame:
     """sid and component_id of every class of equal sets. docs: docs_view's form without null ids."""
     spark = docs.sparkSession
     reps = signatures(docs, n, num, den).where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("keys").alias("keys"))
@@ -268,36 +312,23 @@ def link_classes(docs: DataFrame, n: int, num: int, den: int, block_grams: int =
     few = some.count() <= 1_000_000
     wanted = some.select("doc_id").distinct()
     theirs = docs.join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi")
-    grams = sets_of(theirs.select("doc_id", "text"), n).where("sid is not null").join(some.select("sid", "rid"), "sid").groupBy("rid").agg(F.first("grams").alias("grams"))
-    grams = stored(grams, "grams")
-    pair = first.join(grams, "rid").withColumnsRenamed({"grams": "g1", "rid": "a"}).join(grams.withColumnRenamed("rid", "head").withColumnRenamed("grams", "g2"), "head")
-    common = F.size(F.array_intersect("g1", "g2"))
-    links = stored(pair.where(den * common >= num * (F.size("g1") + F.size("g2") - common)).select("a", F.col("head").alias("b")), "links")
+    grams = sets_of(theirs.select("doc_id", "text"), n).where("sid is not null").join(some.select("sid", "rid"), "sid").dropDuplicates(["rid"])
+    grams = stored(grams.select("rid", "grams", "bits"), "grams")
+    links = stored(proved(first.select(F.col("rid").alias("a"), F.col("head").alias("b")), grams, num, den), "links")
     free_shuffles(spark)
     labels = components(links)
 
-    # what is left: buckets with several components, equal ones once
-    named = buckets.join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
-    kinds = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("rid").alias("c"), F.expr("bit_xor(xxhash64(rid))").alias("x"), F.sum(F.shiftright(F.xxhash64("rid", F.lit(1)), 8)).alias("y"))
-    open_keys = kinds.where("lo < hi").groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key")
-    left = stored(named.join(open_keys, "key").select("key", "rid", "comp"), "open")
-    if left.limit(1).count():
-        sizes = left.join(grams.select("rid", F.size("grams").alias("n")), "rid")
-        cut = sizes.groupBy("key").agg(F.ceil(F.sum("n") / block_grams).cast("int").alias("m"))
-        block = F.pmod(F.xxhash64("rid"), F.col("m")).cast("int")
-        dealt = sizes.join(cut, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
-        dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rid", "comp").join(grams, "rid")
-
-        def search(keys: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-            sets = [np.sort(np.asarray(g, dtype=np.int64).view(U)) for g in pdf["grams"]]
-            sides = None if keys[1] == keys[2] else [int(x == keys[2]) for x in pdf["block"]]
-            got = tree_links(sets, pdf["comp"].tolist(), num, den, sides)
-            rid = pdf["rid"].tolist()
-            return pd.DataFrame({"a": [rid[a] for a, _ in got], "b": [rid[b] for _, b in got]}, dtype="int64")
-
-        more = stored(dealt.groupBy("key", "i", "j").applyInPandas(search, "a long, b long"), "links")
+    # what is left: first enough pairs to join what belongs together, then every pair that the bounds leave
+    marks = grams.select("rid", F.size("grams").alias("n"), "bits")
+    for spanning in (True, False):
+        left = stored(open_buckets(buckets, labels), "open")
+        if not left.limit(1).count():
+            break
+        more = stored(proved(stored(tree_candidates(left, marks, num, den, block_sets, spanning), "candidates"), grams, num, den), "links")
+        free_shuffles(spark)
         if more.limit(1).count():
-            labels = components(links.union(more))
+            links = stored(links.union(more), "links")
+            labels = components(links)
     classes = reps.select("sid", "doc_id", "rid").join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
     least = classes.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
     return stored(classes.join(least, "comp").select("sid", "component_id"), "groups")
