@@ -21,7 +21,6 @@ import math
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -280,18 +279,41 @@ def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block
     dealt = left.join(cut, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
     dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rid", "comp").join(marks, "rid")
 
-    def search(keys: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        rid, out = pdf["rid"].tolist(), []
+    schema = "a long, b long"
+    arrow = to_arrow_schema(T._parse_datatype_string(schema))
+
+    def pairs_of(group: tuple, rows: list[tuple]) -> list[tuple[int, int]]:
+        side, rid, comp, n, bits = zip(*rows)
+        out: list[tuple[int, int]] = []
 
         def joins(x: int, y: int) -> bool:
             out.append((min(rid[x], rid[y]), max(rid[x], rid[y])))
             return spanning
 
-        sides = None if keys[1] == keys[2] else [int(x == keys[2]) for x in pdf["block"]]
-        tree_pairs(pdf["n"].tolist(), pdf["bits"].tolist(), pdf["comp"].tolist(), num, den, joins, sides)
-        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
+        sides = None if group[1] == group[2] else [int(x == group[2]) for x in side]
+        tree_pairs(list(n), list(bits), list(comp), num, den, joins, sides)
+        return out
 
-    return dealt.groupBy("key", "i", "j").applyInPandas(search, "a long, b long").distinct()
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by group; one group of bounded size is held at a time."""
+        group, held, found = None, [], []
+        for batch in batches:
+            for key, i, j, *row in zip(*(c.to_pylist() for c in batch.columns)):
+                if (key, i, j) != group:
+                    if held:
+                        found += pairs_of(group, held)
+                    group, held = (key, i, j), []
+                held.append(tuple(row))
+            if len(found) > 100_000:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], schema=arrow)
+                found = []
+        if held:
+            found += pairs_of(group, held)
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], schema=arrow)
+
+    rows = dealt.select("key", "i", "j", "block", "rid", "comp", "n", "bits")
+    return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(search, schema).distinct()
 
 
 def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int = 4000, partition_keys: int = 3_000_000) -> DataFrame:
@@ -358,10 +380,13 @@ def signatures_only(docs: DataFrame, n: int) -> DataFrame:
 
 
 def drop_near_duplicates(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text", **kw) -> DataFrame:
-    """Whole rows: of each component the one with the least doc_id (of equal ids and rows, one) stays; documents without words all stay."""
+    """Whole rows: of each component the one with the least doc_id stays, of rows with one id and text one; documents without words stay.
+
+    Rows that share an id but not the text are told apart by the text: both stay where that id is the least of their component.
+    """
     comp = jaccard_components(docs, n, num, den, id_col, text_col, **kw)
     keep = comp.where(F.col("component_id").eqNullSafe(F.col("doc_id"))).select("doc_id", "n_shingles").distinct()
     own = docs.columns
     few = keep.select(F.col("doc_id").alias("__keep")).distinct()
     rows = docs.join(few, docs[id_col].cast("long").eqNullSafe(few["__keep"]), "left_semi")
-    return rows.dropDuplicates([id_col]).select(*own)
+    return rows.withColumn("__h", F.xxhash64(F.col(text_col).cast("string"))).dropDuplicates([id_col, "__h"]).select(*own)
