@@ -57,12 +57,15 @@ def gram_hashes(raw: np.ndarray, q: int) -> np.ndarray:
     return mix((sums[q:] - sums[:-q]) * down[: n - q + 1], 31)
 
 
-def anchors(raw: np.ndarray, length: int, q: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(place, least offset, largest offset, q-gram hash): the windows that start at place - offset have their anchor at place."""
+def anchors(raw: np.ndarray, length: int, q: int, segment: int = SEGMENT) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(place, least offset, largest offset, q-gram hash), each place once: the windows that start at place - offset have their anchor at place.
+
+    Texts are read `segment` windows at a time; an anchor with windows on both sides of a cut is one entry.
+    """
     out = []
     w = length - q + 1
-    for base in range(0, len(raw) - length + 1, SEGMENT):
-        part = raw[base : base + SEGMENT + length - 1]
+    for base in range(0, len(raw) - length + 1, segment):
+        part = raw[base : base + segment + length - 1]
         h = gram_hashes(part, q)
         best = (h & U(0xFFFFFFFFFFF00000)) | np.arange(len(h), dtype=U)  # the low 20 bits are the place: of equal ones the first
         span = 1
@@ -76,7 +79,9 @@ def anchors(raw: np.ndarray, length: int, q: int) -> tuple[np.ndarray, np.ndarra
         last = np.append(first[1:], len(at)) - 1
         place = at[first]
         out.append((place + base, place - last, place - first, h[place]))
-    return tuple(np.concatenate(x) for x in zip(*out))
+    place, low, high, h = (np.concatenate(x) for x in zip(*out))
+    first = np.flatnonzero(np.diff(place, prepend=-1))  # places never fall from window to window
+    return place[first], np.minimum.reduceat(low, first), np.maximum.reduceat(high, first), h[first]
 
 
 def digest128(data: bytes) -> tuple[int, int]:

@@ -121,6 +121,37 @@ def test_repeats_against_plain(spark, length, q, levels):
         assert (r.n_bytes, [(s.start, s.stop) for s in r.spans], bytes(r.kept)) == want[r.doc_id], r.doc_id
 
 
+@pytest.mark.parametrize("length,q", [(40, 12), (30, 30), (9, 1)])
+def test_anchors_do_not_depend_on_segments(length, q):
+    raw = np.random.default_rng(3).integers(97, 103, 5000).astype(np.uint8)
+    whole = suffix_dedup.anchors(raw, length, q)
+    assert len(np.unique(whole[0])) == len(whole[0])
+    for segment in (7, 64, 1000):
+        for a, b in zip(whole, suffix_dedup.anchors(raw, length, q, segment)):
+            assert np.array_equal(a, b)
+
+
+def test_repeats_across_segments(spark):
+    rng = np.random.default_rng(4)
+    make = lambda n: bytes(rng.integers(97, 123, n).astype(np.uint8)).decode()
+    cut, length = suffix_dedup.SEGMENT, 400
+    long, other, third = make(cut + 3000), make(900), make(cut + 200)
+    # a repeat over the first cut, one at the end of a text that ends just past a cut
+    texts = [long, other + long[cut - 700 : cut + 500] + other[::-1], third, make(50) + third[cut - 450 :] + make(50)]
+    seen: dict[bytes, int] = {}
+    windows = [[hashlib.blake2b(t[i : i + length].encode(), digest_size=16).digest() for i in range(len(t) - length + 1)] for t in texts]
+    for w in windows:
+        for x in w:
+            seen[x] = seen.get(x, 0) + 1
+    got = {r.doc_id: r for r in suffix_dedup.remove_repeats(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), length).collect()}
+    for k, (t, w) in enumerate(zip(texts, windows)):
+        gone = np.zeros(len(t), dtype=bool)
+        for i, x in enumerate(w):
+            if seen[x] > 1:
+                gone[i : i + length] = True
+        assert bytes(got[k].kept) == bytes(np.frombuffer(t.encode(), dtype=np.uint8)[~gone]), k
+
+
 def test_repeats_odd_rows(spark, odd, none):
     got = suffix_dedup.remove_repeats(odd).collect()
     assert len(got) == odd.count()
