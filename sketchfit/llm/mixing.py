@@ -2,8 +2,9 @@ r"""Mixing sources to target weights by soft membership.
 
 A multinomial logistic classifier, fitted on a bounded sample of labelled documents (`max_rows`, a parameter), gives each document a posterior
 over domains. Non-negative document rates r then minimise the weighted squared distance between the expected domain totals, the sum of r * tokens *
-posterior, and the targets. The minimiser runs projected gradient steps: a step needs only the K domain totals, which one distributed sum gives; each document's rate
-is replayed from the few K-vectors of all steps so far, so no state but those vectors lives outside the written posteriors.
+posterior, and the targets. Of all such rates those closest to 1 (in tokens) are taken: they are max(0, 1 - p * y) for one K-vector y, which Newton steps find. A step needs the
+K totals and the K x K moments of documents with a positive rate, which one distributed sum gives for several step lengths at once; no state but y lives outside the written posteriors.
+The steps go on until the targets are met or, where no rates meet them, the rates are optimal; it is an error if neither comes about.
 
 Defined results: null or empty text has no tokens, a posterior from its features (all zero) and a rate like any other; without labelled rows every posterior is uniform; an empty table
 gives an empty result; repeated rows each get a rate; a label without a document is ignored; other columns are carried by `mix` and never read.
@@ -11,6 +12,7 @@ gives an empty result; repeated rows each get a rate; a label without a document
 
 from __future__ import annotations
 
+import logging
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -141,24 +143,28 @@ def with_rates(post: DataFrame, moves: np.ndarray) -> DataFrame:
     return post.mapInArrow(run, schema)
 
 
-def totals(post: DataFrame, k: int, moves: np.ndarray, moments: bool = False) -> np.ndarray:
-    """Expected domain totals at the rates after `moves`; with moments also the K x K sum of tokens * p * p'."""
-    width = k + k * k * moments
-    schema = ", ".join(f"s{i} double" for i in range(width))
+def totals(post: DataFrame, k: int, points: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For the rates max(0, 1 - p * y) of each row y of `points`: sum of tokens * rate^2, expected domain totals, K x K sum of tokens * p * p' where the rate is positive."""
+    width = 1 + k + k * k
+    schema = "s array<double>"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        s = np.zeros(width)
+        s = np.zeros((len(points), width))
         for batch in batches:
             if batch.num_rows:
                 t, p = batch.column(0).to_numpy(zero_copy_only=False).astype(float), np.array(batch.column(1).to_pylist(), dtype=float)
-                s[:k] += (t * replay(p, moves)) @ p
-                if moments:
-                    s[k:] += (p.T @ (p * t[:, None])).ravel()
-        yield pa.RecordBatch.from_arrays([pa.array([x]) for x in s], schema=arrow)
+                for i, y in enumerate(points):
+                    r = replay(p, y[None])
+                    s[i, 0] += t @ (r * r)
+                    s[i, 1 : 1 + k] += (t * r) @ p
+                    s[i, 1 + k :] += (p.T @ (p * (t * (r > 0))[:, None])).ravel()
+        yield pa.RecordBatch.from_arrays([pa.array([s.ravel()], arrow.field(0).type)], schema=arrow)
 
-    row = post.select("tokens", "p").mapInArrow(run, schema).agg(*[F.sum(f"s{i}") for i in range(width)]).first()
-    return np.array([x or 0.0 for x in row])
+    each = post.select("tokens", "p").mapInArrow(run, schema)
+    row = each.agg(*[F.sum(F.col("s")[i]) for i in range(len(points) * width)]).first()
+    s = np.array([x or 0.0 for x in row]).reshape(len(points), width)
+    return s[:, 0], s[:, 1 : 1 + k], s[:, 1 + k :].reshape(-1, k, k)
 
 
 @dataclass(frozen=True)
@@ -170,32 +176,44 @@ class Fit:
     steps: int
 
 
+#: Weight of the distance from 1 against that from the targets, and the step lengths tried in one scan.
+NEAR_ONE = 1e-8
+LENGTHS = 0.5 ** np.arange(12)
+
+
 def fit_rates(post: DataFrame, weights: list[float], budget: float | None = None, steps: int = 60, tolerance: float = 1e-4) -> Fit:
-    """Projected gradient in the metric of the tokens, with each domain's residual scaled by its own second moment.
+    """Rates of least squared distance from the targets, with each domain's residual scaled by its own second moment.
 
     budget: tokens of the mix; by default as many as there are, or more where the domain that gains most would otherwise lose tokens.
+    tolerance: largest miss of a target as a share of the budget. Targets that no rates meet are approached as far as possible, with a warning.
     """
     share = np.asarray(weights, dtype=float) / np.sum(weights)
     k = len(share)
-    first = totals(post, k, np.zeros((0, k)), moments=True)
-    at, second = first[:k], first[k:].reshape(k, k)
+    y = np.zeros(k)
+    _, at, second = (x[0] for x in totals(post, k, y[None]))
     if budget is None:
         gains = int(np.argmax(share))
         budget = max(at.sum(), at[gains] / share[gains])
     if not at.sum():
         return Fit(np.zeros((0, k)), 0.0, np.zeros(k), at, 0)
     targets = share * budget
-    scale = 1 / np.maximum(np.diag(second), 1e-9 * at.sum())
-    root = np.sqrt(scale)
-    step = 1 / np.linalg.eigvalsh(second * np.outer(root, root))[-1]
-    moves: list[np.ndarray] = []
-    for n in range(steps):
-        gap = at - targets
-        if np.abs(gap).max() <= tolerance * budget:
+    pull = NEAR_ONE * np.maximum(np.diag(second), 1e-9 * at.sum())
+    for n in range(steps + 1):
+        slope = targets - at + pull * y
+        met = np.abs(at - targets).max() <= tolerance * budget
+        if met or np.abs(slope).max() <= 1e-3 * tolerance * budget:
             break
-        moves.append(step * scale * gap)
-        at = totals(post, k, np.array(moves))
-    return Fit(np.array(moves).reshape(-1, k), float(budget), targets, at, len(moves))
+        if n == steps:
+            raise RuntimeError(f"rates are not optimal after {steps} steps: totals {at.tolist()}, targets {targets.tolist()}")
+        root = 1 / np.sqrt(np.diag(second) + pull)
+        move = -root * np.linalg.solve((second + np.diag(pull)) * np.outer(root, root), root * slope)
+        points = y + LENGTHS[:, None] * move
+        squares, ats, seconds = totals(post, k, points)
+        best = int(np.argmin(squares / 2 + points @ targets + (points**2) @ pull / 2))
+        y, at, second = points[best], ats[best], seconds[best]
+    if not met:
+        logging.getLogger(__name__).warning("no rates meet the targets %s; totals are %s", targets.tolist(), at.tolist())
+    return Fit(y[None] if y.any() else np.zeros((0, k)), float(budget), targets, at, n)
 
 
 def document_rates(docs: DataFrame, labelled: DataFrame, weights: dict[str, float], id_col: str = "doc_id", text_col: str = "text", max_rows: int = 8000, **kw) -> tuple[DataFrame, Fit]:

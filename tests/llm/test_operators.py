@@ -430,6 +430,46 @@ def test_mixing_reaches_targets(spark, sf, odd, none):
     assert mixing.mix(none, labels, {"good": 0.9, "poor": 0.1}).count() == 0
 
 
+def plain_least_squares(a, c, turns=30_000):
+    """Distance of a @ r from c for the best r >= 0, by accelerated projected gradient with restarts."""
+    step = 1 / np.linalg.norm(a @ a.T, 2)
+    r = z = np.ones(a.shape[1])
+    q = 1.0
+    for _ in range(turns):
+        new = np.maximum(0, z - step * (a.T @ (a @ z - c)))
+        if (z - new) @ (new - r) > 0:
+            q = 1.0
+        more = (1 + math.sqrt(1 + 4 * q * q)) / 2
+        z, r, q = new + (q - 1) / more * (new - r), new, more
+    return np.linalg.norm(a @ r - c)
+
+
+@pytest.mark.parametrize("soft, poor, weights", [(1.0, 0.2, (0.9, 0.09, 0.01)), (0.5, 0.6, (0.9, 0.09, 0.01)), (2.0, 0.6, (0.98, 0.01, 0.01)), (0.1, 0.6, (0.9, 0.09, 0.01))])
+def test_rates_are_converged(spark, soft, poor, weights):
+    rng = np.random.default_rng(8)
+    n = 3000
+    kind = rng.choice(3, n, p=(0.95 - poor, poor, 0.05))
+    score = rng.standard_normal((n, 3)) * 0.7 + 2 * soft * np.eye(3)[kind]
+    p = np.exp(score) / np.exp(score).sum(1, keepdims=True)
+    t = rng.integers(20, 400, n)
+    fit = mixing.fit_rates(spark.createDataFrame([(int(a), b.tolist()) for a, b in zip(t, p)], "tokens long, p array<double>"), list(weights))
+    reached = (t * mixing.replay(p, fit.moves)) @ p
+    assert np.allclose(reached, fit.reached)
+    # the same distance by plain non-negative least squares
+    scale = np.sqrt(1 / ((t[:, None] * p * p).sum(0)))
+    best = plain_least_squares(scale[:, None] * (t[:, None] * p).T / np.sqrt(t), scale * fit.targets)
+    miss = np.linalg.norm(scale * (reached - fit.targets))
+    assert miss <= best + 1e-4 * fit.budget * np.linalg.norm(scale)
+    if best < 1e-6 * fit.budget * scale.min():
+        assert np.abs(reached - fit.targets).max() <= 1e-4 * fit.budget
+
+
+def test_unfinished_rates_are_an_error(spark):
+    post = spark.createDataFrame([(10, [0.6, 0.4]), (10, [0.4, 0.6]), (7, [0.9, 0.1])], "tokens long, p array<double>")
+    with pytest.raises(RuntimeError, match="not optimal"):
+        mixing.fit_rates(post, [0.1, 0.9], steps=0)
+
+
 def test_classifier_is_held_out_accurate(spark, sf):
     docs = mixing.docs_view(spark.read.parquet(sf.replace("sf0.001", "sf0.01") + "/documents.parquet"))
     labels = mixing.label_domains(spark.read.parquet(sf.replace("sf0.001", "sf0.01") + "/labels.parquet"))
