@@ -2,14 +2,14 @@ r"""Token-id files: one zstandard frame for each document, a document index and
 
 File layout (little-endian throughout):
   frames        one independent zstandard frame for each document, holding its ids as unsigned 32-bit integers
-  index frame   a skippable frame with the documents' ids as signed 64-bit integers, in frame order
+  index frame   a skippable frame with the documents' ids as signed 64-bit integers, in frame order, then a bit for each (most significant first) that marks a null id
   seek table    a skippable frame in the public seekable layout: for each frame its compressed size, its decompressed size
                 and the low 32 bits of the XXH64 of its decompressed bytes; then the number of frames, a descriptor byte and a magic number.
 A reader loads the tail, finds a document's frame by prefix sums, and decompresses only that frame, checking its checksum.
 
 Files are written under a temporary name and renamed when whole, one for each range of documents, so a lost executor's task is simply run again.
 
-Defined results: null or empty text gives the end id alone; equal doc_ids are kept, ordered by text; a very long text is one frame; an empty table gives no
+Defined results: null or empty text gives the end id alone; null ids come first; equal doc_ids are kept, ordered by a hash of the text, then the text; a very long text is one frame; an empty table gives no
 files and an empty result; only the id and text columns are read, so other columns may have any name.
 """
 
@@ -41,6 +41,7 @@ INDEX_MAGIC = 0x184D2A5D
 SEEK_MAGIC = 0x184D2A5E
 CHECKSUMS = 0x80
 END_MAGIC = 0x8F92EAB1
+NO_ID = -(1 << 63)  # what stands in the index for a null id, which its bit tells from this number
 
 _TOKENIZERS: dict[str, object] = {}
 
@@ -182,9 +183,9 @@ class Writer:
     def __init__(self, out, level: int = 3):
         self.out, self.coder = out, zstandard.ZstdCompressor(level=level, write_checksum=False)
         self.entries: list[tuple[int, int, int]] = []
-        self.ids: list[int] = []
+        self.ids: list[int | None] = []
 
-    def add(self, doc_id: int, ids: np.ndarray) -> None:
+    def add(self, doc_id: int | None, ids: np.ndarray) -> None:
         raw = ids.astype("<u4", copy=False).tobytes()
         frame = self.coder.compress(raw)
         self.out.write(frame)
@@ -192,7 +193,8 @@ class Writer:
         self.ids.append(doc_id)
 
     def close(self) -> None:
-        index = np.array(self.ids, dtype="<i8").tobytes()
+        none = np.array([k is None for k in self.ids], dtype=bool)
+        index = np.array([NO_ID if k is None else k for k in self.ids], dtype="<i8").tobytes() + np.packbits(none).tobytes()
         self.out.write(struct.pack("<II", INDEX_MAGIC, len(index)) + index)
         table = np.array(self.entries, dtype="<u4").tobytes()
         self.out.write(struct.pack("<II", SEEK_MAGIC, len(table) + 9) + table + struct.pack("<IBI", len(self.entries), CHECKSUMS, END_MAGIC))
@@ -214,9 +216,10 @@ class Reader:
         self.entries = np.frombuffer(self._at(start + 8, 12 * n), dtype="<u4").reshape(n, 3)
         self.starts = np.concatenate([[0], np.cumsum(self.entries[:, 0], dtype=np.int64)])
         magic, length = struct.unpack("<II", self._at(int(self.starts[-1]), 8))
-        if magic != INDEX_MAGIC or length != 8 * n:
+        if magic != INDEX_MAGIC or length != 8 * n + (n + 7) // 8:
             raise ValueError("the document index is damaged")
         self.doc_ids = np.frombuffer(self._at(int(self.starts[-1]) + 8, 8 * n), dtype="<i8")
+        self.none = np.unpackbits(np.frombuffer(self._at(int(self.starts[-1]) + 8 + 8 * n, (n + 7) // 8), dtype=np.uint8), count=n).astype(bool)
         self.decoder = zstandard.ZstdDecompressor()
 
     def _at(self, start: int, n: int) -> bytes:
@@ -230,9 +233,11 @@ class Reader:
             raise ValueError(f"checksum of frame {k} differs")
         return np.frombuffer(raw, dtype="<u4")
 
-    def of(self, doc_id: int) -> list[np.ndarray]:
-        lo, hi = np.searchsorted(self.doc_ids, [doc_id, doc_id + 1])
-        return [self.ids(int(k)) for k in range(lo, hi)]
+    def of(self, doc_id: int | None) -> list[np.ndarray]:
+        if doc_id is None:
+            return [self.ids(int(k)) for k in np.flatnonzero(self.none)]
+        lo, hi = np.searchsorted(self.doc_ids, doc_id, "left"), np.searchsorted(self.doc_ids, doc_id, "right")
+        return [self.ids(int(k)) for k in range(lo, hi) if not self.none[k]]
 
 
 def opened(uri: str) -> tuple[pafs.FileSystem, str]:
@@ -247,7 +252,7 @@ def write_tokens(docs: DataFrame, out: str, tokenizer_path: str | None = None, e
     """Writes the files in ascending order of doc_id and returns the manifest, one row for each file."""
     view = docs_view(docs, id_col, text_col).withColumn("text", F.coalesce("text", F.lit("")))
     args = [F.col("doc_id"), F.xxhash64("text")]
-    ranged = (view.repartitionByRange(partitions, *args) if partitions else view.repartitionByRange(*args)).sortWithinPartitions("doc_id", "text")
+    ranged = (view.repartitionByRange(partitions, *args) if partitions else view.repartitionByRange(*args)).sortWithinPartitions(*args, "text")
     ranged = ranged.select(F.spark_partition_id().alias("part"), "doc_id", "text")
     schema = to_arrow_schema(T._parse_datatype_string(MANIFEST))
 
@@ -303,10 +308,10 @@ def read_tokens(manifest: DataFrame, ids: bool = True) -> DataFrame:
                 with fs.open_input_file(path) as source:
                     reader = Reader(source, source.size())
                     rows, held = [], 0
-                    for k, doc_id in enumerate(reader.doc_ids.tolist()):
+                    for k, (doc_id, none) in enumerate(zip(reader.doc_ids.tolist(), reader.none.tolist())):
                         got = reader.ids(k)
                         raw = got.tobytes()
-                        rows.append({"doc_id": doc_id, "start": at, "n_tokens": len(got), "ids_crc32": zlib.crc32(raw), "ids": raw if ids else None})
+                        rows.append({"doc_id": None if none else doc_id, "start": at, "n_tokens": len(got), "ids_crc32": zlib.crc32(raw), "ids": raw if ids else None})
                         at += len(got)
                         held += len(raw) if ids else 64
                         if held > 4 << 20:
@@ -318,21 +323,25 @@ def read_tokens(manifest: DataFrame, ids: bool = True) -> DataFrame:
     return listed.mapInArrow(run, READ)
 
 
-def lookup(manifest: DataFrame, doc_ids: list[int]) -> dict[int, list[np.ndarray]]:
-    """The ids of a few documents, decompressing no other frame."""
-    wanted = sorted(set(doc_ids))
-    out: dict[int, list[np.ndarray]] = {k: [] for k in wanted}
-    for r in manifest.where(F.col("first_id") <= wanted[-1]).where(F.col("last_id") >= wanted[0]).orderBy("part").collect() if wanted else []:
+def lookup(manifest: DataFrame, doc_ids: list[int | None]) -> dict[int | None, list[np.ndarray]]:
+    """The ids of a few documents, decompressing no other frame; None asks for those without an id."""
+    out: dict[int | None, list[np.ndarray]] = {k: [] for k in doc_ids}
+    known = sorted(k for k in out if k is not None)
+    asked = F.lit(False)
+    if known:
+        asked = asked | (F.col("last_id") >= known[0]) & (F.coalesce("first_id", F.lit(NO_ID)) <= known[-1])
+    if None in out:
+        asked = asked | F.col("first_id").isNull()
+    for r in manifest.where(asked).orderBy("part").collect():
         fs, path = opened(r.file)
         with fs.open_input_file(path) as source:
             reader = Reader(source, source.size())
-            for k in wanted:
-                if r.first_id <= k <= r.last_id:
-                    out[k] += reader.of(k)
+            for k in out:
+                out[k] += reader.of(k)
     return out
 
 
-def to_bytes(items: list[tuple[int, np.ndarray]], level: int = 3) -> bytes:
+def to_bytes(items: list[tuple[int | None, np.ndarray]], level: int = 3) -> bytes:
     buffer = io.BytesIO()
     w = Writer(buffer, level)
     for key, ids in items:
