@@ -7,7 +7,7 @@ K totals and the K x K moments of documents with a positive rate, which one dist
 The steps go on until the targets are met or, where no rates meet them, the rates are optimal; it is an error if neither comes about.
 
 Defined results: null or empty text has no tokens, a posterior from its features (all zero) and a rate like any other; without labelled rows every posterior is uniform; an empty table
-gives an empty result; repeated rows each get a rate; a label without a document is ignored; other columns are carried by `mix` and never read.
+gives an empty result; repeated rows each get a rate; a label without a document is ignored; where an id has several labels or texts, the least one of each is learned from; other columns are carried by `mix` and never read.
 """
 
 from __future__ import annotations
@@ -35,6 +35,8 @@ def features(text: str | None, seen: dict[bytes, int]) -> tuple[int, np.ndarray,
     data = (text or "").encode("utf-8", "surrogatepass")
     words = data.translate(UPPER_TO_LOWER).split()
     kinds = set(words)
+    if len(seen) > 150_000:
+        seen.clear()
     for w in kinds.difference(seen):
         seen[w] = xxhash.xxh32_intdigest(w.strip(b".,;:!?\"'()")) % WIDTH
     n, size = len(words), max(len(data), 1)
@@ -67,9 +69,9 @@ FEATURES = "domain string, n long, words array<int>, dense array<double>"
 def fit_classifier(docs: DataFrame, labelled: DataFrame, domains: tuple[str, ...], max_rows: int = 8000, keep_words: int = 600, steps: int = 400, decay: float = 1e-4) -> Classifier:
     """docs: docs_view's form; labelled: doc_id, domain. Of more than max_rows labelled documents those with the least hashes of their ids are taken."""
     arrow = to_arrow_schema(T._parse_datatype_string(FEATURES))
-    known = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), "domain").where(F.col("domain").isin(*domains)).dropDuplicates(["doc_id"])
+    known = labelled.select(F.col("doc_id").cast("long").alias("doc_id"), "domain").where(F.col("domain").isin(*domains)).groupBy("doc_id").agg(F.min("domain").alias("domain"))
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    rows = docs.join(F.broadcast(picked), "doc_id").dropDuplicates(["doc_id"]).select("domain", "text")  # at most max_rows ids are broadcast
+    rows = docs.join(F.broadcast(picked), "doc_id").groupBy("doc_id", "domain").agg(F.min("text").alias("text")).select("domain", "text")  # at most max_rows ids are broadcast
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
