@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .common import UPPER_TO_LOWER, docs_view, free_shuffles, scratch, stored
+from .common import UPPER_TO_LOWER, docs_view, scratch, stored
 from .near_duplicates import mix
 from .token_files import opened
 
@@ -149,6 +149,8 @@ def read_chunks(docs: DataFrame, folder: str, parts: int, held_out: Callable[[in
         for batch in batches:
             for doc_id, text in zip(*(c.to_pylist() for c in batch.columns)):
                 words = (text or "").encode("utf-8", "surrogatepass").translate(UPPER_TO_LOWER).split()
+                if len(seen) > 150_000:
+                    seen.clear()
                 for w in set(words).difference(seen):
                     seen[w] = xxhash.xxh64_intdigest(w)
                 held.append((doc_id, held_out(doc_id), np.append(np.fromiter(map(seen.__getitem__, words), dtype=U, count=len(words)), END)))
@@ -309,12 +311,10 @@ def katz_scores(docs: DataFrame, held_out: Callable[[int | None], bool] = hashed
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), n_bytes // 9 // part_pairs + 1)
     folder = scratch(spark, "chunks")
     answers = stored(add_counts(read_chunks(view, folder, parts, held_out, chunk_tokens)), "answers")
-    free_shuffles(spark)
     per_kind = answers.where("size(stats) > 0").groupBy("kind").agg(*[F.sum(F.col("stats")[i]).alias(f"s{i}") for i in range(TOP + 3)]).collect()
     if not per_kind:
         return spark.createDataFrame([], SCORES)
     stats = {r.kind: list(r)[1:] for r in per_kind}
     model = Model(stats[1], stats[2])
     weights = stored(backoff_weights(context_mass(answers, folder, parts, model)), "weights")
-    free_shuffles(spark)
     return scores(answers.select("kind", "part", "chunk", "counts").union(weights), folder, parts, model)
