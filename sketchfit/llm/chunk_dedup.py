@@ -1,18 +1,18 @@
 r"""Substring deduplication by content-defined chunks.
 
 A gear hash over the last 16 bytes marks cut candidates, so cuts depend on content alone and the chunks behind an insertion are found again. Chunks have a least and a largest size, and
-never cut a UTF-8 character. Chunks with equal 128-bit digests are one; the occurrence in the least document (then the first place) stays, the others go where they form a run
-of at least `min_run` bytes of removable chunks, so a chance repeat of a few words stays.
+never cut a UTF-8 character. Chunks with equal 128-bit digests are one; the occurrence in the least document (id, then hash of the text, then place) stays, the others go where they form a
+run of at least `min_run` bytes of removable chunks, so a chance repeat of a few words stays.
 
-Defined results: null or empty text has no chunks; equal rows are copies of each other: of rows with one id and text all but none lose bytes to themselves (they share their places), other
-documents' copies are removed; only id and text are read; an empty table gives an empty result.
+Defined results: null or empty text has no chunks; of rows with one id and text, null ids among them, one is judged as above and every other one is a copy whose chunks all go; null ids sort
+first; only id and text are read; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import hashlib
 from bisect import bisect_left
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .common import docs_view, free_shuffles, stored
-from .packed import repeated
+from .common import docs_view, stored, with_totals
+from .packed import Batches, repeated
 
 MASK = 0xF800  # five bits that depend on the last 16 bytes
 NO_ID = -(1 << 63)
@@ -65,60 +65,69 @@ def cuts(data: bytes, least: int = 32, most: int = 128) -> list[int]:
     return out
 
 
-CHUNKS = "doc_id long, n long, keys binary, d2 binary, place binary"
+CHUNKS = "keys binary, doc_id long, k2 long, d2 binary, place binary"
 
 
-def chunk_rows(docs: DataFrame, least: int, most: int) -> DataFrame:
-    """docs: doc_id, k2, text. place: start (32 bits), size (12 bits), 20 bits of the text's hash."""
+def chunk_rows(least: int, most: int) -> Callable[[Batches], Batches]:
+    """From doc_id, k2, text the chunks of each document. place: start (32 bits), size (12 bits)."""
     arrow = to_arrow_schema(T._parse_datatype_string(CHUNKS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh3_128_digest
         for batch in batches:
-            rows = []
-            for doc_id, k2, text in zip(*(c.to_pylist() for c in batch.columns)):
-                data = text.encode("utf-8", "surrogatepass")
-                ends = cuts(data, least, most)
-                begins = [0, *ends[:-1]] if ends else []
-                both = np.frombuffer(b"".join([digest(data[a:b]) for a, b in zip(begins, ends)]), dtype=">u8").reshape(-1, 2).astype(np.uint64)
-                a, b = np.array(begins, dtype=np.int64), np.array(ends, dtype=np.int64)
-                place = a << 32 | (b - a) << 20 | (k2 & 0xFFFFF)
-                rows.append((doc_id, len(ends), both[:, 0].tobytes(), both[:, 1].tobytes(), place.tobytes()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)] if rows else [pa.array([], type=f.type) for f in arrow], schema=arrow)
+            for lo in range(0, batch.num_rows, 500):
+                rows = []
+                for doc_id, k2, text in zip(*(c.slice(lo, 500).to_pylist() for c in batch.columns)):
+                    data = text.encode("utf-8", "surrogatepass")
+                    ends = cuts(data, least, most)
+                    begins = [0, *ends[:-1]] if ends else []
+                    both = np.frombuffer(b"".join([digest(data[a:b]) for a, b in zip(begins, ends)]), dtype=">u8").reshape(-1, 2).astype(np.uint64)
+                    a, b = np.array(begins, dtype=np.int64), np.array(ends, dtype=np.int64)
+                    rows.append((both[:, 0].tobytes(), doc_id, k2, both[:, 1].tobytes(), (a << 12 | (b - a)).tobytes()))
+                yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)
 
-    return docs.mapInArrow(run, CHUNKS)
+    return run
 
 
 def removable(docs: DataFrame, least: int, most: int) -> DataFrame:
-    """doc_id, h (20 bits), spans: array of (start, stop, first) of the chunks that occur elsewhere; first: this is the place that stays."""
+    """doc_id, k2, spans: array of (start, stop, first) of the chunks that occur elsewhere; first: this is the place that stays."""
     spark = docs.sparkSession
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), int((docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // (3_000_000 * least)) + 1)
-    dups = stored(repeated(chunk_rows(docs, least, most), ["doc_id", "d2", "place"], parts), "chunks")
-    free_shuffles(spark)
-    heads = dups.groupBy("key", "d2").agg(F.min(F.struct("doc_id", "place")).alias("head"), F.count("place").alias("c"))
-    told = dups.join(heads.where("c > 1"), ["key", "d2"])
-    here = F.struct("doc_id", "place")
-    start, size = F.shiftright("place", 32), F.shiftright("place", 20).bitwiseAND(0xFFF)
-    span = F.struct(start.cast("int").alias("start"), (start + size).cast("int").alias("stop"), (here == F.col("head")).alias("first"))
-    return told.groupBy("doc_id", F.col("place").bitwiseAND(0xFFFFF).alias("h")).agg(F.collect_set(span).alias("spans"))
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), int((docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // (750_000 * least)) + 1)
+    dups = stored(repeated(docs, ["doc_id", "k2", "d2", "place"], parts, chunk_rows(least, most)), "chunks")
+    heads = dups.groupBy("key", "d2").agg(F.min(F.struct("doc_id", "k2", "place")).alias("head"), F.count("place").alias("c")).where("c > 1")
+    told = with_totals(dups, stored(heads, "heads"), ["key", "d2"])
+    here = F.struct("doc_id", "k2", "place")
+    start = F.shiftright("place", 12)
+    span = F.struct(start.cast("int").alias("start"), (start + F.col("place").bitwiseAND(0xFFF)).cast("int").alias("stop"), (here == F.col("head")).alias("first"))
+    return told.groupBy("doc_id", "k2").agg(F.collect_set(span).alias("spans"))
 
 
 DONE = "n_bytes long, n_dup_chunks long, n_removed long, spans array<struct<start:int,stop:int>>, kept binary"
 
 
-def chunk_dedup(docs: DataFrame, least: int = 32, most: int = 128, min_run: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def chunk_dedup(docs: DataFrame, least: int = 32, most: int = 128, min_run: int = 64, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 1_000_000) -> DataFrame:
     """doc_id, n_bytes, n_dup_chunks, n_removed, spans (removed runs), kept (remaining bytes)."""
     view = docs_view(docs, id_col, text_col).select(F.coalesce("doc_id", F.lit(NO_ID)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("k2", F.xxhash64("text"))
     found = stored(removable(view.select("doc_id", "k2", "text"), least, most), "removable")
-    free_shuffles(view.sparkSession)
     schema = f"doc_id long, {DONE}"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
-    rows = view.withColumn("h", F.col("k2").bitwiseAND(0xFFFFF)).join(found, ["doc_id", "h"], "left").select("doc_id", "text", "spans")
 
-    def each(doc_id, text, spans):
+    # rows with one id and text: one of each is the first, which only a written table can tell for good
+    twins = stored(view.groupBy("doc_id", "k2").agg(F.count("text").alias("c")).where("c > 1"), "twins")
+    if twins.limit(1).count():
+        twin = stored(with_totals(view, twins, ["doc_id", "k2"]).select("doc_id", "k2", "text", F.monotonically_increasing_id().alias("row")), "copies")
+        firsts = stored(twin.groupBy("doc_id", "k2").agg(F.min("row").alias("least"), F.count("row").alias("c")), "firsts")
+        few = twins.count() <= broadcast_rows
+        view = view.join(F.broadcast(twins) if few else twins, ["doc_id", "k2"], "left_anti").select("doc_id", "k2", "text", F.lit(False).alias("copy"))
+        view = view.unionByName(with_totals(twin, firsts, ["doc_id", "k2"]).select("doc_id", "k2", "text", (F.col("row") > F.col("least")).alias("copy")))
+    else:
+        view = view.withColumn("copy", F.lit(False))
+    rows = view.join(found, ["doc_id", "k2"], "left").select("doc_id", "text", "copy", "spans")
+
+    def each(doc_id, text, copy, spans):
         data = text.encode("utf-8", "surrogatepass")
         runs: list[list[int]] = []
-        for s in sorted((x["start"], x["stop"]) for x in spans or () if not x["first"]):
+        for s in sorted((x["start"], x["stop"]) for x in spans or () if copy or not x["first"]):
             if runs and runs[-1][1] == s[0]:
                 runs[-1][1] = s[1]
             else:

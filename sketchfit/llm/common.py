@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -21,12 +22,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or where it is unset (tests) a temporary one."""
+    """The folder that driver and executors share: spark.checkpoint.dir; where it is unset, a temporary one, on a single machine only."""
     sc = spark.sparkContext
     where = spark.conf.get("spark.checkpoint.dir", None)
     if where is None:
         held = sc._jsc.sc().getCheckpointDir()
-        where = held.get() if held.isDefined() else tempfile.mkdtemp(prefix="sketchfit-")
+        if held.isDefined():
+            where = held.get()
+        elif re.fullmatch(r"local(\[.*\])?", sc.master):
+            where = tempfile.mkdtemp(prefix="sketchfit-")
+        else:
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(where)
     return where.rstrip("/")
@@ -40,31 +46,55 @@ def scratch(spark: SparkSession, kind: str) -> str:
     return f"{base}/{kind}-{uuid.uuid4().hex}"
 
 
+#: With this setting Spark removes a plan's shuffle files as its execution ends; a written table needs them no more.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def stored(df: DataFrame, kind: str, **options: str) -> DataFrame:
     """Write df once below the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     path = scratch(spark, kind)
-    writer = df.write.option("compression", "zstd")
-    for k, v in options.items():
-        writer = writer.option(k, v)
-    writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release(spark: SparkSession, *paths: str) -> None:
-    """Delete scratch folders that no later step reads."""
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    for path in paths:
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(conf).delete(p, True)
-
-
-def free_shuffles(spark: SparkSession) -> None:
-    """Let the driver drop the shuffle files of finished, unreferenced plans."""
-    import gc
-
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        writer = df.write.option("compression", "zstd")
+        for k, v in options.items():
+            writer = writer.option(k, v)
+        writer.parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(CLEANUP)
+        else:
+            spark.conf.set(CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def release(*tables: DataFrame) -> None:
+    """Delete the files of stored() tables that no later step reads."""
+    for df in tables:
+        spark = df.sparkSession
+        p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(df.stored_at)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
+#: A key is hot beyond this many rows, or a hundred-thousandth of all: so there are at most 100,000 hot keys, whatever the input.
+HOT_ROWS, HOT_SHARE = 1000, 100_000
+
+
+def with_totals(df: DataFrame, totals: DataFrame, keys: list[str], count: str = "c") -> DataFrame:
+    """df joined with totals (one row for each key; `count`: the rows that df has of it), without bringing the rows of a hot key into one task.
+
+    Hot keys are broadcast, of which there are at most HOT_SHARE; the others meet in a shuffle.
+    """
+    n = totals.agg(F.sum(count)).first()[0] or 0
+    limit = max(HOT_ROWS, n // HOT_SHARE)
+    hot = totals.where(F.col(count) > limit)
+    if not hot.limit(1).count():
+        return df.join(totals, keys)
+    cold = df.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(totals.where(F.col(count) <= limit), keys)
+    return cold.unionByName(df.join(F.broadcast(hot), keys))
 
 
 def docs_view(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

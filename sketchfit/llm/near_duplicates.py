@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .common import UPPER_TO_LOWER, docs_view, free_shuffles, stored
+from .common import UPPER_TO_LOWER, docs_view, release, stored, with_totals
 from .components import components
 from .packed import parts_for, repeated
 
@@ -46,12 +46,15 @@ def mix(x: np.ndarray, salt: int) -> np.ndarray:
 
 
 class WordHashes:
-    """64-bit hashes of words, remembered for one batch."""
+    """64-bit hashes of words; a bounded number is remembered, besides those of the text at hand."""
 
-    def __init__(self):
+    def __init__(self, most: int = 150_000):
         self.seen: dict[bytes, int] = {}
+        self.most = most
 
     def of(self, words: list[bytes]) -> np.ndarray:
+        if len(self.seen) > self.most:
+            self.seen = {}
         seen = self.seen
         for w in set(words).difference(seen):
             seen[w] = xxhash.xxh64_intdigest(w)
@@ -132,12 +135,14 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            hashes, rows = WordHashes(), []
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                s = shingle_set(text, n, hashes)
-                sid = hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None
-                rows.append((doc_id, len(s), sid, part_keys(s, num, den).tobytes()))
-            yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)] if rows else [pa.array([], type=f.type) for f in arrow], schema=arrow)
+            hashes = WordHashes()
+            for lo in range(0, batch.num_rows, 1000):
+                rows = []
+                for doc_id, text in zip(*(c.slice(lo, 1000).to_pylist() for c in batch.columns[:2])):
+                    s = shingle_set(text, n, hashes)
+                    sid = hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None
+                    rows.append((doc_id, len(s), sid, part_keys(s, num, den).tobytes()))
+                yield pa.RecordBatch.from_arrays([pa.array(c, type=f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)
 
     return docs.mapInArrow(run, SETS)
 
@@ -261,33 +266,55 @@ def proved(pairs: DataFrame, grams: DataFrame, num: int, den: int) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").where(den * common >= num * (F.size("g1") + F.size("g2") - common)).select("a", "b")
 
 
+def proved_in_turns(pairs: DataFrame, grams: DataFrame, links: DataFrame, labels: DataFrame, num: int, den: int) -> tuple[DataFrame, DataFrame]:
+    """(links, labels) with those of the pairs (a, b, cost) added. The sets of all pairs may be far more than the sets themselves: each turn moves about as much as
+    these are, and pairs that an earlier turn's links have joined need no proof."""
+    moved, whole = pairs.agg(F.sum("cost")).first()[0] or 0, grams.agg(F.sum(F.size("grams"))).first()[0] or 1
+    turns = max(1, -(-moved // whole))
+    turn = lambda c: F.pmod(F.xxhash64(c), F.lit(turns))
+    for t in range(turns):
+        mine = pairs.where(turn("a") == t).select("a", "b")
+        if t:
+            comp = labels.select("id", "comp")
+            mine = mine.join(comp.toDF("a", "ca"), "a", "left").join(comp.toDF("b", "cb"), "b", "left").where(~F.coalesce(F.col("ca") == F.col("cb"), F.lit(False))).select("a", "b")
+        more = stored(proved(mine, grams, num, den), "links")
+        if more.limit(1).count():
+            old = links
+            links = stored(links.union(more), "links")
+            release(old)
+            labels = components(links)
+        release(more)
+    return links, labels
+
+
 def open_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
     """key, rid, comp of the buckets that hold several components, of buckets with the same sets one."""
     named = buckets.join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
+    named = stored(named, "named")
     kinds = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("rid").alias("c"), F.expr("bit_xor(xxhash64(rid))").alias("x"), F.sum(F.shiftright(F.xxhash64("rid", F.lit(1)), 8)).alias("y"))
-    keys = kinds.where("lo < hi").groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key")
-    return named.join(keys, "key").select("key", "rid", "comp")
+    keys = stored(kinds.where("lo < hi").groupBy("c", "x", "y").agg(F.min("key").alias("key")).select("key", "c"), "keys")
+    return with_totals(named, keys, ["key"]).select("key", "rid", "comp")
 
 
 def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block_sets: int, spanning: bool) -> DataFrame:
-    """(a, b) that the signature trees of the buckets cannot rule out; spanning: once two components have met in a bucket, no more of them there.
+    """(a, b, cost: summed sizes) that the signature trees of the buckets cannot rule out; spanning: once two components have met in a bucket, no more of them there.
 
     A bucket of more than block_sets sets is cut into blocks and each pair of blocks is a task's group.
     """
-    cut = left.groupBy("key").agg(F.ceil(F.count("rid") / block_sets).cast("int").alias("m"))
+    cut = left.groupBy("key").agg(F.count("rid").alias("c")).withColumn("m", F.ceil(F.col("c") / block_sets).cast("int"))
     block = F.pmod(F.xxhash64("rid"), F.col("m")).cast("int")
-    dealt = left.join(cut, "key").withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
+    dealt = with_totals(left, cut, ["key"]).withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
     dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rid", "comp").join(marks, "rid")
 
-    schema = "a long, b long"
+    schema = "a long, b long, cost long"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
 
-    def pairs_of(group: tuple, rows: list[tuple]) -> list[tuple[int, int]]:
+    def pairs_of(group: tuple, rows: list[tuple]) -> list[tuple[int, int, int]]:
         side, rid, comp, n, bits = zip(*rows)
-        out: list[tuple[int, int]] = []
+        out: list[tuple[int, int, int]] = []
 
         def joins(x: int, y: int) -> bool:
-            out.append((min(rid[x], rid[y]), max(rid[x], rid[y])))
+            out.append((min(rid[x], rid[y]), max(rid[x], rid[y]), n[x] + n[y]))
             return spanning
 
         sides = None if group[1] == group[2] else [int(x == group[2]) for x in side]
@@ -316,18 +343,20 @@ def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block
     return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(search, schema).distinct()
 
 
-def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int = 4000, partition_keys: int = 3_000_000) -> DataFrame:
-    """sid and component_id of every class of equal sets. docs: docs_view's form without null ids."""
-    spark = docs.sparkSession
-    reps = signatures(docs, n, num, den).where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("keys").alias("keys"))
-    reps = stored(reps.withColumn("rid", F.monotonically_increasing_id()), "classes")
-    free_shuffles(spark)
-    buckets = stored(repeated(reps, ["rid"], parts_for(reps, "keys", partition_keys)), "buckets")
-    free_shuffles(spark)
+def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int = 4000, partition_keys: int = 750_000) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, n, sid of every row; sid and component_id of every class of equal sets). docs: docs_view's form without null ids."""
+    signed = stored(signatures(docs, n, num, den), "signatures")
+    keyed = signed.where("sid is not null").groupBy("sid").agg(F.min("doc_id").alias("doc_id"), F.first("keys").alias("keys"))
+    keyed = stored(keyed.withColumn("rid", F.monotonically_increasing_id()), "classes")
+    sizes = stored(signed.select("doc_id", "n", "sid"), "sizes")
+    release(signed)  # part keys are the bulk of it
+    buckets = stored(repeated(keyed, ["rid"], parts_for(keyed, "keys", partition_keys)), "buckets")
+    reps = stored(keyed.select("sid", "doc_id", "rid"), "classes")
+    release(keyed)
 
     # one earlier set for each set; ids of classes rise in no meaningful order, any choice is right
-    heads = buckets.groupBy("key").agg(F.min("rid").alias("head"))
-    tried = buckets.join(heads, "key").where("rid <> head").groupBy("rid", "head").agg(F.count("key").alias("c"))
+    heads = stored(buckets.groupBy("key").agg(F.min("rid").alias("head"), F.count("rid").alias("c")), "heads")
+    tried = with_totals(buckets, heads, ["key"]).where("rid <> head").groupBy("rid", "head").agg(F.count("key").alias("c"))
     first = stored(tried.groupBy("rid").agg(F.max_by("head", F.struct("c", -F.col("head"))).alias("head")), "first")
     ids = stored(first.select("rid").union(first.select("head")).union(buckets.select("rid")).distinct(), "ids")
     some = reps.select("rid", "sid", "doc_id").join(ids, "rid")
@@ -337,7 +366,6 @@ def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int =
     grams = sets_of(theirs.select("doc_id", "text"), n).where("sid is not null").join(some.select("sid", "rid"), "sid").dropDuplicates(["rid"])
     grams = stored(grams.select("rid", "grams", "bits"), "grams")
     links = stored(proved(first.select(F.col("rid").alias("a"), F.col("head").alias("b")), grams, num, den), "links")
-    free_shuffles(spark)
     labels = components(links)
 
     # what is left: first enough pairs to join what belongs together, then every pair that the bounds leave
@@ -346,39 +374,27 @@ def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int =
         left = stored(open_buckets(buckets, labels), "open")
         if not left.limit(1).count():
             break
-        more = stored(proved(stored(tree_candidates(left, marks, num, den, block_sets, spanning), "candidates"), grams, num, den), "links")
-        free_shuffles(spark)
-        if more.limit(1).count():
-            links = stored(links.union(more), "links")
-            labels = components(links)
+        pairs = stored(tree_candidates(left, marks, num, den, block_sets, spanning), "candidates")
+        release(left)
+        links, labels = proved_in_turns(pairs, grams, links, labels, num, den)
+        release(pairs)
     classes = reps.select("sid", "doc_id", "rid").join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
-    least = classes.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-    return stored(classes.join(least, "comp").select("sid", "component_id"), "groups")
+    classes = stored(classes.select("sid", "doc_id", "comp"), "classes")
+    least = classes.groupBy("comp").agg(F.min("doc_id").alias("component_id"), F.count("sid").alias("c"))
+    out = stored(with_totals(classes, least, ["comp"]).select("sid", "component_id"), "groups")
+    release(reps, buckets, heads, first, ids, grams, classes)
+    return sizes, out
 
 
 def jaccard_components(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text", **kw) -> DataFrame:
-    """doc_id, n_shingles, component_id (least doc_id reachable by links of Jaccard >= num/den) for every row."""
+    """doc_id, n_shingles, component_id (least doc_id reachable by links of Jaccard >= num/den) for every row. The whole corpus is shingled once."""
     view = docs_view(docs, id_col, text_col).withColumn("doc_id", F.coalesce("doc_id", F.lit(NO_ID)))
-    joined = signatures_only(view, n).join(link_classes(view, n, num, den, **kw), "sid", "left")
+    sizes, groups = link_classes(view, n, num, den, **kw)
+    joined = sizes.join(groups, "sid", "left")
     given = lambda c: F.nullif(c, F.lit(NO_ID))
     return joined.select(given(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), given(F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 
-def signatures_only(docs: DataFrame, n: int) -> DataFrame:
-    """doc_id, n, sid of documents, without part keys."""
-    schema = "doc_id long, n long, sid binary"
-    arrow = to_arrow_schema(T._parse_datatype_string(schema))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            hashes = WordHashes()
-            sets = [shingle_set(t, n, hashes) for t in batch.column(1).to_pylist()]
-            sids = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array(sids, pa.binary())], schema=arrow)
-
-    return docs.mapInArrow(run, schema)
-
-
 def drop_near_duplicates(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text", **kw) -> DataFrame:
     """Whole rows: of each component the one with the least doc_id stays, of rows with one id and text one; documents without words stay.
 

@@ -1,12 +1,13 @@
 """Which 64-bit keys occur more than once, and with what: an exchange of keys packed into binary columns.
 
-Rows of one part hold many keys, so a shuffle moves some bytes for each key instead of a row. A task holds each distinct key of its share once, however often it occurs, and tells
-every entry of a key as soon as a second one arrives; a hot key is therefore bounded in memory, and adds at most its own entries to one of many parts.
+Rows of one part hold many keys, so a shuffle moves some bytes for each key instead of a row. Entries that repeat a key within a flush of a task are known to be repeated at once:
+they go to any part as finished, and one of them stands for the flush in the key's own part. So a key's own task gets at most one entry from each flush, however frequent the key is, and
+holds each distinct key of its share once.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -16,85 +17,130 @@ from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 U = np.uint64
+FLUSH = 400_000
+SINGLE, FIRST, DONE = 0, 1, 2
 
 
-def parts_for(df: DataFrame, keys: str, per_part: int = 3_000_000) -> int:
+def parts_for(df: DataFrame, keys: str, per_part: int = 750_000) -> int:
     spark = df.sparkSession
     total = df.select(F.sum(F.octet_length(keys) / 8)).first()[0] or 0
     return int(max(int(spark.conf.get("spark.sql.shuffle.partitions")), total // per_part + 1))
 
 
-def repeated(df: DataFrame, payload: list[str], parts: int) -> DataFrame:
-    """df: `keys` (binary, unsigned 64-bit values) and for each payload name either a long or a binary of as many 64-bit values.
+def home(keys: np.ndarray, parts: int) -> np.ndarray:
+    """The part of each key, rising with the key."""
+    return ((keys >> U(32)) * U(parts)) >> U(32)
+
+
+Batches = Iterator[pa.RecordBatch]
+
+
+def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batches], Batches] | None = None) -> DataFrame:
+    """df: `keys` (binary, unsigned 64-bit values) and for each payload name either a long or a binary of as many 64-bit values; or with `make` the rows
+    from which it makes such batches (columns `keys`, then the payload), in the same worker process.
 
     Returns (key, *payload) as longs for every entry whose key occurs at least twice.
     """
     width = len(payload)
     fields = ", ".join(f"b{i} binary" for i in range(width + 1))
-    packed_schema = f"part int, {fields}"
+    packed_schema = f"part int, kind int, {fields}"
     out_schema = "key long, " + ", ".join(f"{p} long" for p in payload)
     packed_arrow, out_arrow = (to_arrow_schema(T._parse_datatype_string(x)) for x in (packed_schema, out_schema))
 
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def pack(batches: Batches) -> Batches:
+        batches = make(batches) if make else batches
         held: list[list[np.ndarray]] = [[] for _ in range(width + 1)]
-        size = 0
+        size = turn = 0
 
         def flush() -> pa.RecordBatch:
+            nonlocal held, size, turn
             cols = [np.concatenate(h) for h in held]
-            part = (cols[0] % U(parts)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
-            part = part[order]
-            cuts = np.flatnonzero(np.diff(part, prepend=-1))
-            ends = [*cuts[1:].tolist(), len(part)]
-            blobs = []
-            for c in cols:
-                c = c[order]
-                blobs.append(pa.array([c[a:b].tobytes() for a, b in zip(cuts.tolist(), ends)], pa.binary()))
-            return pa.RecordBatch.from_arrays([pa.array(part[cuts], pa.int32()), *blobs], schema=packed_arrow)
+            held, size = [[] for _ in range(width + 1)], 0
+            order = np.argsort(cols[0], kind="stable")
+            cols = [c[order] for c in cols]
+            begin = np.diff(cols[0], prepend=cols[0][:1] ^ U(1)) != 0
+            alone = begin & np.append(begin[1:], True)
+            rows: list[list] = [[] for _ in range(width + 3)]
+            for kind, chosen in ((SINGLE, alone), (FIRST, begin & ~alone), (DONE, ~begin)):
+                some = [c[chosen] for c in cols]
+                n = len(some[0])
+                if not n:
+                    continue
+                if kind == DONE:  # wherever there is room
+                    cuts = np.arange(0, n, 20_000)
+                    part = (turn + np.arange(len(cuts))) * 7919 % parts
+                    turn += len(cuts)
+                else:
+                    part = home(some[0], parts)
+                    cuts = np.flatnonzero(np.diff(part.astype(np.int64), prepend=-1))
+                    part = part[cuts]
+                ends = [*cuts[1:].tolist(), n]
+                rows[0] += part.tolist()
+                rows[1] += [kind] * len(cuts)
+                for r, c in zip(rows[2:], some):
+                    r += [c[a:b].tobytes() for a, b in zip(cuts.tolist(), ends)]
+            return pa.RecordBatch.from_arrays([pa.array(r, type=f.type) for r, f in zip(rows, packed_arrow)], schema=packed_arrow)
 
         for batch in batches:
-            for row in zip(*(c.to_pylist() for c in batch.columns)):
-                keys = np.frombuffer(row[0], dtype=U)
-                if len(keys):
-                    held[0].append(keys)
-                    for h, v in zip(held[1:], row[1:]):
-                        h.append(np.frombuffer(v, dtype=np.int64) if isinstance(v, bytes) else np.full(len(keys), v, dtype=np.int64))
-                    size += len(keys)
-                if size >= 1_000_000:
-                    yield flush()
-                    held, size = [[] for _ in range(width + 1)], 0
+            for lo in range(0, batch.num_rows, 500):
+                for row in zip(*(c.to_pylist() for c in batch.slice(lo, 500).columns)):
+                    keys = np.frombuffer(row[0], dtype=U)
+                    turn = turn or int(keys[0] % U(parts)) if len(keys) else turn  # tasks begin anywhere, and a repeated task as it did
+                    for a in range(0, len(keys), FLUSH):
+                        held[0].append(keys[a : a + FLUSH])
+                        for h, v in zip(held[1:], row[1:]):
+                            h.append(np.frombuffer(v, dtype=np.int64)[a : a + FLUSH] if isinstance(v, bytes) else np.full(len(held[0][-1]), v, dtype=np.int64))
+                        size += len(held[0][-1])
+                        if size >= FLUSH:
+                            yield flush()
         if size:
             yield flush()
 
     def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first = [np.zeros(0, dtype=U)] + [np.zeros(0, dtype=np.int64) for _ in range(width)]
-        told = np.zeros(0, dtype=bool)  # of the keys in first: already given out
-        wait: list[list[np.ndarray]] = [[] for _ in range(width + 1)]
+        many = told = np.zeros(0, dtype=bool)  # of the keys in first: known to be repeated, and already given out
+        wait: list[list[np.ndarray]] = [[] for _ in range(width + 2)]
         waiting = 0
 
+        def out(cols: list[np.ndarray]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(cols[0].view(np.int64)), *[pa.array(c) for c in cols[1:]]], schema=out_arrow)
+
         def settle() -> pa.RecordBatch:
-            nonlocal first, told
-            cols = [np.concatenate([f, *w]) for f, w in zip(first, wait)]
-            old = np.concatenate([told, np.zeros(len(cols[0]) - len(told), dtype=bool)])
+            nonlocal first, many, told, wait, waiting
+            n = len(told)
+            sure = np.concatenate([many, *wait.pop()])
+            cols = []
+            for i in range(width + 1):
+                cols.append(np.concatenate([first[i], *wait[i]]))
+                first[i] = wait[i] = None
+            wait, waiting = [[] for _ in range(width + 2)], 0
+            old = np.concatenate([told, np.zeros(len(sure) - n, dtype=bool)])
             order = np.argsort(cols[0], kind="stable")
-            cols, old = [c[order] for c in cols], old[order]
-            begin = np.diff(cols[0], prepend=cols[0][:1] ^ U(1)) != 0
-            run = np.cumsum(begin) - 1
-            many = np.bincount(run)[run] > 1
-            tell = many & ~old
-            starts = np.flatnonzero(begin)
-            first, told = [c[starts] for c in cols], many[starts] | old[starts]
-            return pa.RecordBatch.from_arrays([pa.array(cols[0][tell].view(np.int64)), *[pa.array(c[tell]) for c in cols[1:]]], schema=out_arrow)
+            for i in range(width + 1):
+                cols[i] = cols[i][order]
+            old, sure = old[order], sure[order]
+            starts = np.flatnonzero(np.diff(cols[0], prepend=cols[0][:1] ^ U(1)) != 0)
+            sizes = np.diff(np.append(starts, len(sure)))
+            sure = np.maximum.reduceat(sure, starts) | (sizes > 1)
+            tell = np.repeat(sure, sizes) & ~old
+            first, many, told = [c[starts] for c in cols], sure, sure
+            return out([c[tell] for c in cols])
 
         for batch in batches:
-            for row in zip(*(c.to_pylist() for c in batch.columns[1:])):
-                for w, v, kind in zip(wait, row, [U] + [np.int64] * width):
-                    w.append(np.frombuffer(v, dtype=kind))
-                waiting += len(row[0]) // 8
-            if waiting >= max(1_500_000, len(first[0]) // 2):
-                yield settle()
-                wait, waiting = [[] for _ in range(width + 1)], 0
+            for lo in range(0, batch.num_rows, 200):
+                for kind, *row in zip(*(c.to_pylist() for c in batch.slice(lo, 200).columns[1:])):
+                    cols = [np.frombuffer(v, dtype=t) for v, t in zip(row, [U] + [np.int64] * width)]
+                    if kind == DONE:
+                        yield out(cols)
+                        continue
+                    for w, c in zip(wait, cols):
+                        w.append(c)
+                    wait[-1].append(np.full(len(cols[0]), kind == FIRST))
+                    waiting += len(cols[0])
+                    if waiting >= max(500_000, len(first[0]) // 2):
+                        yield settle()
         if waiting:
             yield settle()
 
-    return df.select("keys", *payload).mapInArrow(pack, packed_schema).repartition(parts, "part").mapInArrow(unpack, out_schema)
+    rows = df if make else df.select("keys", *payload)
+    return rows.mapInArrow(pack, packed_schema).repartitionById(parts, F.col("part")).mapInArrow(unpack, out_schema)

@@ -11,7 +11,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 
-from sketchfit.llm import chunk_dedup, decontaminate, katz, mixing, near_duplicates, pii, quality_rules, queries, suffix_dedup, token_files, url_filters
+from sketchfit.llm import chunk_dedup, decontaminate, katz, mixing, near_duplicates, packed, pii, quality_rules, queries, suffix_dedup, token_files, url_filters
 from sketchfit.llm.common import UPPER_TO_LOWER
 
 
@@ -60,6 +60,19 @@ def test_quality_bands(spark, none, odd):
     noise = " ".join("".join(chr(rng.randint(33, 126)) for _ in range(12)) for _ in range(900))
     assert not quality_rules.judged(noise, b, c)[-1]
     assert not quality_rules.judged(plain + " again and again it goes on" * 2000, b, c)[-1]
+    for size, cut in ((3000, 1000), (7000, 2500)):  # stretches within texts of less than 8 KiB, at the end and inside
+        assert quality_rules.judged(plain[:size], b, c)[-1]
+        assert not quality_rules.judged(plain[:size] + noise[:cut], b, c)[-1] and not quality_rules.judged(plain[:size] + "na " * cut + plain[size : 2 * size], b, c)[-1]
+    for text in (plain, noise, plain[:700], plain[:4000] + noise[:2000], "", "x"):
+        data = text.encode()
+        ratio, bad, n, fine = quality_rules.compression(data, b, c)
+        if not data:
+            assert (ratio, bad, n, fine) == (0.0, 0, 0, False)
+            continue
+        within = lambda d, table: (lambda lo_hi: lo_hi[0] <= len(d) / len(c.compress(d)) <= lo_hi[1])([x[1:] for x in table if len(d) >= x[0]][-1])
+        marks = "".join("." if within(data[i : i + b.chunk], b.parts) else "x" for i in range(0, len(data), b.chunk))
+        assert (bad, n) == (marks.count("x"), len(marks)) and ratio == len(data) / len(c.compress(data))
+        assert fine == (within(data, b.whole) and marks.count("x") <= b.bad_share * len(marks) and "x" * b.bad_run not in marks)
     assert quality_rules.judge(none).count() == 0 and quality_rules.keep_good(none).columns == none.columns
     assert quality_rules.keep_good(odd).columns == odd.columns
 
@@ -109,16 +122,28 @@ def plain_repeats(texts, length):
     return out
 
 
-@pytest.mark.parametrize("length, q, levels", [(60, 20, (12, 4, 1)), (30, 30, (1,)), (40, 16, (25, 5, 1))])
-def test_repeats_against_plain(spark, length, q, levels):
+@pytest.mark.parametrize("length, q, reach, levels", [(60, 20, 60, (12, 4, 1)), (30, 30, 30, (1,)), (40, 16, 40, (25, 5, 1)), (60, 16, 37, (12, 4, 1))])
+def test_repeats_against_plain(spark, length, q, reach, levels):
     rng = random.Random(length)
     base = ["".join(rng.choice("abcdé ") for _ in range(rng.randint(20, 200))) for _ in range(12)]
     texts = [(i, "".join(rng.choice(base) for _ in range(rng.randint(0, 4)))) for i in range(60)] + [(60, "ab" * 200), (61, "a" * 150), (62, "a" * 149 + "b")]
     texts += [(70 + i, base[0] * 2 + base[1][:i]) for i in range(10)]
     df = spark.createDataFrame(texts, "doc_id long, text string")
     want = dict(zip((k for k, _ in texts), plain_repeats(texts, length)))
-    for r in suffix_dedup.remove_repeats(df, length, q, levels=levels).collect():
+    shared = {k for (k, _), (_, runs, _) in zip(texts, plain_repeats(texts, reach)) if runs}
+    once = {k for (k, _), (_, runs, _) in zip(texts, plain_repeats(texts, q)) if not runs}
+    for r in suffix_dedup.remove_repeats(df, length, q, reach, levels=levels).collect():
         assert (r.n_bytes, [(s.start, s.stop) for s in r.spans], bytes(r.kept)) == want[r.doc_id], r.doc_id
+        assert (r.n_repeat_grams > 0) if r.doc_id in shared else r.n_repeat_grams == 0 or r.doc_id not in once
+
+
+def test_repeats_of_clashing_ids(spark):
+    rng = random.Random(9)
+    base = ["".join(rng.choice("abcd ") for _ in range(90)) for _ in range(4000)]
+    texts = [(None, base[i % 4000]) for i in range(6000)] + [(7, b) for b in base[:50]] + [(7, base[3][:40] + base[4][:60])]
+    want = Counter((k, bytes(x[2])) for (k, _), x in zip(texts, plain_repeats([(k, t) for k, t in texts], 50)))
+    got = suffix_dedup.remove_repeats(spark.createDataFrame(texts, "doc_id long, text string"), 50, 20, 50, levels=(10, 1)).collect()
+    assert Counter((r.doc_id, bytes(r.kept)) for r in got) == want
 
 
 @pytest.mark.parametrize("length,q", [(40, 12), (30, 30), (9, 1)])
@@ -152,6 +177,20 @@ def test_repeats_across_segments(spark):
         assert bytes(got[k].kept) == bytes(np.frombuffer(t.encode(), dtype=np.uint8)[~gone]), k
 
 
+def test_exchange_tells_every_repeat(spark, monkeypatch):
+    """Hot keys over many flushes, keys once only, and keys that meet in different tasks."""
+    rng = np.random.default_rng(2)
+    keys = np.concatenate([np.full(30_000, 77), rng.integers(0, 1 << 63, 40_000), np.repeat(rng.integers(0, 1 << 63, 5000), 3)]).astype(np.uint64) * np.uint64(2)
+    rng.shuffle(keys)
+    rows = [(i, keys[a : a + 500].tobytes()) for i, a in enumerate(range(0, len(keys), 500))]
+    df = spark.createDataFrame(rows, "row long, keys binary").repartition(3)
+    seen = Counter(keys.tolist())
+    want = Counter((k, i // 500) for i, k in enumerate(keys.tolist()) if seen[k] > 1)
+    for flush in (700, 400_000):
+        monkeypatch.setattr(packed, "FLUSH", flush)
+        assert Counter((r.key % (1 << 64), r.row) for r in packed.repeated(df, ["row"], 5).collect()) == want
+
+
 def test_repeats_odd_rows(spark, odd, none):
     got = suffix_dedup.remove_repeats(odd).collect()
     assert len(got) == odd.count()
@@ -292,21 +331,54 @@ def test_pii_base_against_patterns(spark, sf):
     pii.base_spans("1" * 200_000 + "." + "a" * 200_000 + "@")  # linear
 
 
+def plain_disclosure(rows, words, reach, alpha, support):
+    """Term places by document number, from the whole-document counts."""
+    ctx, holds, terms = defaultdict(set), defaultdict(set), []
+    for i, (_, t) in enumerate(rows):
+        base = plain_spans(t)
+        terms.append([(h, a, b) for h, a, b in pii.term_places(t, [(s, e) for s, _, e in base])])
+        for e, c in pii.mentions(t, base, words, reach):
+            ctx[e].add(c)
+            holds[e].add((i, c))
+    df = Counter(h for x in terms for h in {h for h, _, _ in x})
+    out = defaultdict(set)
+    for e, mine in holds.items():
+        if len(ctx[e]) < support:
+            continue
+        docs = {i for i, _ in mine}
+        for h in {h for i in docs for h, _, _ in terms[i]}:
+            both = len({c for i, c in mine if any(x[0] == h for x in terms[i])})
+            told = math.log2(both / len(ctx[e]) / (df[h] / len(rows)))
+            if both >= support and told > 0 and told >= alpha * math.log2(len(rows) / len(docs)):
+                for i in docs:
+                    out[i] |= {(a, b) for x, a, b in terms[i] if x == h}
+    return out
+
+
 def test_pii_marks_disclosing_terms(spark):
     rng = random.Random(2)
     vocab = [f"plain{i}" for i in range(50)]
     rows = []
     for i in range(300):
-        w = [rng.choice(vocab) for _ in range(20)]
+        w = [rng.choice(vocab) for _ in range(60)]
         if i % 30 == 0:
-            w[8:10] = ["mayor-of-hilltown", f"joe@hill.org"]
+            w[8] = "joe@hill.org"
+            w[9 if i % 60 else 40] = "mayor-of-hilltown,"  # by the mention, or far from it
+            w[55] = "Mayor-of-Hilltown"
+        if i % 50 == 1:
+            w[3], w[30] = "+1 (555) 123-4567", f"rare{i % 4}"
         rows.append((i, " ".join(w)))
-    got = {r.doc_id: r for r in pii.personal_data(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r for r in pii.personal_data(df).collect()}
+    want = plain_disclosure(rows, 6, 120, 0.75, 3)
     for i, t in rows:
-        marked = {t[s.start : s.stop] for s in got[i].spans if s.kind == 4}
-        assert marked == ({"mayor-of-hilltown"} if i % 30 == 0 else set())
-    clean = pii.sanitise(spark.createDataFrame(rows, "doc_id long, text string"), "remove").where("doc_id = 30").first().text
-    assert "hilltown" not in clean and "[EMAIL]" in clean
+        assert {(s.start, s.stop) for s in got[i].spans if s.kind == 4} == want[i]
+        if i % 30 == 0:
+            assert [t[a:b] for a, b in sorted(want[i])] == ["mayor-of-hilltown", "Mayor-of-Hilltown"]
+    clean = pii.sanitise(df, "remove").where("doc_id = 60").first().text
+    assert "illtown" not in clean and "[EMAIL]" in clean
+    small = {r.doc_id: r.spans for r in pii.personal_data(df, broadcast_rows=0).collect()}
+    assert all(small[i] == got[i].spans for i, _ in rows)
 
 
 def test_pii_odd_rows(odd, none):
@@ -348,6 +420,42 @@ def test_chunk_dedup_keeps_one_copy(spark, sf, odd, none):
     assert chunk_dedup.chunk_dedup(odd).count() == odd.count() and chunk_dedup.chunk_dedup(none).count() == 0
 
 
+def plain_chunk_dedup(rows, least, most, min_run):
+    """Kept bytes of every row: all but the first of equal chunks go, in the order of id, hash of the text, place, where they run for min_run bytes."""
+    first, count = {}, Counter()
+    parts = []
+    for i, (order, t) in enumerate(rows):
+        ends = chunk_dedup.cuts(t.encode(), least, most)
+        parts.append([(a, b, t.encode()[a:b]) for a, b in zip([0, *ends], ends)])
+        for a, _, c in parts[-1]:
+            count[c] += 1
+            first[c] = min(first.get(c, (order, i, a)), (order, i, a))
+    out = []
+    for i, ((order, t), chunks) in enumerate(zip(rows, parts)):
+        runs = []
+        for a, b, c in chunks:
+            if count[c] > 1 and first[c] != (order, i, a):
+                if runs and runs[-1][1] == a:
+                    runs[-1][1] = b
+                else:
+                    runs.append([a, b])
+        gone = [r for r in runs if r[1] - r[0] >= min_run]
+        out.append(b"".join(t.encode()[a:b] for a, b in zip([0, *(r[1] for r in gone)], [*(r[0] for r in gone), len(t.encode())])))
+    return out
+
+
+def test_chunks_against_plain(spark):
+    rng = random.Random(6)
+    word = lambda: "".join(rng.choice("etaoinshrdlu") for _ in range(rng.randint(3, 9)))
+    base = [" ".join(word() for _ in range(40)) for _ in range(12)]
+    rows = [(rng.choice([None, 1, 2, i]), " ".join(rng.choice(base) for _ in range(rng.randint(0, 5)))) for i in range(60)] + [(None, base[0] + base[1])] * 5 + [(3, base[2])] * 4
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    hashes = {r.text: r.h for r in df.selectExpr("text", "xxhash64(text) as h").collect()}
+    order = [((chunk_dedup.NO_ID if k is None else k, hashes[t]), t) for k, t in rows]
+    want = Counter((k, b) for (k, _), b in zip(rows, plain_chunk_dedup(order, 32, 128, 64)))
+    assert Counter((r.doc_id, bytes(r.kept)) for r in chunk_dedup.chunk_dedup(df).collect()) == want
+
+
 # decontamination
 
 
@@ -381,17 +489,20 @@ def test_phrase_and_proximity(spark):
 
 def test_token_round_trip(spark, sf, odd, none, tmp_path):
     tok = token_files.tokenizer(token_files.default_tokenizer_path())
-    for df in (docs_of(spark, sf), odd):
-        rows = sorted(texts_of(df.where("doc_id is not null")))
+    more = spark.createDataFrame([(None, f"no id {i % 40}") for i in range(80)] + [(5, f"text {i}") for i in range(80)], "doc_id long, text string")
+    for df in (docs_of(spark, sf), odd, more):
+        asked = df.selectExpr("doc_id", "coalesce(text, '') as text", "xxhash64(coalesce(text, '')) as h").collect()
+        rows = [(r.doc_id, r.text) for r in sorted(asked, key=lambda r: (r.doc_id is not None, r.doc_id or 0, r.h, r.text))]
         out = f"file://{tmp_path}/t{len(rows)}"
-        manifest = token_files.write_tokens(df.where("doc_id is not null"), out, partitions=3)
+        manifest = token_files.write_tokens(df, out, partitions=3)
         got = sorted(token_files.read_tokens(manifest).collect(), key=lambda r: r.start)
         at = 0
         for (k, t), r in zip(rows, got, strict=True):
             ids = np.array([*tok.encode(t, add_special_tokens=False).ids, 0], dtype="<u4")
             assert (r.doc_id, r.start, r.n_tokens, r.ids_crc32, bytes(r.ids)) == (k, at, len(ids), zlib.crc32(ids.tobytes()), ids.tobytes())
             at += len(ids)
-        assert len(token_files.lookup(manifest, [3])[3]) == sum(k == 3 for k, _ in rows)
+        for asked in (3, 5, None):
+            assert len(token_files.lookup(manifest, [asked, 10**9])[asked]) == sum(k == asked for k, _ in rows)
     assert token_files.token_rows(spark, none).count() == 0
 
 
