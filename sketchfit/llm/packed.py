@@ -11,6 +11,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -50,7 +51,7 @@ def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batc
     def pack(batches: Batches) -> Batches:
         batches = make(batches) if make else batches
         held: list[list[np.ndarray]] = [[] for _ in range(width + 1)]
-        size = turn = 0
+        size, turn = 0, 104_729 * TaskContext.get().partitionId()  # tasks begin apart, and a repeated task as it did
 
         def flush() -> pa.RecordBatch:
             nonlocal held, size, turn
@@ -85,7 +86,6 @@ def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batc
             for lo in range(0, batch.num_rows, 500):
                 for row in zip(*(c.to_pylist() for c in batch.slice(lo, 500).columns)):
                     keys = np.frombuffer(row[0], dtype=U)
-                    turn = turn or int(keys[0] % U(parts)) if len(keys) else turn  # tasks begin anywhere, and a repeated task as it did
                     for a in range(0, len(keys), FLUSH):
                         held[0].append(keys[a : a + FLUSH])
                         for h, v in zip(held[1:], row[1:]):
