@@ -37,12 +37,20 @@ def drained(df: DataFrame, mode: str = "append", name: str | None = None) -> Dat
 
 
 class SketchStore:
-    """A running total kept in one Parquet folder for each version. A batch is applied once, however often it is tried: its id is the version's name."""
+    """A running total kept in one Parquet folder for each version. A batch is applied once, however often it is tried and by whichever driver: its id is the
+    version's name, and a new store on the same path goes on from the newest version that was written whole."""
 
     def __init__(self, spark: SparkSession, fm: FeatureMap, path: str | None = None):
         self.spark, self.fm = spark, fm
         self.path = path or shared_folder(spark, "totals")
-        self.version: int | None = None
+        self.version = self.newest()
+
+    def newest(self) -> int | None:
+        """The largest version whose folder holds the mark that Spark's writer leaves when it has ended."""
+        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        marks = jvm.org.apache.hadoop.fs.Path(f"{self.path}/v*/_SUCCESS")
+        found = marks.getFileSystem(conf).globStatus(marks)
+        return max((int(x.getPath().getParent().getName()[1:]) for x in found or ()), default=None)
 
     def state(self) -> DataFrame | None:
         return None if self.version is None else self.spark.read.parquet(f"{self.path}/v{self.version}")
