@@ -6,14 +6,15 @@ import math
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.keyed_random import uniform_col
 from ..operators import privacy
 from ..operators.kmeans import decode_unrolled, kmeans_mse_local, lloyd_local
-from ..operators.maps import FeatureMap, linear_act_map
-from ..operators.sketch import pack_lt, unpack_lt
+from ..operators.maps import FeatureMap, linear_act_map, network_map, outer_lt_map
+from ..operators.sketch import mean, mean_sketch, pack_lt, unpack_lt
 from ..operators.tasks import matched_centroids
 from .layers import Adam, Affine, Activation, Chain, Layer, residual_mlp
 from .search import Space, derivative_free_search
@@ -461,6 +462,44 @@ def network_grid(d: int, m: int, styles=("bn_relu", "ln_gelu"), blocks=(1, 2), h
     return [(s, b, h, residual_mlp(d, m, s, b, h, head, seed)) for s in styles for b in blocks for h in hidden]
 
 
+def training_log(spark: SparkSession, log: list) -> DataFrame:
+    """step, train_loss, held_loss: entries of (step, train, held) as a moment pair keeps them, or bare training losses; what was not measured is null."""
+    rows = [entry if isinstance(entry, tuple) else (i, entry, math.nan) for i, entry in enumerate(log)]
+    known = lambda v: None if math.isnan(v) else float(v)
+    return spark.createDataFrame([(int(i), known(a), known(b)) for i, a, b in rows], "step int, train_loss double, held_loss double")
+
+
+FITTED = "dataset_id string, n long, i int, theta array<double>"
+
+
+def fit_from_sketch(df: DataFrame, pair: MomentPair | UnrolledPair | LearnedPair, by: str | None = "dataset_id", k: int = 1, seed: int = 0) -> DataFrame:
+    """Rows to parameters: one scan sketches every dataset of df, then each sketch alone is decoded, one row of FITTED for each row i of the parameters.
+
+    A moment pair gives the rows of the estimated second moment, an unrolled pair k centroids, a learned pair one vector. Rows of `features`; an empty table gives no rows.
+    """
+    if isinstance(pair, MomentPair):
+        fm, decode = outer_lt_map(pair.d), pair.moment  # the encoder is affine, so it commutes with the mean: sums of the triangle are its sketch
+    elif isinstance(pair, UnrolledPair):
+        fm = pair.fm
+
+        def decode(z):
+            return pair.decode(z, k, seed).theta
+    else:
+        first = df.select("features").first()
+        if first is None:
+            return df.sparkSession.createDataFrame([], FITTED)
+        d = len(first.features)
+        fm = network_map(pair.encoder, d, pair.encoder.forward(np.zeros((1, d))).shape[1])
+        decode = pair.decode
+
+    def each(pdfs):
+        for pdf in pdfs:
+            rows = [(name, n, i, row) for name, n, z in zip(pdf["dataset_id"], pdf["n"], pdf["z"]) for i, row in enumerate(np.atleast_2d(decode(np.asarray(z, dtype=float))))]
+            yield pd.DataFrame(rows, columns=["dataset_id", "n", "i", "theta"])
+
+    return mean(mean_sketch(df, fm, by)).select("dataset_id", "n", "z").mapInPandas(each, FITTED)
+
+
 def bank_of(sk: dict[str, tuple[int, np.ndarray]], ids: list[str]) -> np.ndarray:
     return np.array([sk[i][1] for i in ids])
 

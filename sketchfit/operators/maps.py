@@ -9,10 +9,11 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
+from ..functions.features import bounded_rows
 from ..functions.keyed_random import fast_normals, normals
 
 ACTIVATIONS: dict[str, Callable[[np.ndarray], np.ndarray]] = {
@@ -193,6 +194,16 @@ def fourier_map(d: int, m: int, sigma: float = 1.0, radius: str = "gaussian", se
     return FeatureMap("fourier", d, 2 * n, (("radius", radius),), {"omega": g / sigma})
 
 
+def pilot_scale(df: DataFrame, rows: int = 256, by: str = "dataset_id") -> dict[str, float]:
+    """A kernel width for every dataset: the median distance between the rows of a pilot, at most `rows` of least key hash. A dataset of one row, or of equal rows, gets 1."""
+    out = {}
+    for name, x in bounded_rows(df, rows, by).items():
+        a, b = np.triu_indices(len(x), 1)
+        width = float(np.median(np.sqrt(((x[a] - x[b]) ** 2).sum(1)))) if len(a) else 0.0
+        out[name] = width or 1.0
+    return out
+
+
 def gaussian_kernel(x: np.ndarray, y: np.ndarray, gamma: float) -> np.ndarray:
     sq = (x**2).sum(1)[:, None] + (y**2).sum(1)[None] - 2 * x @ y.T
     return np.exp(-gamma * np.maximum(sq, 0))

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
@@ -18,6 +18,11 @@ def sketch_pct(m: int, d: int) -> float:
     return 100.0 * m / full_size(d)
 
 
+def sketch_numbers(fm) -> int:
+    """Numbers that a sketch costs: its features, and the coordinates of the landmarks its map needs."""
+    return fm.numbers
+
+
 def size_grid(d: int, percents: tuple[float, ...] = (0.01, 0.1, 1, 5, 10, 20, 40, 60, 80, 100)) -> list[int]:
     return sorted({max(1, round(full_size(d) * p / 100)) for p in percents})
 
@@ -68,6 +73,15 @@ def growth_exponent(df: DataFrame, by: str = "method", n: str = "n", seconds: st
     return df.groupBy(by).agg(F.regr_slope(F.ln(seconds), F.ln(n)).alias("exponent"))
 
 
+def privacy_curve(error_of: Callable[[float, int], float], eps_grid: Iterable[float], repeats: int, quantiles: tuple[float, ...] = (0.1, 0.5, 0.9)) -> list[tuple[float, float, float]]:
+    """(eps, quantile, error) over `repeats` draws of the noise; error_of(eps, draw) releases once and measures."""
+    out = []
+    for eps in eps_grid:
+        errs = [error_of(eps, r) for r in range(repeats)]
+        out += [(eps, q, float(np.quantile(errs, q))) for q in quantiles]
+    return out
+
+
 def cost_report(df: DataFrame) -> dict[str, int]:
     """Scans, exchanges and Python nodes of the plan that would run."""
     plan = df._jdf.queryExecution().executedPlan().toString()

@@ -15,7 +15,7 @@ from ..operators import privacy as P
 from ..operators import sketch as S
 from ..operators import tasks as T
 from ..operators.kmeans import decode_greedy, decode_message_passing, decode_unrolled, gmm_from_sketch, kmeans_mse_local, lloyd_local, lloyd_step
-from ..operators.maps import FeatureMap, fourier_map, identity_map, nystrom_map, outer_lt_map, random_projection, rank_one_map
+from ..operators.maps import FeatureMap, fourier_map, identity_map, nystrom_map, outer_lt_map, pilot_scale, random_projection, rank_one_map
 from ..sources.planted import planted_linear, planted_lowrank, planted_mixture
 from ..sources.tables import load_sketches, save_sketches, shared_folder
 from .registry import Registry
@@ -851,3 +851,38 @@ def _(s, d):
     return _verdict(s, [("one scan", plan.count("FileScan") == 1), ("sums before the exchange", "partial_sum" in plan), ("no rows in the exchange", arrow.count("FileScan") <= 2 and "partial_sum" in arrow)])
 
 
+@R.add(
+    "pilot_scale",
+    f"""WITH r AS (SELECT label, e, row_number() OVER (PARTITION BY label ORDER BY md5(CAST(vec_id AS VARCHAR)), CAST(vec_id AS VARCHAR)) AS k FROM {EMB}),
+    p AS (SELECT a.label, sqrt((a.e[1] - b.e[1]) ** 2 + (a.e[2] - b.e[2]) ** 2 + (a.e[3] - b.e[3]) ** 2 + (a.e[4] - b.e[4]) ** 2) AS far FROM r a JOIN r b ON a.label = b.label AND a.k < b.k AND b.k <= 64),
+    s AS (SELECT label, median(far) AS w FROM p GROUP BY label)
+    SELECT CAST(l.label AS VARCHAR) AS dataset_id, {micro_sql('CASE WHEN s.w > 0 THEN s.w ELSE 1.0 END')} AS v_micro FROM (SELECT DISTINCT label FROM embeddings) l LEFT JOIN s USING (label)""",
+)
+def _(s, d):
+    got = s.createDataFrame(sorted(pilot_scale(emb_d(s, d, 4), 64).items()), "dataset_id string, w double")
+    return got.select("dataset_id", V.micro(F.col("w")).alias("v_micro"))
+
+
+@R.add("sketch_numbers", "SELECT * FROM (VALUES ('fourier', CAST(8 AS BIGINT)), ('nystrom', CAST(5 + 5 * 4 AS BIGINT)), ('outer', CAST(4 * 5 / 2 AS BIGINT))) v(method, numbers)")
+def _(s, d):
+    marks = np.array([r.features for r in emb_d(s, d, 4).orderBy(F.col("row_key").cast("long")).limit(5).collect()])
+    maps = {"fourier": fourier_map(4, 8, 0.5, "gaussian", 1), "nystrom": nystrom_map(marks, 1.0), "outer": outer_lt_map(4)}
+    return s.createDataFrame([(name, E.sketch_numbers(fm)) for name, fm in maps.items()], "method string, numbers long")
+
+
+@R.add("training_log")
+def _(s, d):
+    from ..meta.train import bank_of, split_ids, train_moment_pair, training_log
+
+    bank = {r.dataset_id: (r.n, np.array(r.v)) for r in S.second_moment(X.documents_by(s, d, 8), 8, "dataset_id").collect()}
+    train, test = split_ids(sorted(bank))
+    return training_log(s, train_moment_pair(bank_of(bank, train), 8, 6, steps=60, rate=1e-3, seed=1, held=bank_of(bank, test)).log)
+
+
+@R.add("fit_from_sketch", "SELECT CAST(label AS VARCHAR) AS dataset_id, count(*) AS n, unnest([0, 1])::INT AS i, 4 AS width FROM embeddings GROUP BY label")
+def _(s, d):
+    from ..meta.train import UnrolledPair, fit_from_sketch
+
+    pair = UnrolledPair(FeatureMap("fourier", 4, 8, arrays={"omega": omega8()}), 40, 0.02, "adam", 0.08, "uniform")
+    return fit_from_sketch(emb_d(s, d, 4), pair, k=2).select("dataset_id", "n", "i", F.size("theta").alias("width"))
+

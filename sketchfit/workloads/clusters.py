@@ -14,8 +14,10 @@ from ..operators import privacy as P
 from ..operators import sketch as S
 from ..operators.kmeans import decode_greedy, decode_message_passing, decode_unrolled, kmeans_exact, kmeans_mse_local, lloyd_local
 from ..operators.maps import fourier_map, nystrom_map
+from ..operators.measures import growth_exponent, privacy_curve
 from ..plans.registry import Registry
 from ..sources.planted import planted_mixture
+from ..sources.tables import written
 from .common import result
 from .moments import averaged
 
@@ -38,7 +40,8 @@ def methods(x: np.ndarray, d: int, k: int, m: int, sigma: float, pair=None, quic
     for name, fm in (("fourier_greedy", rff), ("adapted_greedy", ada), ("nystrom_greedy", nys)):
         run(name, lambda fm=fm: decode_greedy(fm.batch(x).mean(0), fm, k, **effort).theta)
     run("fourier_unrolled", lambda: decode_unrolled(rff.batch(x).mean(0), rff, k, 150, starts=3).theta)
-    run("message_passing", lambda: np.nan_to_num(decode_message_passing(rff.batch(x).mean(0), rff, k, 20).theta, nan=0.5))
+    for name, fm in (("message_passing", rff), ("adapted_message_passing", ada)):
+        run(name, lambda fm=fm: np.nan_to_num(decode_message_passing(fm.batch(x).mean(0), fm, k, 20).theta, nan=0.5))
     if pair is not None:
         run("learned_unrolled", lambda: pair.decode(pair.fm.batch(x).mean(0), k).theta)
     return out
@@ -70,11 +73,14 @@ def w05(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
 
 @R.add("w06")
 def w06(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds against rows: a scan that sketches, a decoder that does not see rows, and Lloyd's steps that rescan. Thirds of lineitem by key hash."""
-    df = X.line_num(spark, sf_dir).withColumn("features", F.slice("features", 3, 4))
+    """Seconds against rows, and their growth: a scan that sketches, a decoder that does not see rows, and Lloyd's steps that rescan.
+
+    Shares of lineitem by key hash, joined and written once, so that every method scans the same files. The metric `exponent` is the slope of log seconds over log rows (param 0).
+    """
+    df = written(X.line_num(spark, sf_dir).select("row_key", F.slice("features", 3, 4).alias("features")), "w06")
     fm = fourier_map(4, 64, 0.5, "gaussian", 1)
     out = []
-    for share in (0.25, 1.0):
+    for share in (0.125, 0.375, 1.0):
         part = df if share == 1.0 else df.where(F.conv(F.substring("row_key", 1, 2), 16, 10).cast("int") < int(256 * share))
         start = time.perf_counter()
         sk = S.mean_sketch(part, fm, None, "arrow").first()
@@ -86,6 +92,8 @@ def w06(spark: SparkSession, sf_dir: str) -> DataFrame:
         kmeans_exact(part, 4, 5, 3)
         lloyd = time.perf_counter() - start
         out += [("sketch_scan", sk.n, "lineitem", "seconds", scan), ("sketch_decode", sk.n, "lineitem", "seconds", decode), ("lloyd_3_steps", sk.n, "lineitem", "seconds", lloyd)]
+    took = spark.createDataFrame([(name, float(n), s) for name, n, _, _, s in out], "method string, n double, seconds double")
+    out += [(r.method, 0, "lineitem", "exponent", r.exponent) for r in growth_exponent(took).collect()]  # a row a method
     return result(spark, out)
 
 
@@ -103,12 +111,13 @@ def w07(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
             x, _c = planted_mixture(k, d, 3000, seed)
             f = pair.fm.batch(x)
             f = f * np.minimum(1, clip / np.maximum(np.linalg.norm(f, axis=1, keepdims=True), 1e-12))
-            for eps in (0.001, 0.01, 0.1, 1, 10) if quick else (0.001, 0.003, 0.01, 0.03, 0.1, 0.3, 1, 3, 10, 100):
-                errs = []
-                for r in range(3):
-                    z = P.privatize(f.sum(0), len(x), eps, 0.01, clip, low, high, seed=r).clamped
-                    errs.append(kmeans_mse_local(x, pair.decode(z, k, seed=r, starts=2).theta))
-                out.append((name, eps, str(seed), "mse", float(np.median(errs))))
+
+            def error_of(eps: float, r: int) -> float:
+                z = P.privatize(f.sum(0), len(x), eps, 0.01, clip, low, high, seed=r).clamped
+                return kmeans_mse_local(x, pair.decode(z, k, seed=r, starts=2).theta)
+
+            grid = (0.001, 0.01, 0.1, 1, 10) if quick else (0.001, 0.003, 0.01, 0.03, 0.1, 0.3, 1, 3, 10, 100)
+            out += [(name, eps, str(seed), "mse" if q == 0.5 else f"mse_q{100 * q:g}", err) for eps, q, err in privacy_curve(error_of, grid, 3)]
     return averaged(spark, out)
 
 

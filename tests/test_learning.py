@@ -190,3 +190,51 @@ def test_batch_inference_and_codes(spark):
     ae = M.Autoencoder(3, 2, 4, "mean")
     out = autoencoder_codes(df, ae, x.mean(0)).collect()
     assert len(out) == 20 and len(out[0].code) == 2 and len(out[0].bits) == 3
+
+
+def _sets(spark, sets):
+    rows = [(name, f"{name}-{i}", [float(v) for v in r]) for name, x in sets.items() for i, r in enumerate(x)]
+    return spark.createDataFrame(rows, "dataset_id string, row_key string, features array<double>")
+
+
+def test_fit_from_sketch_equals_local_fit(spark):
+    sets = {f"s{i}": planted_mixture(2, 3, 90 + i, i)[0] for i in range(3)}
+    df = _sets(spark, sets)
+    got: dict = {}
+    unrolled = M.UnrolledPair(fourier_map(3, 16, 0.5, "gaussian", 1), 30, 0.02, "adam", 0.08, "uniform")
+    moment = M.train_moment_pair(np.array([M.moment_of(x) for x in sets.values()]), 3, 4, steps=10, augment=1)
+    learned = M.LearnedPair(residual_mlp(3, 5, "ln_gelu", 1, 6, "none", 1), residual_mlp(5, 4, "ln_gelu", 1, 6, "none", 2))
+    want = {
+        "unrolled": lambda x: unrolled.decode(unrolled.fm.batch(x).mean(0), 2).theta,
+        "moment": lambda x: moment.moment(M.moment_of(x)),
+        "learned": lambda x: learned.decode(learned.sketch(x))[None],
+    }
+    for kind, pair in (("unrolled", unrolled), ("moment", moment), ("learned", learned)):
+        got = {}
+        for r in M.fit_from_sketch(df, pair, k=2).orderBy("dataset_id", "i").collect():
+            assert r.n == len(sets[r.dataset_id])
+            got.setdefault(r.dataset_id, []).append(r.theta)
+        for name, x in sets.items():
+            assert np.allclose(got[name], want[kind](x), atol=1e-6), kind
+        assert M.fit_from_sketch(df.limit(0), pair, k=2).count() == 0
+
+
+def test_pilot_scale(spark):
+    from sketchfit.operators.maps import pilot_scale
+
+    x = np.random.default_rng(0).random((40, 2))
+    got = pilot_scale(_sets(spark, {"a": x, "one": x[:1], "equal": np.repeat(x[:1], 5, axis=0)}), 64)
+    far = [np.linalg.norm(x[i] - x[j]) for i in range(40) for j in range(i)]
+    assert np.isclose(got["a"], np.median(far)) and got["one"] == got["equal"] == 1.0
+    assert pilot_scale(_sets(spark, {"a": x}).limit(0)) == {}
+
+
+def test_privacy_curve_and_log(spark):
+    from sketchfit.operators.measures import privacy_curve
+
+    got = privacy_curve(lambda eps, r: r / eps, (0.5, 2.0), 5)
+    assert [(e, q) for e, q, _ in got] == [(e, q) for e in (0.5, 2.0) for q in (0.1, 0.5, 0.9)]
+    assert [v for _, q, v in got if q == 0.5] == [4.0, 1.0]
+    rows = M.training_log(spark, [(0, 2.0, float("nan")), (5, 1.0, 3.0)]).orderBy("step").collect()
+    assert [tuple(r) for r in rows] == [(0, 2.0, None), (5, 1.0, 3.0)]
+    assert [tuple(r) for r in M.training_log(spark, [0.5, 0.25]).orderBy("step").collect()] == [(0, 0.5, None), (1, 0.25, None)]
