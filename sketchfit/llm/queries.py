@@ -116,9 +116,10 @@ b AS (SELECT CAST(item_id AS VARCHAR) AS item, regexp_extract_all(translate(text
 bw AS (SELECT item, unnest(range(greatest(len(ws) - 9, 1))) AS s, ws FROM b WHERE len(ws) > 0),
 win AS (SELECT item, list_aggregate(ws[s + 1 : least(s + 10, len(ws))], 'string_agg', ' ') AS phrase, least(10, len(ws)) AS n FROM bw),
 lens AS (SELECT DISTINCT n FROM win),
-g AS (SELECT k, doc, pos, n, string_agg(word, ' ') OVER (PARTITION BY k, n ORDER BY pos ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS p10, count(*) OVER (PARTITION BY k, n ORDER BY pos ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS c FROM w, lens WHERE n = 10),
-h AS (SELECT DISTINCT g.k, g.pos, win.item FROM g JOIN win ON g.p10 = win.phrase AND g.c = 10 AND win.n = 10),
-hp AS (SELECT k, count(DISTINCT pos + o) AS n_hit FROM h, range(10) t(o) GROUP BY k),
+f AS (SELECT k, pos, list(word) OVER (PARTITION BY k ORDER BY pos ROWS BETWEEN CURRENT ROW AND 9 FOLLOWING) AS l FROM w),
+g AS (SELECT k, pos, n, array_to_string(l[1 : n], ' ') AS phrase FROM f, lens WHERE len(l) >= n),
+h AS (SELECT DISTINCT g.k, g.pos, g.n, win.item FROM g JOIN win ON g.phrase = win.phrase AND g.n = win.n),
+hp AS (SELECT k, count(DISTINCT pos + o) AS n_hit FROM h, range(10) t(o) WHERE o < n GROUP BY k),
 hi AS (SELECT k, count(DISTINCT item) AS n_items, string_agg(DISTINCT item, ',' ORDER BY item) AS items FROM h GROUP BY k),
 d AS (SELECT row_number() OVER () AS k, doc_id, len(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')) AS n_words FROM documents)
 SELECT doc_id, n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items, sha256(coalesce(items, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated

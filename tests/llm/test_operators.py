@@ -623,3 +623,20 @@ def test_pipeline_stages(spark, sf):
 
 def test_registered_queries():
     assert sorted(k for k in queries.queries() if k.startswith("op")) == sorted(f"op{i}_{n}" for i, n in enumerate(("mixing", "url_filters", "suffix_dedup", "ngram_jaccard", "katz_scores", "pii", "chunk_dedup", "decontaminate", "token_files", "quality_rules"), 1))
+
+
+def test_decontamination_sql_with_items_of_every_length(spark):
+    import duckdb
+
+    words = [f"w{i}" for i in range(40)]
+    items = [("a", " ".join(words[:12])), ("b", " ".join(words[20:23])), ("c", "Solo"), ("d", " ".join(words[5:14])), ("e", ""), ("f", None), ("g", " ".join(words[30:40]))]
+    docs = [(1, " ".join(words)), (2, "x " + " ".join(words[19:24]) + " y solo, solo"), (3, " ".join(words[20:22])), (4, None), (5, ""), (6, " ".join(words[:9])), (7, "solo"), (7, "w30 " + " ".join(words[30:39]))]
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id string, text string")
+    con = duckdb.connect()
+    con.register("documents", d.toArrow())
+    con.register("benchmark", b.toArrow())
+    want = sorted(con.execute(f"SELECT doc_id, n_words, n_hit, n_items, items_sha256, contaminated FROM ({queries.LEAK_SQL})").fetchall())
+    got = decontaminate.contamination(d, b)
+    rows = sorted((r.doc_id, r.n_words, r.n_hit, r.n_items, hashlib.sha256(",".join(r.items or []).encode()).hexdigest(), r.contaminated) for r in got.collect())
+    assert rows == want
+    assert {r[0]: r[2] for r in rows if r[0] != 7} == {1: 27, 2: 5, 3: 0, 4: 0, 5: 0, 6: 0}
