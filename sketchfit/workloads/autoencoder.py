@@ -6,15 +6,17 @@ import math
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import features as X
-from ..meta.train import Autoencoder, LearnedPair, balanced_accuracy_local, kmeans_meta_loss, split_ids, train_autoencoder, train_pair
+from ..meta.train import Autoencoder, LearnedPair, kmeans_meta_loss, split_ids, train_autoencoder, train_pair
 from ..meta.layers import residual_mlp
 from ..operators.kmeans import kmeans_mse_local
+from ..operators.sketch import mean_sketch
 from ..plans.registry import Registry
 from ..sources.planted import planted_mixture
+from ..sources.tables import written
 from .common import result
 
 R = Registry()
@@ -22,7 +24,7 @@ WIDTH, CODE = 48, 12
 
 
 def bit_arrays(spark: SparkSession, sf_dir: str, rows: int = 600) -> dict[str, tuple[np.ndarray, np.ndarray]]:
-    """Bits and classes of each dataset: bounded samples of least key hash for training and for the small models' scores."""
+    """Bits and classes of each dataset: bounded samples of least key hash, for training alone."""
     df = X.bit_sets(spark, sf_dir, WIDTH)
     w = Window.partitionBy("dataset_id").orderBy(F.md5(F.col("row_key").cast("binary")), "row_key")
     got = df.withColumn("r", F.row_number().over(w)).where(F.col("r") <= rows).select("dataset_id", "r", "cls", "features").toPandas().sort_values(["dataset_id", "r"])
@@ -33,83 +35,80 @@ def bit_arrays(spark: SparkSession, sf_dir: str, rows: int = 600) -> dict[str, t
     return out
 
 
-def matrix(sets: dict[str, tuple[np.ndarray, np.ndarray]], steps: int, modes: tuple[str, ...] = ("plain", "mean", "mean_sketch", "per_class"), specific: bool = True, source: str = "embeddings") -> list[tuple]:
-    """(model, test set, balanced accuracy): one plain model for each set, and models of every mode trained on the randomised source alone."""
-    out = []
-    models: list[tuple[str, Autoencoder]] = []
+def trained(sets: dict[str, tuple[np.ndarray, np.ndarray]], steps: int, modes: tuple[str, ...] = ("plain", "mean", "mean_sketch", "per_class"), specific: bool = True, source: str = "embeddings") -> dict[str, Autoencoder]:
+    """One plain model for each set, and models of every mode trained on the randomised source alone."""
+    models: dict[str, Autoencoder] = {}
     if specific:
         for name in sorted(sets):
-            ae = Autoencoder(WIDTH, CODE, 48, "plain", seed=1)
+            models[f"own:{name}"] = ae = Autoencoder(WIDTH, CODE, 48, "plain", seed=1)
             train_autoencoder(ae, [sets[name]], steps, seed=1)
-            models.append((f"own:{name}", ae))
     for mode in modes:
-        ae = Autoencoder(WIDTH, CODE, 48, mode, 24, seed=1)
+        models[f"randomised:{mode}"] = ae = Autoencoder(WIDTH, CODE, 48, mode, 24, seed=1)
         train_autoencoder(ae, [sets[source]], 3 * steps, seed=1, randomize=True)
-        models.append((f"randomised:{mode}", ae))
-    for model, ae in models:
-        for name in sorted(sets):
-            x, cls = sets[name]
-            z = ae.condition(x.astype(float), cls if ae.mode == "per_class" else None)
-            out.append((model, name, balanced_accuracy_local(x, ae.reconstruct(x.astype(float), z))))
-    return out
+    return models
+
 
+class ConditionRows:
+    """The feature map whose mean conditions a model."""
 
-def scored(df: DataFrame, ae: Autoencoder, classes: bool = False) -> DataFrame:
-    """Reconstruction of all rows of a table of bits: scan one builds the conditioning means, scan two reconstructs; only confusion counts leave the tasks."""
-    from ..operators.maps import FeatureMap
+    kind, has_columns, bound = "network", False, None
 
-    keys = ["dataset_id", "cls"] if classes else ["dataset_id"]
-    conditions: dict = {}
-    if ae.mode != "plain":
-        from ..operators.sketch import mean_sketch
+    def __init__(self, name: str, ae: Autoencoder):
+        self.map_id, self.m, self.batch = name, ae.zd, ae.sketch_rows
 
-        class Rows:
-            m, map_id, kind, has_columns, bound = ae.zd, "ae", "network", False, None
 
-            @staticmethod
-            def batch(x):
-                return ae.sketch_rows(x)
+def scored(df: DataFrame, models: dict[str, Autoencoder]) -> DataFrame:
+    """model, dataset_id, ba: reconstruction of all rows of a table of bits. A scan for each conditioned model builds its means, one scan reconstructs with every model; only confusion counts leave the tasks.
 
-        sk = mean_sketch(df.withColumn("__k", F.concat_ws("\u0001", *keys)), Rows(), "__k", "arrow")
-        conditions = {r.dataset_id: np.array(r.acc) / r.n for r in sk.select("dataset_id", "n", "acc").collect()}  # one for each dataset (and class)
-    schema = "dataset_id string, tp long, fn long, tn long, fp long"
+    Models without condition need no means; `per_class` ones have a mean for each dataset and class (nulls are a class of their own).
+    """
+    rows = df.select("dataset_id", F.concat_ws("\u0001", "dataset_id", F.coalesce("cls", F.lit("\u0002"))).alias("class_key"), "features")
+    conditions: dict[str, dict] = {}
+    for name, ae in models.items():
+        if ae.mode != "plain":
+            sk = mean_sketch(rows, ConditionRows(name, ae), "class_key" if ae.mode == "per_class" else "dataset_id", "arrow")
+            conditions[name] = {r.dataset_id: np.array(r.acc) / r.n for r in sk.select("dataset_id", "n", "acc").collect()}  # one for each dataset (and class)
+    kinds = ("tp", "fn", "tn", "fp")
+    schema = "model string, dataset_id string, tp long, fn long, tn long, fp long"
 
     def run(pdfs):
+        held: dict[tuple[str, str], np.ndarray] = {}
         for pdf in pdfs:
-            if not len(pdf):
-                continue
-            key = pdf[keys[0]] if len(keys) == 1 else pdf[keys[0]] + "\u0001" + pdf[keys[1]]
-            for k, part in pdf.groupby(key):
-                x = np.stack(part["features"].to_numpy())
-                z = conditions.get(k)
-                y = ae.reconstruct(x, None if z is None else np.repeat(z[None], len(x), axis=0))
-                t = x > 0.5
-                yield pd.DataFrame({"dataset_id": [part["dataset_id"].iloc[0]], "tp": [int((t & (y == 1)).sum())], "fn": [int((t & (y == 0)).sum())], "tn": [int((~t & (y == 0)).sum())], "fp": [int((~t & (y == 1)).sum())]})
-
-    c = df.select("dataset_id", "cls", "features").mapInPandas(run, schema).groupBy("dataset_id").agg(*[F.sum(k).alias(k) for k in ("tp", "fn", "tn", "fp")])
+            for name, ae in models.items():
+                for k, part in pdf.groupby("class_key" if ae.mode == "per_class" else "dataset_id"):
+                    x = np.stack(part["features"].to_numpy())
+                    z = conditions.get(name, {}).get(k)
+                    y = ae.reconstruct(x, None if z is None else np.repeat(z[None], len(x), axis=0)) == 1
+                    t = x > 0.5
+                    key = (name, part["dataset_id"].iloc[0])
+                    held[key] = held.get(key, 0) + np.array([(t & y).sum(), (t & ~y).sum(), (~t & ~y).sum(), (~t & y).sum()])
+        yield pd.DataFrame([(*k, *map(int, v)) for k, v in held.items()], columns=["model", "dataset_id", *kinds])
+
+    c = rows.mapInPandas(run, schema).groupBy("model", "dataset_id").agg(*[F.sum(k).alias(k) for k in kinds])
     rates = F.array_compact(F.array(F.try_divide("tp", F.col("tp") + F.col("fn")), F.try_divide("tn", F.col("tn") + F.col("fp"))))
-    assert FeatureMap  # the map protocol that Rows follows
-    return c.select("dataset_id", (F.aggregate(rates, F.lit(0.0), lambda a, b: a + b) / F.size(rates)).alias("ba"))
+    return c.select("model", "dataset_id", (F.aggregate(rates, F.lit(0.0), lambda a, b: a + b) / F.size(rates)).alias("ba"))
 
 
 @R.add("w08")
 def w08(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
-    """Balanced accuracy of every model on every set; the conditioned model is scored over whole tables."""
-    sets = bit_arrays(spark, sf_dir, 400 if quick else 2000)
-    steps = 150 if quick else 2000
-    rows = [("matrix", i, f"{model}|{name}", "balanced_accuracy", v) for i, (model, name, v) in enumerate(matrix(sets, steps))]
-    ae = Autoencoder(WIDTH, CODE, 48, "mean", 24, seed=1)
-    train_autoencoder(ae, [sets["embeddings"]], 3 * steps, seed=1, randomize=True)
-    rows += [("whole_table", 0, f"randomised:mean|{r.dataset_id}", "balanced_accuracy", r.ba) for r in scored(X.bit_sets(spark, sf_dir, WIDTH), ae).collect()]
-    return result(spark, rows)
+    """Balanced accuracy of every model on every set, over whole tables; training takes bounded samples."""
+    models = trained(bit_arrays(spark, sf_dir, 400 if quick else 2000), 150 if quick else 2000)
+    got = scored(written(X.bit_sets(spark, sf_dir, WIDTH), "w08"), models)
+    return micro_rows(got, F.lit("matrix"), F.concat_ws("|", "model", "dataset_id"), list(models))
 
 
 @R.add("w09")
 def w09(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
-    """Averages over the sets of the randomised-source models: no conditioning, mean, mean and sketch, both per class."""
-    got = matrix(bit_arrays(spark, sf_dir, 400 if quick else 2000), 250 if quick else 2000, specific=False)
-    models = dict.fromkeys(m for m, _, _ in got)
-    return result(spark, [(m, i, "mean", "balanced_accuracy", float(np.mean([v for a, _, v in got if a == m]))) for i, m in enumerate(models)])
+    """Averages over the sets of the randomised-source models: no conditioning, mean, mean and sketch, both per class. Scores are over whole tables."""
+    models = trained(bit_arrays(spark, sf_dir, 400 if quick else 2000), 250 if quick else 2000, specific=False)
+    got = scored(written(X.bit_sets(spark, sf_dir, WIDTH), "w09"), models).groupBy("model").agg(F.avg("ba").alias("ba"))
+    return micro_rows(got, F.col("model"), F.lit("mean"), list(models))
+
+
+def micro_rows(got: DataFrame, method: Column, dataset: Column, models: list[str]) -> DataFrame:
+    """The long result form; param is the place of the model."""
+    place = F.array_position(F.array(*[F.lit(m) for m in models]), F.col("model")) - 1
+    return got.select(method.alias("method"), place.cast("double").alias("param"), dataset.alias("dataset_id"), F.lit("balanced_accuracy").alias("metric"), F.floor(F.col("ba") * 1e6 + 0.5).cast("long").alias("value_micro"))
 
 
 @R.add("w15")
