@@ -27,28 +27,51 @@ def rowsketch_sparse(df: DataFrame, s: int, d: int, seed: int = 0, key: str = "r
     return df.select("dataset_id", bucket_col(s, f"bucket{seed}", k).alias("bucket"), V.scale(x, sign).alias("x")).groupBy("dataset_id", "bucket").agg(F.count(F.lit(1)).alias("n"), F.array(*[F.sum(F.get("x", F.lit(j))) for j in range(d)]).alias("row"))
 
 
+def keyed_normals(h: np.ndarray, s: int) -> np.ndarray:
+    """len(h) x s normals, each a function of its row's 64-bit key and its place alone."""
+    z = h.astype(np.uint64)[:, None] + np.arange(1, 2 * s + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    z = (z ^ (z >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    z = (z ^ (z >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    u = ((z ^ (z >> np.uint64(31))) >> np.uint64(11)).astype(float) / (1 << 53)
+    return np.sqrt(-2.0 * np.log1p(-u[:, :s])) * np.cos(2.0 * np.pi * u[:, s:])
+
+
 def rowsketch_gaussian(df: DataFrame, s: int, d: int, seed: int = 0, key: str = "row_key") -> DataFrame:
-    """dataset_id, i, row: rows of G X / sqrt(s), G drawn per row from its key, so it is the same on every worker and retry."""
+    """dataset_id, i, n, row: rows of G X / sqrt(s), G drawn per row from its key, so it is the same on every worker and retry. A task adds up a dataset by one matrix product a batch."""
     schema = "dataset_id string, n long, acc array<double>"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
     rows = df.select(F.col("dataset_id").cast("string"), V.as_doubles(F.col("features")).alias("features"), F.xxhash64(F.col(key).cast("string"), F.lit(seed)).alias("h"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict = {}
+
+        def flush() -> pa.RecordBatch:
+            out = pa.RecordBatch.from_arrays([pa.array(list(held), pa.string()), pa.array([v[0] for v in held.values()], pa.int64()), pa.array([v[1].ravel() for v in held.values()], arrow.field(2).type)], schema=arrow)
+            held.clear()
+            return out
+
         for batch in batches:
-            x = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1) if batch.num_rows else np.zeros((0, d))
-            for name, row, h in zip(batch.column(0).to_pylist(), x, batch.column(2).to_pylist()):
-                g = np.random.Generator(np.random.Philox(h & 0xFFFFFFFFFFFFFFFF)).standard_normal(s)
+            if not batch.num_rows:
+                continue
+            x = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            g = keyed_normals(batch.column(2).to_numpy(zero_copy_only=False), s)
+            coded = batch.column(0).dictionary_encode()
+            code, names = coded.indices.fill_null(len(coded.dictionary)).to_numpy(zero_copy_only=False), [*coded.dictionary.to_pylist(), None]
+            order = np.argsort(code, kind="stable")
+            for rows_of in np.split(order, np.flatnonzero(np.diff(code[order])) + 1):
+                name = names[code[rows_of[0]]]
                 n, acc = held.get(name, (0, 0.0))
-                held[name] = (n + 1, acc + np.outer(g, row))
+                held[name] = (n + len(rows_of), acc + g[rows_of].T @ x[rows_of])
+            if len(held) * s * d >= 8_000_000:
+                yield flush()
         if held:
-            yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.string()), pa.array([v[0] for v in held.values()], pa.int64()), pa.array([v[1].ravel() for v in held.values()], arrow.field(2).type)], schema=arrow)
+            yield flush()
 
     parts = rows.mapInArrow(run, schema)
     n = parts.groupBy("dataset_id").agg(F.sum("n").alias("n"))
     long = parts.select("dataset_id", F.posexplode("acc").alias("p", "v")).groupBy("dataset_id", "p").agg(F.sum("v").alias("v"))
     wide = long.select("dataset_id", F.floor(F.col("p") / d).cast("int").alias("i"), F.struct((F.col("p") % d).alias("j"), (F.col("v") / float(np.sqrt(s))).alias("v")).alias("c")).groupBy("dataset_id", "i").agg(F.array_sort(F.collect_list("c")).alias("c"))
-    return wide.join(n, "dataset_id").select("dataset_id", "i", "n", F.col("c.v").alias("row"))
+    return wide.join(n, F.expr("1=1") & wide["dataset_id"].eqNullSafe(n["dataset_id"])).select(wide["dataset_id"], "i", "n", F.col("c.v").alias("row"))
 
 
 def rowsample(df: DataFrame, s: int, seed: int = 0, key: str = "row_key") -> DataFrame:

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import features as X
 from ..functions import vectors as V
-from ..meta.train import bank_of, split_ids, train_moment_pair
+from ..functions.keyed_random import uniform_col
+from ..meta.train import train_moment_pair
 from ..operators import baselines as B
 from ..operators import moment_decoders as D
 from ..operators import sketch as S
@@ -16,6 +18,7 @@ from ..operators import tasks as T
 from ..operators.maps import random_projection
 from ..operators.measures import size_grid
 from ..plans.registry import Registry
+from ..sources.tables import written
 from .common import result
 
 R = Registry()
@@ -50,53 +53,107 @@ def decoders(z: np.ndarray, a: np.ndarray, d: int, quick: bool) -> dict[str, np.
     return {"robust": D.decode_robust(z, a, d, max(1, d // 4), steps).r, "accelerated": D.decode_accelerated(z, a, d, steps).r, "expgrad": D.decode_expgrad(z, a, d, steps).r, "gradient": D.decode_gradient(z, a, d, steps).r}
 
 
-def sweep(bank: dict[str, tuple[int, np.ndarray]], rows: dict[str, np.ndarray] | None, d: int, sizes: list[int], train: list[str], test: list[str], error, quick: bool = True, steps: int = 150, rate: float = 1e-3) -> list[tuple]:
-    """Every method at every size; `error(exact, estimated)` is compared with that of the exact moment. rows: bounded row samples for the row-sketch baselines."""
-    out = []
-    full_bank = bank_of(bank, train)
+#: Most training datasets whose moments the driver fits a pair on: those of least md5 of the id. Every other dataset is scored.
+MAX_TRAIN = 256
+SCORE = "method string, param double, dataset_id string, value double"
+
+
+def halves(moments: DataFrame, limit: int = MAX_TRAIN) -> tuple[np.ndarray, DataFrame]:
+    """The bank of the training half (at most `limit` datasets, collected) and the moments of all datasets of the other half."""
+    train = uniform_col("split0", F.col("dataset_id")) < 0.5
+    bank = moments.where(train).orderBy(F.md5(F.col("dataset_id").cast("binary")), "dataset_id").limit(limit).collect()
+    return np.array([r.v for r in bank]), moments.where(~train)
+
+
+def row_moments(rows: DataFrame, d: int, sizes: list[int]) -> DataFrame:
+    """dataset_id, method, m, r: moments that the row sketches and the row sample estimate, over all rows of every dataset, at equal budgets of numbers."""
+    out = None
+    for m in sizes:
+        s = B.rows_for_budget(m, d)
+        sparse = B.rowsketch_sparse(rows, s, d, 3).select("dataset_id", F.col("n").alias("c"), V.outer_lt(F.col("row"), d).alias("o"))
+        gauss = B.rowsketch_gaussian(rows, s, d, 3).select("dataset_id", (F.col("n") / s).alias("c"), V.outer_lt(F.col("row"), d).alias("o"))
+        sample = B.rowsample(rows, s, 3).select("dataset_id", F.lit(1.0).alias("c"), V.outer_lt(F.col("features"), d).alias("o"))
+        for name, parts in (("row_sparse", sparse), ("row_gaussian", gauss), ("row_sample", sample)):
+            flat = parts.select("dataset_id", "c", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in range(D.full_size(d))])
+            one = flat.groupBy("dataset_id").agg(F.array(*[F.sum(f"o{j}") / F.sum("c") for j in range(D.full_size(d))]).alias("r"))
+            one = one.select("dataset_id", F.lit(name).alias("method"), F.lit(m).alias("m"), "r")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int], error, quick: bool = True, steps: int = 150, rate: float = 1e-3) -> DataFrame:
+    """method, param (the size), dataset_id, value (log error ratio against the exact moment) of every method on every dataset of the test half. The datasets are spread over tasks.
+
+    moments: dataset_id, v. rows: all rows, for the row-sketch baselines.
+    """
+    bank, test = halves(moments)
+    mean = bank.mean(0)
+    models = {}
     for m in sizes:
-        pair = train_moment_pair(full_bank, d, m, steps=steps, rate=rate, seed=1)
-        mean = full_bank.mean(0)
-        chi, unit = (random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit"))
-        for name in test:
-            v = bank[name][1]
-            exact = S.unpack_lt(v, d)
-            ref = error(exact, exact)
-            got = {"learned": pair.moment(v), "chi": D.decode_pinv(chi @ v, chi, d).r, "unit": D.decode_pinv(unit @ v, unit, d).r}
-            got["random_offset"] = S.unpack_lt(mean, d) + D.decode_pinv(chi @ (v - mean), chi, d).r
-            if not quick or d <= 10:
-                got |= decoders(chi @ v, chi, d, quick)
-            if rows is not None and name in rows:
-                x, rng = rows[name], np.random.default_rng(3)
-                s = B.rows_for_budget(m, d)
-                got |= {"row_sparse": B.sparse_local(x, s, rng), "row_gaussian": B.gaussian_local(x, s, rng), "row_sample": B.moment_from_rows(x[rng.choice(len(x), min(s, len(x)), replace=False)], min(s, len(x)))}
-            for method, r in got.items():
-                out.append((method, m, name, "lre", T.lre(max(error(exact, r), 1e-300), max(ref, 1e-300))))
+        maps = {law: random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit")}
+        models[m] = (train_moment_pair(bank, d, m, steps=steps, rate=rate, seed=1), maps, {law: np.linalg.pinv(a) for law, a in maps.items()})
+
+    def estimates(v: np.ndarray, m: int) -> dict[str, np.ndarray]:
+        pair, maps, back = models[m]
+        out = {"learned": pair.moment(v), **{law: S.unpack_lt(back[law] @ (a @ v), d) for law, a in maps.items()}}
+        out["random_offset"] = S.unpack_lt(mean + back["chi"] @ (maps["chi"] @ (v - mean)), d)
+        if not quick or d <= 10:
+            out |= decoders(maps["chi"] @ v, maps["chi"], d, quick)
+        return out
+
+    def ratio(exact: np.ndarray, r: np.ndarray) -> float:
+        return float(T.lre(max(error(exact, r), 1e-300), max(error(exact, exact), 1e-300)))
+
+    def from_moments(pdfs):
+        for pdf in pdfs:
+            got = []
+            for name, v in zip(pdf["dataset_id"], pdf["v"]):
+                v = np.asarray(v, dtype=float)
+                exact = S.unpack_lt(v, d)
+                got += [(method, float(m), name, ratio(exact, r)) for m in sizes for method, r in estimates(v, m).items()]
+            yield pd.DataFrame(got, columns=["method", "param", "dataset_id", "value"])
+
+    def from_rows(pdfs):
+        for pdf in pdfs:
+            got = [(method, float(m), name, ratio(S.unpack_lt(np.asarray(v, dtype=float), d), S.unpack_lt(np.asarray(r, dtype=float), d))) for name, v, method, m, r in zip(pdf["dataset_id"], pdf["v"], pdf["method"], pdf["m"], pdf["r"])]
+            yield pd.DataFrame(got, columns=["method", "param", "dataset_id", "value"])
+
+    spread = int(moments.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    out = test.select("dataset_id", "v").repartition(spread, "dataset_id").mapInPandas(from_moments, SCORE)
+    if rows is not None:
+        held_out = rows.where(uniform_col("split0", F.col("dataset_id")) >= 0.5)
+        both = row_moments(held_out, d, sizes).join(test.select("dataset_id", "v"), "dataset_id")
+        out = out.unionByName(both.select("dataset_id", "v", "method", "m", "r").mapInPandas(from_rows, SCORE))
     return out
 
 
-def _line(spark, sf_dir, quick):
-    df = X.line_num(spark, sf_dir)
-    bank = moments_of(df, 8)
-    ids = sorted(bank)
-    if quick:
-        ids = ids[:40]
-    train, test = split_ids(ids)
-    rows = X.bounded_rows(df.where(F.col("dataset_id").isin(test)), 500)
-    return bank, rows, 8, train, test
+def means(scores: list[tuple[str, DataFrame]], metric: str = "lre") -> DataFrame:
+    """The long result form: averages over datasets, the collection's name before the method's. A value that is not finite or beyond 1e12 leaves its average null."""
+    out = None
+    for name, df in scores:
+        one = df.groupBy(F.concat(F.lit(f"{name}:"), "method").alias("method"), "param").agg(F.avg("value").alias("value"))
+        out = one if out is None else out.unionByName(one)
+    v = F.col("value")
+    return out.select("method", "param", F.lit("mean").alias("dataset_id"), F.lit(metric).alias("metric"), F.when(F.abs(v) < 1e12, F.floor(v * 1e6 + 0.5)).cast("long").alias("value_micro"))
+
+
+def collection(rows: DataFrame, d: int, kind: str) -> tuple[DataFrame, DataFrame]:
+    """The rows and their moments (dataset_id, n, v), each written once and read by every method."""
+    rows = written(rows.select("dataset_id", "row_key", "features"), f"{kind}-rows")
+    return rows, written(S.second_moment(rows, d, "dataset_id"), f"{kind}-moments")
 
 
 @R.add("w01")
 def w01(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
-    """Components against size: suppliers' lines (d = 8) and documents by source (d = 16 here; 64 when not quick)."""
-    bank, rows, d, train, test = _line(spark, sf_dir, quick)
-    sizes = size_grid(d, (5, 20, 50, 80, 100) if quick else (1, 5, 10, 20, 40, 60, 80, 100))
-    out = [(f"line:{a}", *b) for a, *b in sweep(bank, rows, d, sizes, train, test, rank_mean_error, quick)]
+    """Components against size over all datasets and rows: embeddings by label (d = 64), suppliers' lines (d = 8), documents by source (d = 16; 64 when not quick)."""
     dd = 16 if quick else 64
-    docs = moments_of(X.documents_by(spark, sf_dir, dd), dd)
-    tr, te = split_ids(sorted(docs))
-    out += [(f"documents:{a}", *b) for a, *b in sweep(docs, None, dd, size_grid(dd, (3, 10, 30, 100)), tr, te, rank_mean_error, quick)]
-    return averaged(spark, out)
+    rows, moments = collection(X.line_num(spark, sf_dir), 8, "w01-line")
+    parts = [("line", sweep(moments, rows, 8, size_grid(8, (5, 20, 50, 80, 100) if quick else (1, 5, 10, 20, 40, 60, 80, 100)), rank_mean_error, quick))]
+    _, moments = collection(X.documents_by(spark, sf_dir, dd), dd, "w01-documents")
+    parts.append(("documents", sweep(moments, None, dd, size_grid(dd, (3, 10, 30, 100)), rank_mean_error, quick)))
+    _, moments = collection(X.emb64(spark, sf_dir), 64, "w01-embeddings")
+    parts.append(("embeddings", sweep(moments, None, 64, size_grid(64, (1, 5, 20) if quick else (1, 5, 20, 50, 100)), rank_mean_error, True)))
+    return means(parts)
 
 
 def averaged(spark: SparkSession, rows: list[tuple]) -> DataFrame:
@@ -119,21 +176,11 @@ def ridge_error(lam: float):
 
 @R.add("w02")
 def w02(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
-    """Regression of the charge on price, quantity, discount, tax, retail price and size."""
-    bank, rows, d, train, test = _line(spark, sf_dir, quick)
+    """Regression of the charge on price, quantity, discount, tax, retail price and size, over all suppliers and rows; lambda 0, 0.001 and 0.1."""
     keep = [0, 2, 3, 4, 5, 6, 7]  # without the net price, which would give the target away
-    lt = [S_index(a, b) for i, a in enumerate(keep) for b in keep[: i + 1]]
-    bank = {k: (n, v[lt]) for k, (n, v) in bank.items()}
-    rows = {k: x[:, keep] for k, x in rows.items()}
-    out = []
-    for lam in (1e-3, 1e-1) if quick else (0.0, 1e-3, 1e-1):
-        got = sweep(bank, rows, 7, size_grid(7, (10, 40, 70, 100)), train, test, ridge_error(lam), quick)
-        out += [(f"lambda={lam:g}:{a}", *b) for a, *b in got]
-    return averaged(spark, out)
-
-
-def S_index(a: int, b: int) -> int:  # noqa: N802
-    return V.lt_index(a, b)
+    line = X.line_num(spark, sf_dir).withColumn("features", F.array(*[F.get("features", F.lit(j)) for j in keep]))
+    rows, moments = collection(line, 7, "w02")
+    return means([(f"lambda={lam:g}", sweep(moments, rows, 7, size_grid(7, (10, 40, 70, 100)), ridge_error(lam), quick)) for lam in (0.0, 1e-3, 1e-1)])
 
 
 @R.add("w04", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(196 AS INTEGER) AS width, CAST(8 AS INTEGER) AS filled FROM lineitem JOIN part ON l_partkey = p_partkey")
@@ -155,20 +202,23 @@ def w14(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def learned_against_random(spark: SparkSession, sf_dir: str, task: str = "pca") -> list[tuple[float, float]]:
-    """(learned, best random) mean log error ratio at sizes below the full one, on unseen datasets."""
-    bank, _, d, train, test = _line(spark, sf_dir, True)
-    out = []
+    """(learned, best random) mean log error ratio at sizes below the full one, on all unseen datasets."""
+    d = 8
+    moments = written(S.second_moment(X.line_num(spark, sf_dir), d, "dataset_id"), "moments")
     error = rank_mean_error if task == "pca" else ridge_error(1e-2)
-    for m in (4, 9, 18):
-        pair = train_moment_pair(bank_of(bank, train), d, m, steps=150, rate=1e-3, seed=1)
-        chi, unit = (random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit"))
-        got: dict[str, list] = {"learned": [], "chi": [], "unit": []}
-        for name in test:
-            v = bank[name][1]
-            exact = S.unpack_lt(v, d)
-            ref = error(exact, exact)
-            for key, r in (("learned", pair.moment(v)), ("chi", D.decode_pinv(chi @ v, chi, d).r), ("unit", D.decode_pinv(unit @ v, unit, d).r)):
-                got[key].append(T.lre(error(exact, r), ref))
-        mean = {k: float(np.mean(v)) for k, v in got.items()}
-        out.append((mean["learned"], min(mean["chi"], mean["unit"])))
-    return out
+    bank, test = halves(moments)
+    models = {m: (train_moment_pair(bank, d, m, steps=150, rate=1e-3, seed=1), *(random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit"))) for m in (4, 9, 18)}
+
+    def run(pdfs):
+        for pdf in pdfs:
+            got = []
+            for v in map(np.asarray, pdf["v"]):
+                exact = S.unpack_lt(v, d)
+                ref = error(exact, exact)
+                for m, (pair, chi, unit) in models.items():
+                    rs = (pair.moment(v), D.decode_pinv(chi @ v, chi, d).r, D.decode_pinv(unit @ v, unit, d).r)
+                    got.append((m, *(float(T.lre(error(exact, r), ref)) for r in rs)))
+            yield pd.DataFrame(got, columns=["m", "learned", "chi", "unit"])
+
+    mean = test.select("v").mapInPandas(run, "m int, learned double, chi double, unit double").groupBy("m").agg(*[F.avg(c).alias(c) for c in ("learned", "chi", "unit")])
+    return [(r.learned, min(r.chi, r.unit)) for r in mean.orderBy("m").collect()]
