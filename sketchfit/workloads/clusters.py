@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,15 +15,16 @@ from ..meta.train import split_ids, train_unrolled_pair, unrolled_from, unrolled
 from ..operators import privacy as P
 from ..operators import sketch as S
 from ..operators.kmeans import decode_greedy, decode_message_passing, decode_unrolled, kmeans_exact, kmeans_mse_local, lloyd_local
-from ..operators.maps import fourier_map, nystrom_map
+from ..operators.maps import FeatureMap, concat_maps, fourier_map, nystrom_map
 from ..operators.measures import growth_exponent, privacy_curve
 from ..plans.registry import Registry
 from ..sources.planted import planted_mixture
 from ..sources.tables import written
 from .common import result
-from .moments import averaged
+from .moments import averaged, means
 
 R = Registry()
+EFFORT = {"restarts": 3, "ascent": 40, "polish": 60}
 
 
 def methods(x: np.ndarray, d: int, k: int, m: int, sigma: float, pair=None, quick: bool = True) -> dict[str, tuple[np.ndarray, float]]:
@@ -35,7 +38,7 @@ def methods(x: np.ndarray, d: int, k: int, m: int, sigma: float, pair=None, quic
     rff, ada = fourier_map(d, m, sigma, "gaussian", 1), fourier_map(d, m, sigma, "adapted", 1)
     marks = x[np.random.default_rng(4).choice(len(x), max(2, m // (d + 1)))]
     nys = nystrom_map(marks, 1 / (2 * sigma**2))
-    effort = {"restarts": 3, "ascent": 40, "polish": 60} if quick else {}
+    effort = EFFORT if quick else {}
     run("lloyd", lambda: lloyd_local(x, k, 20, 1, 3))
     for name, fm in (("fourier_greedy", rff), ("adapted_greedy", ada), ("nystrom_greedy", nys)):
         run(name, lambda fm=fm: decode_greedy(fm.batch(x).mean(0), fm, k, **effort).theta)
@@ -47,28 +50,110 @@ def methods(x: np.ndarray, d: int, k: int, m: int, sigma: float, pair=None, quic
     return out
 
 
-def document_sets(spark: SparkSession, sf_dir: str, d: int, rows: int = 400) -> dict[str, np.ndarray]:
-    return X.bounded_rows(X.projected_documents(spark, sf_dir, d), rows)
+def sketched_centroids(rows: DataFrame, maps: dict[str, FeatureMap], decode: Callable[[str, np.ndarray], dict[str, np.ndarray]]) -> dict[tuple[str, str], np.ndarray]:
+    """(dataset, method) to centroids: one scan builds the sketches of all maps, the datasets' decoders run in tasks. decode gives methods and centroids from a map's name and a sketch."""
+    sk = S.mean(S.mean_sketch(rows, concat_maps(*maps.values()), "dataset_id", "arrow")).select("dataset_id", "z")
+    ends = np.cumsum([f.m for f in maps.values()])
+    places = [(name, int(end - f.m), int(end)) for (name, f), end in zip(maps.items(), ends)]
+
+    def run(pdfs):
+        for pdf in pdfs:
+            got = [(name, method, theta.ravel()) for name, z in zip(pdf["dataset_id"], pdf["z"]) for which, lo, hi in places for method, theta in decode(which, np.asarray(z)[lo:hi]).items()]
+            yield pd.DataFrame(got, columns=["dataset_id", "method", "theta"])
+
+    spread = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    d = next(iter(maps.values())).d
+    out = sk.repartition(spread, "dataset_id").mapInPandas(run, "dataset_id string, method string, theta array<double>").collect()  # k x d numbers for a dataset and method
+    return {(r.dataset_id, r.method): np.array(r.theta).reshape(-1, d) for r in out}
+
+
+def near_sums(rows: DataFrame, thetas: dict[tuple[str, str], np.ndarray]) -> DataFrame:
+    """dataset_id, method, cid, n, s (sum of rows), e (sum of squared distances) over all rows; partial sums leave the tasks."""
+    by: dict[str, list] = {}
+    for (name, method), theta in thetas.items():
+        by.setdefault(name, []).append((method, theta))
+
+    def run(pdfs):
+        held: dict[tuple, list] = {}
+        for pdf in pdfs:
+            for name, part in pdf.groupby("dataset_id"):
+                x = np.stack(part["features"].to_numpy())
+                for method, theta in by.get(name, ()):
+                    d2 = ((x[:, None] - theta[None]) ** 2).sum(-1)
+                    c = d2.argmin(1)
+                    for j in np.unique(c):
+                        got = held.setdefault((name, method, int(j)), [0, 0.0, 0.0])
+                        got[0] += int((c == j).sum())
+                        got[1] = got[1] + x[c == j].sum(0)
+                        got[2] += float(d2[c == j, j].sum())
+        yield pd.DataFrame([(*k, *v) for k, v in held.items()], columns=["dataset_id", "method", "cid", "n", "s", "e"])
+
+    parts = rows.select("dataset_id", "features").mapInPandas(run, "dataset_id string, method string, cid int, n long, s array<double>, e double")
+    d = next(iter(thetas.values())).shape[1]
+    return parts.groupBy("dataset_id", "method", "cid").agg(F.sum("n").alias("n"), F.array(*[F.sum(F.get("s", F.lit(j))) for j in range(d)]).alias("s"), F.sum("e").alias("e"))
+
+
+def lloyd_all(rows: DataFrame, pilots: dict[str, np.ndarray], k: int, steps: int = 20, starts: int = 3) -> dict[tuple[str, str], np.ndarray]:
+    """Lloyd's algorithm over all rows of all datasets and starts at once, a scan a step; seeded on bounded pilots. It ends early when no centroid moves."""
+    thetas = {(name, f"lloyd#{i}"): lloyd_local(x, k, 0, i, 1) for name, x in pilots.items() for i in range(starts)}
+    for _ in range(steps):
+        moved = 0.0
+        for r in near_sums(rows, thetas).collect():  # k rows for a dataset and start
+            new = np.array(r.s) / r.n
+            moved = max(moved, float(np.abs(thetas[r.dataset_id, r.method][r.cid] - new).max()))
+            thetas[r.dataset_id, r.method][r.cid] = new
+        if moved < 1e-9:
+            break
+    return thetas
+
+
+def document_scores(spark: SparkSession, sf_dir: str, d: int, k: int, sizes: tuple[int, ...], quick: bool) -> DataFrame:
+    """method, param, dataset_id, value: mean squared distance over all documents of every test source. The training sources give bounded samples, for the learned pair and the landmarks."""
+    rows = written(X.projected_documents(spark, sf_dir, d).select("dataset_id", "row_key", "features"), "w05")
+    train, test = split_ids(sorted(r.dataset_id for r in rows.select("dataset_id").distinct().collect()))  # sources
+    known = X.bounded_rows(rows.where(F.col("dataset_id").isin(train)), 400)
+    unseen = rows.where(F.col("dataset_id").isin(test))
+    lloyd = lloyd_all(unseen, X.bounded_rows(unseen, 400), k)
+    effort = EFFORT if quick else {}
+    out = None
+    for m in sizes:
+        pair = train_unrolled_pair([known[i] for i in sorted(known)[:4]], k, m, budget=24 if quick else 200, steps=80, seed=1)
+        marks = np.vstack([known[i] for i in sorted(known)])
+        marks = marks[np.random.default_rng(4).choice(len(marks), max(2, m // (d + 1)))]
+        maps = {"fourier": fourier_map(d, m, 0.25, "gaussian", 1), "adapted": fourier_map(d, m, 0.25, "adapted", 1), "nystrom": nystrom_map(marks, 1 / (2 * 0.25**2)), "learned": pair.fm}
+
+        def decode(which: str, z: np.ndarray, maps=maps, pair=pair) -> dict[str, np.ndarray]:
+            if which == "learned":
+                return {"learned_unrolled": pair.decode(z, k).theta}
+            got = {f"{which}_greedy": decode_greedy(z, maps[which], k, **effort).theta}
+            if which != "nystrom":
+                name = "message_passing" if which == "fourier" else "adapted_message_passing"
+                got[name] = np.nan_to_num(decode_message_passing(z, maps[which], k, 20).theta, nan=0.5)
+            if which == "fourier":
+                got["fourier_unrolled"] = decode_unrolled(z, maps[which], k, 150, starts=3).theta
+            return got
+
+        thetas = sketched_centroids(unseen, maps, decode) | lloyd
+        mse = near_sums(unseen, thetas).groupBy("dataset_id", "method").agg((F.sum("e") / F.sum("n")).alias("value"))
+        best = mse.groupBy("dataset_id", F.substring_index("method", "#", 1).alias("method")).agg(F.min("value").alias("value"))  # of Lloyd's starts
+        one = best.select("method", F.lit(float(m)).alias("param"), "dataset_id", "value")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @R.add("w05")
 def w05(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
-    """Mean squared distance against sketch size on documents by source; half of the sources train the learned pair, the others test. Planted mixtures as a control."""
+    """Mean squared distance against sketch size on all documents of the test sources; the other sources train the learned pair. Planted mixtures as a control."""
     d, k = 2, 4
-    sets = document_sets(spark, sf_dir, d)
-    train, test = split_ids(sorted(sets))
-    test = test[:4] if quick else test
+    sizes = (16, 64) if quick else (8, 16, 32, 64, 128, 256)
+    documents = means([("documents", document_scores(spark, sf_dir, d, k, sizes, quick))], "mse")
     out = []
-    for m in (16, 64) if quick else (8, 16, 32, 64, 128, 256):
-        pair = train_unrolled_pair([sets[i] for i in train[:4]], k, m, budget=24 if quick else 200, steps=80, seed=1)
-        for name in test:
-            for method, (theta, _) in methods(sets[name], d, k, m, 0.25, pair, quick).items():
-                out.append((f"documents:{method}", m, name, "mse", kmeans_mse_local(sets[name], theta)))
+    for m in sizes:
         for seed in range(2):
             x, _c = planted_mixture(k, d, 800, seed)
             for method, (theta, _) in methods(x, d, k, m, 0.15, None, quick).items():
                 out.append((f"planted:{method}", m, str(seed), "mse", kmeans_mse_local(x, theta)))
-    return averaged(spark, out)
+    return documents.unionByName(averaged(spark, out))
 
 
 @R.add("w06")

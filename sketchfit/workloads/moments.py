@@ -70,15 +70,15 @@ def row_moments(rows: DataFrame, d: int, sizes: list[int]) -> DataFrame:
     out = None
     for m in sizes:
         s = B.rows_for_budget(m, d)
-        sparse = B.rowsketch_sparse(rows, s, d, 3).select("dataset_id", F.col("n").alias("c"), V.outer_lt(F.col("row"), d).alias("o"))
-        gauss = B.rowsketch_gaussian(rows, s, d, 3).select("dataset_id", (F.col("n") / s).alias("c"), V.outer_lt(F.col("row"), d).alias("o"))
-        sample = B.rowsample(rows, s, 3).select("dataset_id", F.lit(1.0).alias("c"), V.outer_lt(F.col("features"), d).alias("o"))
+        sparse = B.rowsketch_sparse(rows, s, d, 3).select("dataset_id", F.col("n").cast("double").alias("c"), "row")
+        gauss = B.rowsketch_gaussian(rows, s, d, 3).select("dataset_id", (F.col("n") / s).alias("c"), "row")
+        sample = B.rowsample(rows, s, 3).select("dataset_id", F.lit(1.0).alias("c"), F.col("features").alias("row"))
         for name, parts in (("row_sparse", sparse), ("row_gaussian", gauss), ("row_sample", sample)):
-            flat = parts.select("dataset_id", "c", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in range(D.full_size(d))])
-            one = flat.groupBy("dataset_id").agg(F.array(*[F.sum(f"o{j}") / F.sum("c") for j in range(D.full_size(d))]).alias("r"))
-            one = one.select("dataset_id", F.lit(name).alias("method"), F.lit(m).alias("m"), "r")
+            one = parts.select("dataset_id", F.lit(name).alias("method"), F.lit(m).alias("m"), "c", "row")
             out = one if out is None else out.unionByName(one)
-    return out
+    full = range(D.full_size(d))
+    flat = out.withColumn("o", V.outer_lt(F.col("row"), d)).select("dataset_id", "method", "m", "c", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in full])
+    return flat.groupBy("dataset_id", "method", "m").agg(F.array(*[F.sum(f"o{j}") / F.sum("c") for j in full]).alias("r"))
 
 
 def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int], error, quick: bool = True, steps: int = 150, rate: float = 1e-3) -> DataFrame:
