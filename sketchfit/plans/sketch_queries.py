@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -700,8 +701,15 @@ def _(s, d):
     fm = fourier_map(64, 32, 1.0, "gaussian", 1)
     rows = X.emb64(s, d)
     mean = S.mean(S.mean_sketch(rows, fm, "dataset_id", "arrow")).select("dataset_id", "n", F.col("z").alias("mu"))
-    z = rows.select("dataset_id", F.array(*fm.columns(F.col("features"))).alias("z")).join(mean, "dataset_id")
-    gap = z.groupBy("dataset_id", "n").agg(F.max(V.norm(V.subtract(F.col("z"), F.col("mu")))).alias("far"), F.max(V.norm(F.col("z"))).alias("long"))
+
+    def run(pdfs):
+        for pdf in pdfs:
+            z = fm.batch(np.array(pdf["features"].tolist(), dtype=float).reshape(len(pdf), 64))
+            mu = np.array(pdf["mu"].tolist(), dtype=float).reshape(z.shape)
+            yield pd.DataFrame({"dataset_id": pdf["dataset_id"], "n": pdf["n"], "far": np.linalg.norm(z - mu, axis=1), "long": np.linalg.norm(z, axis=1)})
+
+    each = rows.select("dataset_id", "features").join(mean, "dataset_id").mapInPandas(run, "dataset_id string, n long, far double, long double")
+    gap = each.groupBy("dataset_id", "n").agg(F.max("far").alias("far"), F.max("long").alias("long"))
     n = F.col("n")
     return gap.select("dataset_id", "n", ((n > 1) & (F.col("far") / (n - 1) <= 2 * fm.bound / n + 1e-9) & (F.col("long") <= fm.bound + 1e-9)).alias("ok"))
 
