@@ -6,7 +6,9 @@ r"""Exact n-gram Jaccard join with signature trees.
 3. Each set is first compared with one earlier set of its buckets, which joins most copies; connected components follow.
 4. Buckets that still hold several components are searched by a signature tree: its nodes hold OR-combined (and AND-combined) n-gram bitmaps and size
    ranges, and a dual traversal leaves out node pairs whose largest possible overlap is too small or which lie in one component already.
+   Bitmaps are as wide as their sets ask for, or a bitmap full of ones would rule out no pair of large sets; a bucket's are folded to the narrowest.
    Buckets over a limit are cut into blocks, one task for each pair of blocks, so no task holds an unbounded group and no pair is lost.
+   Where every pair that a search proposed is in one component in the end, the pairs that it passed over are too: only buckets with a refuted pair are searched again.
 
 Components are exact: part keys only propose, every link is decided on the whole sets. No document or partner is dropped for being frequent.
 
@@ -148,8 +150,8 @@ def signatures(docs: DataFrame, n: int, num: int, den: int) -> DataFrame:
 
 
 def sets_of(docs: DataFrame, n: int) -> DataFrame:
-    """sid, grams (array of longs), bits (bitmap of the grams) of documents."""
-    schema = "sid binary, grams array<long>, bits binary"
+    """sid, n (number of grams), grams (array of longs), bits (bitmap of the grams) of documents."""
+    schema = "sid binary, n long, grams array<long>, bits binary"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,21 +162,30 @@ def sets_of(docs: DataFrame, n: int) -> DataFrame:
                 sids = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None for s in sets]
                 offsets = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
                 flat = pa.array(np.concatenate(sets).view(np.int64) if sets else [], type=pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(sids, pa.binary()), pa.ListArray.from_arrays(pa.array(offsets), flat).cast(arrow.field(1).type), pa.array([bitmap(s) for s in sets], pa.binary())], schema=arrow)
+                yield pa.RecordBatch.from_arrays([pa.array(sids, pa.binary()), pa.array([len(s) for s in sets], pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), flat).cast(arrow.field(2).type), pa.array([bitmap(s) for s in sets], pa.binary())], schema=arrow)
 
     return docs.mapInArrow(run, schema)
 
 
-BITS = 4096
+BITS, MOST_BITS = 4096, 1 << 17
 FANOUT = 8
 
 
 def bitmap(s: np.ndarray) -> bytes:
-    bits = np.zeros(BITS, dtype=bool)
-    bits[(mix(s, 21) % U(BITS)).astype(np.int64)] = True
+    """A bit for each n-gram's hash; at least twice as many bits as n-grams, up to MOST_BITS, and a power of two."""
+    width = min(max(BITS, 1 << (2 * len(s) - 1).bit_length()), MOST_BITS) if len(s) else BITS
+    bits = np.zeros(width, dtype=bool)
+    bits[(mix(s, 21) % U(width)).astype(np.int64)] = True
     return np.packbits(bits).tobytes()
 
 
+def folded(bits: bytes, n_bytes: int) -> bytes:
+    """The bitmap that the same set would have at a smaller width."""
+    if len(bits) == n_bytes:
+        return bits
+    return np.bitwise_or.reduce(np.frombuffer(bits, dtype=np.uint8).reshape(-1, n_bytes), axis=0).tobytes()
+
+
 class Node:
     __slots__ = ("low", "high", "some", "every", "comp", "below", "at")
 
@@ -223,6 +234,8 @@ def tree_pairs(sizes: list[int], bits: list[bytes], comps: list[int], num: int,
         overlap = min(a.high - (a.every & ~b.some).bit_count(), b.high - (b.every & ~a.some).bit_count())
         return (num + den) * overlap < num * (a.low + b.low)
 
+    width = min(map(len, bits), default=0)
+    bits = [folded(b, width) for b in bits]
     groups = [[i for i in range(len(sizes)) if sides is None or sides[i] == side] for side in ((0,) if sides is None else (0, 1))]
     if not all(groups):
         return
@@ -269,7 +282,7 @@ def proved(pairs: DataFrame, grams: DataFrame, num: int, den: int) -> DataFrame:
 def proved_in_turns(pairs: DataFrame, grams: DataFrame, links: DataFrame, labels: DataFrame, num: int, den: int) -> tuple[DataFrame, DataFrame]:
     """(links, labels) with those of the pairs (a, b, cost) added. The sets of all pairs may be far more than the sets themselves: each turn moves about as much as
     these are, and pairs that an earlier turn's links have joined need no proof."""
-    moved, whole = pairs.agg(F.sum("cost")).first()[0] or 0, grams.agg(F.sum(F.size("grams"))).first()[0] or 1
+    moved, whole = pairs.agg(F.sum("cost")).first()[0] or 0, grams.agg(F.sum("n")).first()[0] or 1
     turns = max(1, -(-moved // whole))
     turn = lambda c: F.pmod(F.xxhash64(c), F.lit(turns))
     for t in range(turns):
@@ -299,9 +312,11 @@ def open_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
 def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block_sets: int, spanning: bool) -> DataFrame:
     """(a, b, cost: summed sizes) that the signature trees of the buckets cannot rule out; spanning: once two components have met in a bucket, no more of them there.
 
-    A bucket of more than block_sets sets is cut into blocks and each pair of blocks is a task's group.
+    A bucket of more than block_sets sets, or of 2 KB of bitmaps for each of these, is cut into blocks and each pair of blocks is a task's group.
     """
-    cut = left.groupBy("key").agg(F.count("rid").alias("c")).withColumn("m", F.ceil(F.col("c") / block_sets).cast("int"))
+    weighed = left.select("key", "rid").join(marks.select("rid", F.octet_length("bits").alias("w")), "rid")
+    cut = weighed.groupBy("key").agg(F.count("rid").alias("c"), F.sum("w").alias("w"))
+    cut = cut.select("key", "c", F.ceil(F.greatest("c", F.col("w") / 2048) / block_sets).cast("int").alias("m"))
     block = F.pmod(F.xxhash64("rid"), F.col("m")).cast("int")
     dealt = with_totals(left, cut, ["key"]).withColumn("block", block).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("m") - 1)))
     dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rid", "comp").join(marks, "rid")
@@ -324,8 +339,8 @@ def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows come sorted by group; one group of bounded size is held at a time."""
         group, held, found = None, [], []
-        for batch in batches:
-            for key, i, j, *row in zip(*(c.to_pylist() for c in batch.columns)):
+        for part in (batch.slice(lo, 500) for batch in batches for lo in range(0, batch.num_rows, 500)):
+            for key, i, j, *row in zip(*(c.to_pylist() for c in part.columns)):
                 if (key, i, j) != group:
                     if held:
                         found += pairs_of(group, held)
@@ -343,6 +358,16 @@ def tree_candidates(left: DataFrame, marks: DataFrame, num: int, den: int, block
     return rows.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(search, schema).distinct()
 
 
+def disputed(left: DataFrame, pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """key, rid of the buckets that may hold both ends of a proposed pair whose components still differ."""
+    named = lambda x, c: labels.select(F.col("id").alias(x), F.col("comp").alias(c))
+    refuted = pairs.join(named("a", "ca"), "a", "left").join(named("b", "cb"), "b", "left").where(F.coalesce("ca", "a") != F.coalesce("cb", "b"))
+    ends = refuted.select(F.col("a").alias("rid")).union(refuted.select("b")).distinct()
+    keys = left.join(ends, "rid").groupBy("key").agg(F.count("rid").alias("k")).where("k > 1").select("key")
+    total = left.groupBy("key").agg(F.count("rid").alias("c")).join(keys, "key")
+    return with_totals(left, total, ["key"]).select("key", "rid")
+
+
 def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int = 4000, partition_keys: int = 750_000) -> tuple[DataFrame, DataFrame]:
     """(doc_id, n, sid of every row; sid and component_id of every class of equal sets). docs: docs_view's form without null ids."""
     signed = stored(signatures(docs, n, num, den), "signatures")
@@ -364,20 +389,24 @@ def link_classes(docs: DataFrame, n: int, num: int, den: int, block_sets: int =
     wanted = some.select("doc_id").distinct()
     theirs = docs.join(F.broadcast(wanted) if few else wanted, "doc_id", "left_semi")
     grams = sets_of(theirs.select("doc_id", "text"), n).where("sid is not null").join(some.select("sid", "rid"), "sid").dropDuplicates(["rid"])
-    grams = stored(grams.select("rid", "grams", "bits"), "grams")
+    grams = stored(grams.select("rid", "n", "grams", "bits"), "grams")
     links = stored(proved(first.select(F.col("rid").alias("a"), F.col("head").alias("b")), grams, num, den), "links")
     labels = components(links)
 
     # what is left: first enough pairs to join what belongs together, then every pair that the bounds leave
-    marks = grams.select("rid", F.size("grams").alias("n"), "bits")
+    marks = grams.select("rid", "n", "bits")
+    left = stored(open_buckets(buckets, labels), "open")
     for spanning in (True, False):
-        left = stored(open_buckets(buckets, labels), "open")
         if not left.limit(1).count():
             break
         pairs = stored(tree_candidates(left, marks, num, den, block_sets, spanning), "candidates")
-        release(left)
         links, labels = proved_in_turns(pairs, grams, links, labels, num, den)
+        if spanning:
+            again = stored(open_buckets(disputed(left, pairs, labels), labels), "open")
+            release(left)
+            left = again
         release(pairs)
+    release(left)
     classes = reps.select("sid", "doc_id", "rid").join(labels.withColumnRenamed("id", "rid"), "rid", "left").withColumn("comp", F.coalesce("comp", "rid"))
     classes = stored(classes.select("sid", "doc_id", "comp"), "classes")
     least = classes.groupBy("comp").agg(F.min("doc_id").alias("component_id"), F.count("sid").alias("c"))

@@ -254,6 +254,29 @@ def test_part_keys_never_lose_a_pair():
                 assert len(np.intersect1d(near_duplicates.part_keys(a, num, den), near_duplicates.part_keys(b, num, den)))
 
 
+def test_large_sets_are_ruled_out_by_their_bitmaps():
+    """Texts of thousands of words that share a passage alone: no pair of them may reach the proof, and similar ones of other widths must."""
+    rng = np.random.default_rng(5)
+    some = lambda n: rng.integers(0, 1 << 62, size=n).astype(np.uint64)
+    passage = some(300)
+    sets = [np.unique(np.concatenate([passage, some(int(n))])) for n in rng.integers(6500, 8200, size=24)]
+    sets.append(np.unique(np.concatenate([sets[0][:-400], some(500)])))  # similar to the first one
+    sets.append(near := np.unique(some(4096)))  # two of unequal widths
+    sets.append(np.unique(np.concatenate([near, some(300)])))
+    bits = [near_duplicates.bitmap(x) for x in sets]
+    assert len(bits[-2]) < len(bits[-1]) and near_duplicates.folded(bits[-1], 512) == np.packbits(np.bincount((near_duplicates.mix(sets[-1], 21) % np.uint64(4096)).astype(int), minlength=4096) > 0).tobytes()
+    asked = []
+    near_duplicates.tree_pairs([len(x) for x in sets], bits, list(range(len(sets))), 80, 100, lambda i, j: bool(asked.append((min(i, j), max(i, j)))))
+    assert sorted(asked) == [(0, 24), (25, 26)]
+
+
+def test_only_disputed_buckets_are_searched_again(spark):
+    left = spark.createDataFrame([(1, 10, 10), (1, 11, 11), (2, 10, 10), (2, 12, 12), (3, 13, 13), (3, 14, 14)], "key long, rid long, comp long")
+    pairs = spark.createDataFrame([(10, 11), (10, 12), (13, 14)], "a long, b long")
+    labels = spark.createDataFrame([(10, 10), (11, 10), (13, 13)], "id long, comp long")  # 10 and 12, 13 and 14 were refuted
+    assert sorted(map(tuple, near_duplicates.disputed(left, pairs, labels).collect())) == [(2, 10), (2, 12), (3, 13), (3, 14)]
+
+
 def test_near_duplicates_odd_rows(odd, none):
     got = near_duplicates.jaccard_components(odd, 3, 90, 100).collect()
     assert len(got) == odd.count()
