@@ -7,6 +7,7 @@ holds each distinct key of its share once.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -18,7 +19,8 @@ from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 U = np.uint64
-FLUSH = 400_000
+FLUSH = 400_000  # entries of a flush at most
+FLUSH_VALUES = 1_200_000  # and their numbers: rows with a wide payload go out sooner
 SINGLE, FIRST, DONE = 0, 1, 2
 
 
@@ -36,6 +38,13 @@ def home(keys: np.ndarray, parts: int) -> np.ndarray:
 Batches = Iterator[pa.RecordBatch]
 
 
+def give_back() -> None:
+    """Freed memory goes back to the system: workers wait between tasks, and theirs counts as the executor's."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
 def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batches], Batches] | None = None) -> DataFrame:
     """df: `keys` (binary, unsigned 64-bit values) and for each payload name either a long or a binary of as many 64-bit values; or with `make` the rows
     from which it makes such batches (columns `keys`, then the payload), in the same worker process.
@@ -43,6 +52,7 @@ def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batc
     Returns (key, *payload) as longs for every entry whose key occurs at least twice.
     """
     width = len(payload)
+    most = min(FLUSH, FLUSH_VALUES // (width + 1))
     fields = ", ".join(f"b{i} binary" for i in range(width + 1))
     packed_schema = f"part int, kind int, {fields}"
     out_schema = "key long, " + ", ".join(f"{p} long" for p in payload)
@@ -54,47 +64,57 @@ def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batc
         size, turn = 0, 104_729 * TaskContext.get().partitionId()  # tasks begin apart, and a repeated task as it did
 
         def flush() -> pa.RecordBatch:
-            nonlocal held, size, turn
-            cols = [np.concatenate(h) for h in held]
-            held, size = [[] for _ in range(width + 1)], 0
-            order = np.argsort(cols[0], kind="stable")
-            cols = [c[order] for c in cols]
-            begin = np.diff(cols[0], prepend=cols[0][:1] ^ U(1)) != 0
+            """The held entries as rows; a column at a time, so that little more than the result is held at once."""
+            nonlocal size, turn
+            size = 0
+            keys = np.concatenate(held[0])
+            order = np.argsort(keys, kind="stable")
+            keys = keys[order]
+            begin = np.diff(keys, prepend=keys[:1] ^ U(1)) != 0
             alone = begin & np.append(begin[1:], True)
-            rows: list[list] = [[] for _ in range(width + 3)]
-            for kind, chosen in ((SINGLE, alone), (FIRST, begin & ~alone), (DONE, ~begin)):
-                some = [c[chosen] for c in cols]
-                n = len(some[0])
-                if not n:
+            chosen, starts, part_of, kind_of, at = [], [], [], [], 0
+            for kind, which in ((SINGLE, alone), (FIRST, begin & ~alone), (DONE, ~begin)):
+                some = np.flatnonzero(which)
+                if not len(some):
                     continue
                 if kind == DONE:  # wherever there is room
-                    cuts = np.arange(0, n, 20_000)
+                    cuts = np.arange(0, len(some), 20_000)
                     part = (turn + np.arange(len(cuts))) * 7919 % parts
                     turn += len(cuts)
                 else:
-                    part = home(some[0], parts)
+                    part = home(keys[some], parts)
                     cuts = np.flatnonzero(np.diff(part.astype(np.int64), prepend=-1))
                     part = part[cuts]
-                ends = [*cuts[1:].tolist(), n]
-                rows[0] += part.tolist()
-                rows[1] += [kind] * len(cuts)
-                for r, c in zip(rows[2:], some):
-                    r += [c[a:b].tobytes() for a, b in zip(cuts.tolist(), ends)]
-            return pa.RecordBatch.from_arrays([pa.array(r, type=f.type) for r, f in zip(rows, packed_arrow)], schema=packed_arrow)
+                chosen.append(order[some])
+                starts.append(cuts + at)
+                part_of.append(part.astype(np.int32))
+                kind_of.append(np.full(len(cuts), kind, dtype=np.int32))
+                at += len(some)
+            del keys, order, begin, alone
+            chosen = np.concatenate(chosen)
+            ends = pa.py_buffer((np.concatenate([*starts, [at]]) * 8).astype(np.int32))
+            cols = [pa.array(np.concatenate(part_of)), pa.array(np.concatenate(kind_of))]
+            for i in range(width + 1):
+                values = np.concatenate(held[i])
+                held[i] = []
+                cols.append(pa.Array.from_buffers(pa.binary(), len(cols[0]), [None, ends, pa.py_buffer(values[chosen])]))
+            return pa.RecordBatch.from_arrays(cols, schema=packed_arrow)
 
         for batch in batches:
             for lo in range(0, batch.num_rows, 500):
                 for row in zip(*(c.to_pylist() for c in batch.slice(lo, 500).columns)):
                     keys = np.frombuffer(row[0], dtype=U)
-                    for a in range(0, len(keys), FLUSH):
-                        held[0].append(keys[a : a + FLUSH])
+                    for a in range(0, len(keys), most):
+                        held[0].append(keys[a : a + most])
                         for h, v in zip(held[1:], row[1:]):
-                            h.append(np.frombuffer(v, dtype=np.int64)[a : a + FLUSH] if isinstance(v, bytes) else np.full(len(held[0][-1]), v, dtype=np.int64))
+                            h.append(np.frombuffer(v, dtype=np.int64)[a : a + most] if isinstance(v, bytes) else np.full(len(held[0][-1]), v, dtype=np.int64))
                         size += len(held[0][-1])
-                        if size >= FLUSH:
+                        if size >= most:
                             yield flush()
         if size:
             yield flush()
+        held.clear()
+        give_back()
 
     def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first = [np.zeros(0, dtype=U)] + [np.zeros(0, dtype=np.int64) for _ in range(width)]
@@ -141,6 +161,8 @@ def repeated(df: DataFrame, payload: list[str], parts: int, make: Callable[[Batc
                         yield settle()
         if waiting:
             yield settle()
+        first.clear()
+        give_back()
 
     rows = df if make else df.select("keys", *payload)
     return rows.mapInArrow(pack, packed_schema).repartitionById(parts, F.col("part")).mapInArrow(unpack, out_schema)

@@ -138,6 +138,7 @@ def first_level(length: int, q: int, reach: int) -> Callable[[Batches], Batches]
                     u = np.zeros((len(at), 2), dtype=np.int64)
                     inner = (at >= far) & (at + length <= n)
                     u[inner] = digests([data[a - far : a + length] for a in at[inner].tolist()])
+                    h = mix(h, 32)  # an anchor's is the least of many and so a small number, and the exchange deals by the high bits
                     rows.append((h.tobytes(), doc_id, k2, place.tobytes(), u[:, 0].tobytes(), u[:, 1].tobytes()))
                     held += len(at)
                     if held > HELD:

@@ -5,10 +5,13 @@ import io
 import math
 import random
 import re
+import tracemalloc
 import zlib
 from collections import Counter, defaultdict
+from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from sketchfit.llm import chunk_dedup, decontaminate, katz, mixing, near_duplicates, packed, pii, quality_rules, queries, suffix_dedup, token_files, url_filters
@@ -191,6 +194,51 @@ def test_exchange_tells_every_repeat(spark, monkeypatch):
         assert Counter((r.key % (1 << 64), r.row) for r in packed.repeated(df, ["row"], 5).collect()) == want
 
 
+def test_anchor_keys_spread_over_the_parts(spark):
+    """Least hashes are small numbers: dealt by their high bits, nine tenths of all entries went to one part."""
+    rng = np.random.default_rng(2)
+    texts = ["".join(map(chr, rng.integers(97, 123, size=20_000))) for _ in range(20)]
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(20)), "k2": [0] * 20, "text": texts})
+    made = suffix_dedup.first_level(400, 128, 250)(iter([batch]))
+    keys = np.concatenate([np.frombuffer(x, dtype=np.uint64) for b in made for x in b.column(0).to_pylist()])
+    held = np.bincount(packed.home(keys, 20).astype(int), minlength=20)
+    assert len(keys) > 5000 and held.max() < 2 * held.mean()
+
+
+def test_exchange_packs_in_bounded_memory(spark, monkeypatch):
+    """A million entries with five numbers each go out in pieces, and a piece costs little more than itself."""
+    made = []
+
+    class Plan:
+        def mapInArrow(self, f, schema):
+            made.append(f)
+            return self
+
+        def repartitionById(self, *_):
+            return self
+
+    monkeypatch.setattr(packed, "TaskContext", SimpleNamespace(get=lambda: SimpleNamespace(partitionId=lambda: 2)))
+
+    def rows(_):
+        for k in range(50):
+            keys = (np.arange(20_000, dtype=np.uint64) + np.uint64(20_000 * (k % 45))) * np.uint64(0x9E3779B97F4A7C15)
+            yield pa.RecordBatch.from_pydict({x: [keys.tobytes()] for x in "kabcde"})
+
+    packed.repeated(Plan(), list("abcde"), 7, rows)
+    tracemalloc.start()
+    try:
+        kinds, before = Counter(), pa.total_allocated_bytes()
+        for batch in made[0](iter(())):
+            assert pa.total_allocated_bytes() - before < 30e6
+            for kind, keys, *more in zip(*(c.to_pylist() for c in batch.columns[1:])):
+                assert {len(keys)} == {len(x) for x in more}
+                kinds[kind] += len(keys) // 8
+        assert sum(kinds.values()) == 1_000_000
+        assert tracemalloc.get_traced_memory()[1] < 60e6
+    finally:
+        tracemalloc.stop()
+
+
 def test_repeats_odd_rows(spark, odd, none):
     got = suffix_dedup.remove_repeats(odd).collect()
     assert len(got) == odd.count()
