@@ -96,14 +96,15 @@ class Encoder:
         if len(young) > self.limit:
             young, old = {}, young
             setattr(self, kind, (young, old))
-        new = []
-        for p in wanted:
-            if p not in young:
-                if (held := old.get(p)) is not None:
-                    young[p] = held
-                else:
-                    new.append(p)
-        return new
+        new = wanted.difference(young)
+        if old:
+            young.update([(p, old[p]) for p in new if p in old])
+            new = new.difference(young)
+        return list(new)
+
+    def _ids(self, text: str) -> np.ndarray:
+        """The library's fast form leaves out the offsets in the text, which nothing here reads."""
+        return np.array(self.tok.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
 
     def _one_by_one(self, cache: dict[str, bytes], keys: list[str], texts: list[str]) -> None:
         for k, e in zip(keys, self.tok.encode_batch_fast(texts, add_special_tokens=False)):
@@ -118,7 +119,7 @@ class Encoder:
         cache = self.spaced[0]
         for lo in range(0, len(new), 20_000):
             part = new[lo : lo + 20_000]
-            ids = np.array(self.tok.encode(" " + " ".join(part), add_special_tokens=False).ids, dtype="<u4")
+            ids = self._ids(" " + " ".join(part))
             cuts = np.flatnonzero(self.opens[ids])
             if len(cuts) == len(part):
                 raw, at = ids.tobytes(), [*(4 * cuts).tolist(), 4 * len(ids)]
@@ -157,7 +158,7 @@ class Encoder:
                 feed = plain("\n")
                 for x in group:
                     if not isinstance(x, tuple):
-                        yield np.array(self.tok.encode(x, add_special_tokens=False).ids, dtype="<u4").tobytes()
+                        yield self._ids(x).tobytes()
                     elif x[0] is None:
                         yield b"".join(map(plain, x[1]))
                     else:

@@ -584,6 +584,25 @@ def test_pieces_encode_like_whole_texts():
     assert [x[:-1].tolist() for x in token_files.encode(texts)] == [e.ids for e in tok.encode_batch(texts, add_special_tokens=False)]
 
 
+def test_words_are_encoded_once_and_without_offsets():
+    """The library's plain form keeps offsets, at a third more CPU; words stay known over both generations of the cache."""
+    path = token_files.default_tokenizer_path()
+    encoder = token_files.Encoder(path, cache_entries=50)
+    real, asked = encoder.tok, []
+
+    class Fast:
+        def encode_batch_fast(self, texts, **kw):
+            asked.extend(texts)
+            return real.encode_batch_fast(texts, **kw)
+
+    encoder.tok = Fast()
+    texts = [" ".join(f"word{k}x{i}" for i in range(40)) + "\nline two" for k in (1, 2, 1, 3, 2)]
+    got = [x for t in texts for x in encoder.raw([t])]
+    assert got == [np.array(real.encode(t, add_special_tokens=False).ids, dtype="<u4").tobytes() for t in texts]
+    words = Counter(w for t in asked for w in t.split() if "x7" in w)
+    assert words["word1x7"] == words["word3x7"] == 1
+
+
 def test_damage_is_found():
     raw = token_files.to_bytes([(k, np.arange(k + 5, dtype="<u4")) for k in range(4)])
     reader = token_files.Reader(io.BytesIO(raw), len(raw))
