@@ -9,7 +9,7 @@ from ..operators.maps import identity_map
 from ..operators.sketch import long_form
 from ..plans.registry import Registry
 from ..sources.tables import event_stream, load_table
-from .sketches import SketchStore, drained, drift_alarms, windowed
+from .sketches import SketchStore, drained, drift_alarms, rocksdb_state, windowed
 
 R = Registry()
 FX = "CAST(floor((value / 100) * 1048576.0::DOUBLE + 0.5) AS BIGINT)"
@@ -36,7 +36,9 @@ def _(s, d):
 
 @R.add("stream_session", f"WITH o AS (SELECT user_id, ts, value, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS b FROM events), g AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM o) SELECT strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, user_id, count(*) AS n, CAST(sum({FX}) AS BIGINT) AS acc_fx FROM g GROUP BY user_id, g")
 def _(s, d):
-    return _out(drained(windowed(featured(event_stream(s, d)), identity_map(1), F.session_window("ts", "30 minutes"), keys=("user_id",)), "complete"), ["user_id"])
+    # a session for almost every event: neither the state nor the result may live in a heap
+    with rocksdb_state(s):
+        return _out(drained(windowed(featured(event_stream(s, d)), identity_map(1), F.session_window("ts", "30 minutes"), keys=("user_id",)), "complete"), ["user_id"])
 
 
 @R.add("stream_append_closed", f"SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n, CAST(sum({FX}) AS BIGINT) AS acc_fx FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events) GROUP BY 1")
@@ -90,16 +92,9 @@ def _(s, d):
 
 @R.add("stream_drift_alarm", "SELECT CAST(event_type AS VARCHAR) AS key, count(*) AS n FROM events GROUP BY 1")
 def _(s, d):
-    before = s.conf.get("spark.sql.streaming.stateStore.providerClass", None)
-    s.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    try:
+    with rocksdb_state(s):
         out = drained(drift_alarms(featured(event_stream(s, d)), "event_type", 0.5), "update")
-        return out.groupBy("key").agg(F.max("n").alias("n"))
-    finally:
-        if before is None:
-            s.conf.unset("spark.sql.streaming.stateStore.providerClass")
-        else:
-            s.conf.set("spark.sql.streaming.stateStore.providerClass", before)
+    return out.groupBy("key").agg(F.max("n").alias("n"))
 
 
 @R.add("stream_equals_batch", "SELECT true AS ok")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
@@ -22,18 +23,41 @@ def windowed(stream: DataFrame, fm: FeatureMap, window: Column, watermark: str =
     return rows.groupBy(window.alias("w"), *keys).agg(F.count(F.lit(1)).alias("n"), F.array(*[F.sum(V.fixed(c)) for c in cols]).alias("acc_fx"))
 
 
-def drained(df: DataFrame, mode: str = "append", name: str | None = None) -> DataFrame:
-    """Run a stream over what is there and read what it wrote (Parquet for append, a memory table for complete and update)."""
+@contextmanager
+def rocksdb_state(spark: SparkSession) -> Iterator[None]:
+    """Streams started within keep their state in RocksDB, on disk and outside the heap."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(key)
+        else:
+            spark.conf.set(key, before)
+
+
+def drained(df: DataFrame, mode: str = "append") -> DataFrame:
+    """Run a stream over what is there and read what it wrote, always Parquet written by the tasks: nothing of a result is held on the driver.
+    complete: the last batch's rows; update: those of all batches."""
     spark = df.sparkSession
+    out = shared_folder(spark, "sink")
     if mode == "append":
-        out = shared_folder(spark, "sink")
         q = df.writeStream.format("parquet").option("path", out).option("checkpointLocation", shared_folder(spark, "stream")).outputMode(mode).trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.read.schema(df.schema).parquet(out)
-    table = name or f"sketchfit_{abs(hash(shared_folder(spark, 'm'))) % 10**9}"
-    q = df.writeStream.format("memory").queryName(table).outputMode(mode).option("checkpointLocation", shared_folder(spark, "stream")).trigger(availableNow=True).start()
+    batches: dict[int, str] = {}
+
+    def each(batch: DataFrame, batch_id: int) -> None:
+        batches[batch_id] = f"{out}/b{batch_id}"
+        batch.write.mode("overwrite").parquet(batches[batch_id])
+
+    q = df.writeStream.foreachBatch(each).option("checkpointLocation", shared_folder(spark, "stream")).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(table)
+    if not batches:
+        return spark.createDataFrame([], df.schema)
+    return spark.read.schema(df.schema).parquet(*([batches[max(batches)]] if mode == "complete" else batches.values()))
 
 
 class SketchStore:

@@ -1,7 +1,9 @@
 """Streams that stop and start again."""
 
 from sketchfit.operators.maps import identity_map
-from sketchfit.streaming.sketches import SketchStore
+from sketchfit.sources.tables import event_stream, load_table
+from sketchfit.streaming import queries
+from sketchfit.streaming.sketches import SketchStore, drained
 
 
 def rows(spark, lo, hi):
@@ -32,3 +34,32 @@ def test_a_stream_restarts_with_its_checkpoint(spark, tmp_path):
         store = SketchStore(spark, identity_map(1), path)
         store.run(spark.readStream.schema("features array<double>").parquet(source))
         assert total(store) == hi
+
+
+def test_results_of_complete_and_update_streams_are_files(spark, sf):
+    e = event_stream(spark, sf).groupBy("event_type").count()
+    want = {r.event_type: r["count"] for r in load_table(spark, sf, "events").groupBy("event_type").count().collect()}
+    for mode in ("complete", "update"):
+        got = drained(e, mode)
+        assert got.inputFiles()  # not a table in the driver's memory
+        assert {r.event_type: r["count"] for r in got.collect()} == want
+
+
+def test_a_stream_without_rows_gives_an_empty_result(spark, sf, tmp_path):
+    load_table(spark, sf, "events").where("false").write.parquet(f"{tmp_path}/events.parquet")
+    for mode in ("append", "complete", "update"):
+        e = event_stream(spark, str(tmp_path)).select("event_id") if mode == "append" else event_stream(spark, str(tmp_path)).groupBy("event_type").count()
+        assert drained(e, mode).count() == 0
+
+
+def test_sessions_keep_their_state_off_the_heap(spark, sf, monkeypatch):
+    key, seen = "spark.sql.streaming.stateStore.providerClass", []
+    before = spark.conf.get(key, None)
+
+    def spy(df, mode):
+        seen.append(spark.conf.get(key, None))
+        return drained(df, mode)
+
+    monkeypatch.setattr(queries, "drained", spy)
+    queries.R.queries["stream_session"](spark, sf).count()
+    assert "RocksDB" in seen[0] and spark.conf.get(key, None) == before
