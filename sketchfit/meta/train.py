@@ -80,27 +80,38 @@ def bank_start(bank: np.ndarray, m: int, seed: int = 0, ridge: float = 1e-6) ->
     return w, b, slope[:, None] * w.T, np.arctanh(mean)
 
 
+#: Datasets that are mixed with one another; a larger bank is dealt anew into groups of at most so many in each round.
+MIXED = 256
+
+
 def augment_bank(bank: np.ndarray, d: int, times: int, seed: int = 0) -> np.ndarray:
-    """More training moments without a scan: count-weighted unions of datasets and small diagonal rescalings act on R alone."""
+    """More training moments without a scan: count-weighted unions of datasets and small diagonal rescalings act on R alone. Every dataset takes part in every round."""
     rng = np.random.Generator(np.random.Philox(seed))
     out = [bank]
+    a, b = np.tril_indices(d)
     for _ in range(times):
-        share = rng.dirichlet(np.full(len(bank), 0.3), size=len(bank))
-        mixed = share @ bank
-        scale = np.exp(0.05 * rng.standard_normal((len(bank), d)))
-        a, b = np.tril_indices(d)
-        out.append(mixed * scale[:, a] * scale[:, b])
+        groups = [bank] if len(bank) <= MIXED else [bank[g] for g in np.array_split(rng.permutation(len(bank)), -(-len(bank) // MIXED))]
+        for group in groups:
+            mixed = rng.dirichlet(np.full(len(group), 0.3), size=len(group)) @ group
+            scale = np.exp(0.05 * rng.standard_normal((len(group), d)))
+            out.append(mixed * scale[:, a] * scale[:, b])
     return np.vstack(out)
 
 
-def train_moment_pair(bank: np.ndarray, d: int, m: int, steps: int = 300, rate: float = 3e-5, schedule: str = "plateau", batch: int = 64, seed: int = 0, augment: int = 8, held: np.ndarray | None = None, dp: tuple[float, float, float] | None = None) -> MomentPair:
+def bank_scale(bank: np.ndarray) -> float:
+    return float(np.abs(bank).max()) * 1.0001 or 1.0
+
+
+def train_moment_pair(bank: np.ndarray, d: int, m: int, steps: int = 300, rate: float = 3e-5, schedule: str = "plateau", batch: int = 64, seed: int = 0, augment: int = 8, held: np.ndarray | None = None, dp: tuple[float, float, float] | None = None, augmented: np.ndarray | None = None) -> MomentPair:
     """L1 distance of predicted and empirical triangles, by Adam. bank: G x d(d+1)/2 exact triangles of the training datasets.
 
     dp: (eps, delta, rows) puts the noise of a private release of that many rows, and the clamp, into every forward pass.
+    augmented: what augment_bank made of bank / bank_scale(bank), where several sizes share it.
+    A bank that steps x batch draws do not cover is gone through in shuffled order, in batches so large that all of it is seen.
     """
-    scale = float(np.abs(bank).max()) * 1.0001 or 1.0
+    scale = bank_scale(bank)
     own = bank / scale
-    full = augment_bank(own, d, augment, seed)
+    full = augment_bank(own, d, augment, seed) if augmented is None else augmented
     w, b, u, c = bank_start(full if augment else own, m, seed)
     pair = MomentPair(d, w, b, u, c, scale)
     rng = np.random.Generator(np.random.Philox([seed, 7]))
@@ -108,6 +119,8 @@ def train_moment_pair(bank: np.ndarray, d: int, m: int, steps: int = 300, rate:
     low, high = (full @ w.T + b).min(0), (full @ w.T + b).max(0)
     best, best_loss = None, math.inf
     every = max(1, steps // 20)
+    order = rng.permutation(len(full)) if len(full) > steps * batch else None
+    share = -(-len(full) // max(1, steps))
     for t in range(steps + 1):
         if t % every == 0:
             train = float(np.abs(np.tanh((own @ pair.w.T + pair.b) @ pair.u.T + pair.c) - own).sum(1).mean())
@@ -116,7 +129,7 @@ def train_moment_pair(bank: np.ndarray, d: int, m: int, steps: int = 300, rate:
             opt.observe(train)
             if train < best_loss:
                 best, best_loss = [x.copy() for x in (pair.w, pair.b, pair.u, pair.c)], train
-        x = full[rng.integers(len(full), size=min(batch, len(full)))]
+        x = full[rng.integers(len(full), size=min(batch, len(full)))] if order is None else full[order.take(range(t * share, (t + 1) * share), mode="wrap")]
         z = x @ pair.w.T + pair.b
         if dp is not None:
             noise = privacy.gaussian_sigma(0.9 * dp[0], dp[1], float(np.linalg.norm(high - low)))

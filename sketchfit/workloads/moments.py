@@ -53,16 +53,14 @@ def decoders(z: np.ndarray, a: np.ndarray, d: int, quick: bool) -> dict[str, np.
     return {"robust": D.decode_robust(z, a, d, max(1, d // 4), steps).r, "accelerated": D.decode_accelerated(z, a, d, steps).r, "expgrad": D.decode_expgrad(z, a, d, steps).r, "gradient": D.decode_gradient(z, a, d, steps).r}
 
 
-#: Most training datasets whose moments the driver fits a pair on: those of least md5 of the id. Every other dataset is scored.
-MAX_TRAIN = 256
 SCORE = "method string, param double, dataset_id string, value double"
 
 
-def halves(moments: DataFrame, limit: int = MAX_TRAIN) -> tuple[np.ndarray, DataFrame]:
-    """The bank of the training half (at most `limit` datasets, collected) and the moments of all datasets of the other half."""
+def halves(moments: DataFrame) -> tuple[np.ndarray, DataFrame]:
+    """The bank of the training half (all its datasets, d(d+1)/2 numbers for each, collected in the order of their ids' md5) and the moments of all datasets of the other half."""
     train = uniform_col("split0", F.col("dataset_id")) < 0.5
-    bank = moments.where(train).orderBy(F.md5(F.col("dataset_id").cast("binary")), "dataset_id").limit(limit).collect()
-    return np.array([r.v for r in bank]), moments.where(~train)
+    bank = moments.where(train).orderBy(F.md5(F.col("dataset_id").cast("binary")), "dataset_id").select("v").toArrow().column(0).combine_chunks()
+    return bank.flatten().to_numpy(zero_copy_only=False).reshape(len(bank), -1), moments.where(~train)
 
 
 def row_moments(rows: DataFrame, d: int, sizes: list[int]) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from sketchfit.functions import features as X
 from sketchfit.functions.keyed_random import uniform
-from sketchfit.meta.train import Autoencoder, balanced_accuracy_local
+from sketchfit.meta.train import Autoencoder, augment_bank, balanced_accuracy_local, bank_scale, train_moment_pair
 from sketchfit.operators import baselines as B
 from sketchfit.operators import moment_decoders as D
 from sketchfit.operators import sketch as S
@@ -102,3 +102,26 @@ def test_scores_of_bits_equal_a_local_pass(spark, mode):
     for name, (x, cls) in local.items():
         z = ae.condition(x.astype(float), cls if mode == "per_class" else None)
         assert got[name] == pytest.approx(balanced_accuracy_local(x, ae.reconstruct(x.astype(float), z)), abs=1e-9)
+
+
+def test_the_bank_holds_every_training_dataset(spark):
+    made = spark.range(700).selectExpr("cast(id as string) as dataset_id", "1L as n", "array(id + 1.0D, 0.5D, id + 2.0D) as v")
+    bank, test = moments.halves(made)
+    train = [i for i in range(700) if uniform(f"split0-{i}") < 0.5]
+    assert len(train) > 300 and sorted(bank[:, 0]) == [i + 1.0 for i in train]
+    assert test.count() == 700 - len(train)
+
+
+def test_a_large_bank_is_mixed_and_trained_on_whole(monkeypatch):
+    bank = np.eye(600)[:, :10] + np.arange(600)[:, None] / 600
+    assert len(augment_bank(bank, 4, 3)) == 4 * 600
+    seen = set()
+
+    class Spied(np.ndarray):
+        def __getitem__(self, key):
+            if isinstance(key, np.ndarray) and key.ndim == 1:
+                seen.update(key.tolist())
+            return super().__getitem__(key)
+
+    train_moment_pair(bank, 4, 3, steps=5, augmented=augment_bank(bank / bank_scale(bank), 4, 8).view(Spied))
+    assert seen == set(range(9 * 600))
