@@ -74,6 +74,69 @@ def rowsketch_gaussian(df: DataFrame, s: int, d: int, seed: int = 0, key: str =
     return wide.join(n, F.expr("1=1") & wide["dataset_id"].eqNullSafe(n["dataset_id"])).select(wide["dataset_id"], "i", "n", F.col("c.v").alias("row"))
 
 
+BLOCK = 64
+
+
+def rowsketches(df: DataFrame, sizes: list[int], d: int, seed: int = 0, key: str = "row_key") -> DataFrame:
+    """dataset_id, acc: the rows of `rowsketch_gaussian` (before the division by sqrt(s)) for every s of `sizes`, then those of `rowsketch_sparse`, flat and one after another,
+    at last the number of rows. All from one scan; a task adds up whole batches, sorted by dataset, without a loop over datasets."""
+    schema = "dataset_id string, b int, acc array<double>"
+    arrow = to_arrow_schema(T._parse_datatype_string(schema))
+    k = F.col(key).cast("string")
+    rows = df.select(F.col("dataset_id").cast("string"), V.as_doubles(F.col("features")).alias("features"), F.xxhash64(k, F.lit(seed)).alias("h"), uniform_col(f"sign{seed}", k).alias("g"), uniform_col(f"bucket{seed}", k).alias("u"))
+    width = 2 * sum(sizes) * d + 1
+    blocks = -(-width // BLOCK)  # a dataset's numbers are summed in blocks, so many of them are spread over tasks, and few make few rows
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        place: dict = {}
+        acc = np.zeros((0, blocks * BLOCK))
+
+        def flush() -> pa.RecordBatch:
+            flat = pa.ListArray.from_arrays(pa.array(np.arange(len(place) * blocks + 1, dtype=np.int32) * BLOCK), pa.array(acc[: len(place)].ravel()))
+            names, which = pa.array(list(place), pa.string()), np.tile(np.arange(blocks, dtype=np.int32), len(place))
+            return pa.RecordBatch.from_arrays([names.take(pa.array(np.repeat(np.arange(len(place)), blocks))), pa.array(which), flat.cast(arrow.field(2).type)], schema=arrow)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            coded = batch.column(0).dictionary_encode()
+            code, names = coded.indices.fill_null(len(coded.dictionary)).to_numpy(zero_copy_only=False), [*coded.dictionary.to_pylist(), None]
+            order = np.argsort(code, kind="stable")
+            cut = np.flatnonzero(np.diff(code[order], prepend=-1))
+            at = np.array([place.setdefault(names[c], len(place)) for c in code[order][cut]])
+            if len(place) > len(acc):
+                acc = np.concatenate([acc, np.zeros((len(place) + len(place) // 2 - len(acc), blocks * BLOCK))])
+            x = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)[order]
+            h, sign, u = (batch.column(i).to_numpy(zero_copy_only=False)[order] for i in (2, 3, 4))
+            count = np.diff(cut, append=len(order))
+            acc[at, width - 1] += count
+            lo = 0
+            for s in sizes:
+                g = keyed_normals(h, s)
+                for i in range(0, s, 16):  # some columns at a time, as each takes d numbers of every row
+                    part = g[:, i : i + 16, None] * x[:, None, :]
+                    many = part.shape[1] * d
+                    acc[at, lo : lo + many] += np.add.reduceat(part.reshape(len(x), many), cut)
+                    lo += many
+            x = np.where(sign < 0.5, -1.0, 1.0)[:, None] * x
+            for s in sizes:
+                cell = np.repeat(at, count) * s + np.floor(u * s).astype(np.int64)
+                by = np.argsort(cell, kind="stable")
+                first = np.flatnonzero(np.diff(cell[by], prepend=-1))
+                row, bucket = np.divmod(cell[by][first], s)
+                acc[row[:, None], lo + d * bucket[:, None] + np.arange(d)] += np.add.reduceat(x[by], first)
+                lo += s * d
+            if len(place) * width >= 8_000_000:
+                yield flush()
+                place, acc = {}, np.zeros((0, blocks * BLOCK))
+        if place:
+            yield flush()
+
+    sums = rows.mapInArrow(run, schema).groupBy("dataset_id", "b").agg(F.array(*[F.sum(F.get("acc", F.lit(j))) for j in range(BLOCK)]).alias("acc"))
+    whole = sums.groupBy("dataset_id").agg(F.array_sort(F.collect_list(F.struct("b", "acc"))).alias("c"))
+    return whole.select("dataset_id", F.slice(F.flatten(F.col("c.acc")), 1, width).alias("acc"))
+
+
 def rowsample(df: DataFrame, s: int, seed: int = 0, key: str = "row_key") -> DataFrame:
     """The s rows of each dataset with the least md5 of their key: a sample that no layout changes."""
     from pyspark.sql import Window
@@ -83,6 +146,17 @@ def rowsample(df: DataFrame, s: int, seed: int = 0, key: str = "row_key") -> Dat
     return df.withColumn("__h", h).withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= s).drop("__h", "__r")
 
 
+def rowsamples(df: DataFrame, sizes: list[int], seed: int = 0, key: str = "row_key") -> DataFrame:
+    """dataset_id, s, features: the rows of `rowsample` for every s of `sizes`, ranked once."""
+    from pyspark.sql import Window
+
+    k = F.col(key).cast("string")
+    h = F.md5(F.concat_ws("-", F.lit(f"sample{seed}"), k).cast("binary"))
+    w = Window.partitionBy("dataset_id").orderBy("__h", "__k")
+    ranked = df.select("dataset_id", "features", h.alias("__h"), k.alias("__k")).withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= max(sizes))
+    return ranked.select("dataset_id", F.explode(F.array(*map(F.lit, sizes))).alias("s"), "features", "__r").where(F.col("__r") <= F.col("s")).drop("__r")
+
+
 def moment_from_rows(rows: np.ndarray, n: int) -> np.ndarray:
     return rows.T @ rows / n
 

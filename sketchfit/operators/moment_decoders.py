@@ -121,6 +121,122 @@ def decode_expgrad(z: np.ndarray, a: np.ndarray, d: int, steps: int = 400, rate:
     return _done(pack_lt(best), a, z, d, n, False)
 
 
+# the same decoders for many datasets of one map at once: z is n x m, the result n x d x d ---------------------------------
+
+
+def unpack_all(v: np.ndarray, d: int) -> np.ndarray:
+    r = np.zeros((len(v), d, d))
+    a, b = np.tril_indices(d)
+    r[:, a, b] = v
+    r[:, b, a] = v
+    return r
+
+
+def pack_all(r: np.ndarray) -> np.ndarray:
+    a, b = np.tril_indices(r.shape[1])
+    return r[:, a, b]
+
+
+def _lengths(x: np.ndarray) -> np.ndarray:
+    return np.sqrt((x * x).reshape(len(x), -1).sum(1))
+
+
+def _symmetric(g: np.ndarray, d: int) -> np.ndarray:
+    """Half of G + G' where G has the gradient in its lower triangle."""
+    r = np.zeros((len(g), d, d))
+    a, b = np.tril_indices(d)
+    r[:, a, b] = g
+    return (r + r.transpose(0, 2, 1)) / 2
+
+
+def psd_all(r: np.ndarray) -> np.ndarray:
+    w, v = np.linalg.eigh(r)
+    return (v * np.maximum(w, 0)[:, None, :]) @ v.transpose(0, 2, 1)
+
+
+def gradient_all(z: np.ndarray, a: np.ndarray, d: int, steps: int = 2000, tol: float = 1e-10) -> np.ndarray:
+    step = 1 / np.linalg.norm(a, 2) ** 2
+    out, on = np.zeros((len(z), a.shape[1])), np.arange(len(z))  # those not yet done
+    v, first = out.copy(), _lengths(z @ a)
+    for _ in range(steps):
+        g = (v @ a.T - z[on]) @ a
+        v = v - step * g
+        out[on] = v
+        go = _lengths(g) > tol * first[on]
+        on, v = on[go], v[go]
+        if not len(on):
+            break
+    return unpack_all(out, d)
+
+
+def robust_all(z: np.ndarray, a: np.ndarray, d: int, rank: int, steps: int = 500, cut: float = 5.0) -> np.ndarray:
+    w, v = np.linalg.eigh(unpack_all(z @ a / z.shape[1], d))
+    u = v[:, :, ::-1][:, :, :rank] * np.sqrt(np.maximum(w[:, ::-1][:, :rank], 1e-6))[:, None, :]
+    scale, size = np.linalg.norm(a, 2) ** 2, np.maximum(_lengths(z), 1e-300)
+    fit = pack_all(u @ u.transpose(0, 2, 1)) @ a.T
+    u = u * np.sqrt(np.maximum((fit * z).sum(1) / np.maximum((fit * fit).sum(1), 1e-300), 1e-6))[:, None, None]
+    out, on = u.copy(), np.arange(len(z))
+    for _ in range(steps):
+        e = pack_all(u @ u.transpose(0, 2, 1)) @ a.T - z[on]
+        far = np.abs(e)
+        e = np.where(far <= cut * np.median(far, axis=1, keepdims=True) + 1e-300, e, 0.0)
+        top = np.linalg.eigvalsh(u.transpose(0, 2, 1) @ u)[:, -1]  # the square of the largest singular value
+        u = u - _symmetric(e @ a, d) @ u / (scale * np.maximum(top, 1e-12))[:, None, None]
+        out[on] = u
+        go = _lengths(e) >= 1e-9 * size[on]
+        on, u = on[go], u[go]
+        if not len(on):
+            break
+    return out @ out.transpose(0, 2, 1)
+
+
+def accelerated_all(z: np.ndarray, a: np.ndarray, d: int, steps: int = 1000) -> np.ndarray:
+    step = 1 / np.linalg.norm(a, 2) ** 2
+    out, on = np.zeros((len(z), a.shape[1])), np.arange(len(z))
+    v = y = out.copy()
+    t = 1.0
+    for _ in range(steps):
+        x = pack_all(psd_all(unpack_all(y - step * ((y @ a.T - z[on]) @ a), d)))
+        nxt = (1 + np.sqrt(1 + 4 * t * t)) / 2
+        y = x + (t - 1) / nxt * (x - v)
+        out[on] = x
+        go = _lengths(x - v) > 1e-10 * np.maximum(_lengths(x), 1e-300)
+        on, v, y, t = on[go], x[go], y[go], nxt
+        if not len(on):
+            break
+    return unpack_all(out, d)
+
+
+def expgrad_all(z: np.ndarray, a: np.ndarray, d: int, steps: int = 400) -> np.ndarray:
+    def state(log_r: np.ndarray, z: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        w, v = np.linalg.eigh(log_r)
+        r = pack_all((v * np.exp(np.clip(w, -60, 60))[:, None, :]) @ v.transpose(0, 2, 1))
+        return r, r @ a.T - z
+
+    least = unpack_all(z @ np.linalg.pinv(a).T, d)
+    trace = np.maximum(np.trace(least, axis1=1, axis2=2), 1e-6)
+    log_r = np.eye(d) * np.log(trace / d)[:, None, None]
+    out, on = np.zeros((len(z), a.shape[1])), np.arange(len(z))
+    kept, kept_e, best = log_r.copy(), np.zeros_like(z), np.full(len(z), np.inf)
+    eta = np.ones(len(z))
+    for _ in range(steps):
+        r, e = state(log_r, z[on])
+        size = (e * e).sum(1)
+        good = size < best
+        out[on[good]] = r[good]
+        best = np.where(good, size, best)
+        kept, kept_e = np.where(good[:, None, None], log_r, kept), np.where(good[:, None], e, kept_e)
+        eta = np.where(good, np.minimum(eta * 1.1, 1e3), eta / 2)
+        go = good | (eta >= 1e-12)
+        g = _symmetric(kept_e @ a, d)
+        log_r = kept - (eta / np.maximum(_lengths(g), 1e-300) * np.minimum(1.0, np.sqrt(best)))[:, None, None] * g
+        go &= best >= 1e-16 * np.maximum((z[on] ** 2).sum(1), 1e-300)
+        on, log_r, kept, kept_e, best, eta = on[go], log_r[go], kept[go], kept_e[go], best[go], eta[go]
+        if not len(on):
+            break
+    return unpack_all(out, d)
+
+
 def full_size(d: int) -> int:
     return d * (d + 1) // 2
 

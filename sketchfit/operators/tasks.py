@@ -44,6 +44,13 @@ def ridge_mse(r: np.ndarray, theta: np.ndarray, p: int) -> float:
     return float(np.trace(r[:p, :p]) - 2 * np.trace(theta @ r[p:, :p]) + np.trace(theta @ r[p:, p:] @ theta.T))
 
 
+def pca_mean_errors(exact: np.ndarray, r: np.ndarray) -> np.ndarray:
+    """The errors at ranks 1 to d - 1, averaged, of the bases of r (n x d x d) on the moments `exact`."""
+    v = np.linalg.eigh((r + r.transpose(0, 2, 1)) / 2)[1][:, :, ::-1]
+    kept = np.cumsum(np.einsum("nij,nij->nj", v, exact @ v), axis=1)
+    return (np.trace(exact, axis1=1, axis2=2)[:, None] - kept)[:, :-1].mean(1)
+
+
 def lre(err: float, ref: float, form: str = "ratio") -> float:
     """log10 of the error over that of the exact moment; `excess` takes the relative excess."""
     if form == "excess":

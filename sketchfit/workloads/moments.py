@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -10,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions import features as X
 from ..functions import vectors as V
 from ..functions.keyed_random import uniform_col
-from ..meta.train import train_moment_pair
+from ..meta.train import augment_bank, bank_scale, train_moment_pair
 from ..operators import baselines as B
 from ..operators import moment_decoders as D
 from ..operators import sketch as S
@@ -44,13 +46,16 @@ def moments_of(df: DataFrame, d: int) -> dict[str, tuple[int, np.ndarray]]:
     return {r.dataset_id: (r.n, np.array(r.v)) for r in S.second_moment(df, d, "dataset_id").collect()}
 
 
-def rank_mean_error(exact: np.ndarray, r: np.ndarray) -> float:
-    return float(T.pca_error_profile(exact, T.pca_from_moment(r))[:-1].mean())
+def rank_mean_error(exact: np.ndarray, r: np.ndarray) -> float | np.ndarray:
+    """Of one dataset, or of each of many (n x d x d)."""
+    if exact.ndim == 2:
+        return float(T.pca_error_profile(exact, T.pca_from_moment(r))[:-1].mean())
+    return T.pca_mean_errors(exact, r)
 
 
 def decoders(z: np.ndarray, a: np.ndarray, d: int, quick: bool) -> dict[str, np.ndarray]:
     steps = 150 if quick else 1000
-    return {"robust": D.decode_robust(z, a, d, max(1, d // 4), steps).r, "accelerated": D.decode_accelerated(z, a, d, steps).r, "expgrad": D.decode_expgrad(z, a, d, steps).r, "gradient": D.decode_gradient(z, a, d, steps).r}
+    return {"robust": D.robust_all(z, a, d, max(1, d // 4), steps), "accelerated": D.accelerated_all(z, a, d, steps), "expgrad": D.expgrad_all(z, a, d, steps), "gradient": D.gradient_all(z, a, d, steps)}
 
 
 SCORE = "method string, param double, dataset_id string, value double"
@@ -64,57 +69,76 @@ def halves(moments: DataFrame) -> tuple[np.ndarray, DataFrame]:
 
 
 def row_moments(rows: DataFrame, d: int, sizes: list[int]) -> DataFrame:
-    """dataset_id, method, m, r: moments that the row sketches and the row sample estimate, over all rows of every dataset, at equal budgets of numbers."""
-    out = None
-    for m in sizes:
-        s = B.rows_for_budget(m, d)
-        sparse = B.rowsketch_sparse(rows, s, d, 3).select("dataset_id", F.col("n").cast("double").alias("c"), "row")
-        gauss = B.rowsketch_gaussian(rows, s, d, 3).select("dataset_id", (F.col("n") / s).alias("c"), "row")
-        sample = B.rowsample(rows, s, 3).select("dataset_id", F.lit(1.0).alias("c"), F.col("features").alias("row"))
-        for name, parts in (("row_sparse", sparse), ("row_gaussian", gauss), ("row_sample", sample)):
-            one = parts.select("dataset_id", F.lit(name).alias("method"), F.lit(m).alias("m"), "c", "row")
-            out = one if out is None else out.unionByName(one)
+    """dataset_id, method, m, r: moments that the row sketches and the row sample estimate, over all rows of every dataset, at equal budgets of numbers. One scan for both sketches, one for the sample."""
+    budget = {m: B.rows_for_budget(m, d) for m in sizes}
+    counts = sorted(set(budget.values()))
+    starts = dict(zip(counts, np.cumsum([0, *counts])))
+
+    def run(pdfs):
+        for pdf in pdfs:
+            acc = np.stack(pdf["acc"].to_numpy())
+            n, kinds = acc[:, -1][:, None, None], acc[:, :-1].reshape(len(acc), 2, sum(counts), d)
+            for i, method in enumerate(("row_gaussian", "row_sparse")):
+                for m, s in budget.items():
+                    x = kinds[:, i, starts[s] : starts[s] + s]
+                    r = D.pack_all(x.transpose(0, 2, 1) @ x) / (n[:, :, 0] * (s if i == 0 else 1))
+                    yield pd.DataFrame({"dataset_id": pdf["dataset_id"], "method": method, "m": m, "r": list(r)})
+
+    sketched = B.rowsketches(rows, counts, d, 3).mapInPandas(run, "dataset_id string, method string, m int, r array<double>")
     full = range(D.full_size(d))
-    flat = out.withColumn("o", V.outer_lt(F.col("row"), d)).select("dataset_id", "method", "m", "c", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in full])
-    return flat.groupBy("dataset_id", "method", "m").agg(F.array(*[F.sum(f"o{j}") / F.sum("c") for j in full]).alias("r"))
+    flat = B.rowsamples(rows, counts, 3).withColumn("o", V.outer_lt(F.col("features"), d)).select("dataset_id", "s", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in full])
+    sampled = flat.groupBy("dataset_id", "s").agg(F.array(*[F.avg(f"o{j}") for j in full]).alias("r"))
+    sizes_of = F.create_map(*[x for s in counts for x in (F.lit(s), F.array(*[F.lit(m) for m in sizes if budget[m] == s]))])
+    return sketched.unionByName(sampled.select("dataset_id", F.lit("row_sample").alias("method"), F.explode(F.element_at(sizes_of, F.col("s"))).alias("m"), "r"))
 
 
 def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int], error, quick: bool = True, steps: int = 150, rate: float = 1e-3) -> DataFrame:
     """method, param (the size), dataset_id, value (log error ratio against the exact moment) of every method on every dataset of the test half. The datasets are spread over tasks.
 
-    moments: dataset_id, v. rows: all rows, for the row-sketch baselines.
+    moments: dataset_id, v. rows: all rows, for the row-sketch baselines. error: takes exact moments and estimates, n x d x d each; or several by name, which then
+    stands before the method's: all of them score the same fitted pairs and estimates.
     """
+    errors = {f"{name}:": e for name, e in error.items()} if isinstance(error, dict) else {"": error}
     bank, test = halves(moments)
     mean = bank.mean(0)
-    models = {}
+    models, more = {}, augment_bank(bank / bank_scale(bank), d, 8, 1)
     for m in sizes:
         maps = {law: random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit")}
-        models[m] = (train_moment_pair(bank, d, m, steps=steps, rate=rate, seed=1), maps, {law: np.linalg.pinv(a) for law, a in maps.items()})
+        models[m] = (train_moment_pair(bank, d, m, steps=steps, rate=rate, seed=1, augmented=more), maps, {law: np.linalg.pinv(a) for law, a in maps.items()})
 
     def estimates(v: np.ndarray, m: int) -> dict[str, np.ndarray]:
         pair, maps, back = models[m]
-        out = {"learned": pair.moment(v), **{law: S.unpack_lt(back[law] @ (a @ v), d) for law, a in maps.items()}}
-        out["random_offset"] = S.unpack_lt(mean + back["chi"] @ (maps["chi"] @ (v - mean)), d)
+        out = {"learned": pair.decode(pair.encode(v)), **{law: v @ a.T @ back[law].T for law, a in maps.items()}}
+        out["random_offset"] = mean + (v - mean) @ maps["chi"].T @ back["chi"].T
+        out = {method: D.unpack_all(r, d) for method, r in out.items()}
         if not quick or d <= 10:
-            out |= decoders(maps["chi"] @ v, maps["chi"], d, quick)
+            out |= decoders(v @ maps["chi"].T, maps["chi"], d, quick)
         return out
 
-    def ratio(exact: np.ndarray, r: np.ndarray) -> float:
-        return float(T.lre(max(error(exact, r), 1e-300), max(error(exact, exact), 1e-300)))
+    def ratios(exact: np.ndarray, found: list[tuple[object, object, np.ndarray]], names: np.ndarray) -> Iterator[pd.DataFrame]:
+        """found: method, size and estimates of all datasets; method and size may be columns."""
+        for label, one in errors.items():
+            ref = np.maximum(one(exact, exact), 1e-300)
+            for method, m, r in found:
+                value = np.log10(np.maximum(one(exact, r), 1e-300) / ref)
+                yield pd.DataFrame({"method": label + method, "param": m, "dataset_id": names, "value": value}).astype({"param": float})
 
-    def from_moments(pdfs):
+    def blocks(pdfs: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        many = max(1, 250_000 // d**2)
         for pdf in pdfs:
-            got = []
-            for name, v in zip(pdf["dataset_id"], pdf["v"]):
-                v = np.asarray(v, dtype=float)
-                exact = S.unpack_lt(v, d)
-                got += [(method, float(m), name, ratio(exact, r)) for m in sizes for method, r in estimates(v, m).items()]
-            yield pd.DataFrame(got, columns=["method", "param", "dataset_id", "value"])
+            for lo in range(0, len(pdf), many):
+                yield pdf.iloc[lo : lo + many]
+
+    def from_moments(pdfs):
+        for pdf in blocks(pdfs):
+            v = np.stack(pdf["v"].to_numpy())
+            for m in sizes:
+                yield from ratios(D.unpack_all(v, d), [(method, m, r) for method, r in estimates(v, m).items()], pdf["dataset_id"].to_numpy())
 
     def from_rows(pdfs):
-        for pdf in pdfs:
-            got = [(method, float(m), name, ratio(S.unpack_lt(np.asarray(v, dtype=float), d), S.unpack_lt(np.asarray(r, dtype=float), d))) for name, v, method, m, r in zip(pdf["dataset_id"], pdf["v"], pdf["method"], pdf["m"], pdf["r"])]
-            yield pd.DataFrame(got, columns=["method", "param", "dataset_id", "value"])
+        for pdf in blocks(pdfs):
+            exact, r = (D.unpack_all(np.stack(pdf[c].to_numpy()), d) for c in ("v", "r"))
+            yield from ratios(exact, [(pdf["method"].to_numpy(), pdf["m"].to_numpy(), r)], pdf["dataset_id"].to_numpy())
 
     spread = int(moments.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     out = test.select("dataset_id", "v").repartition(spread, "dataset_id").mapInPandas(from_moments, SCORE)
@@ -126,10 +150,10 @@ def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int],
 
 
 def means(scores: list[tuple[str, DataFrame]], metric: str = "lre") -> DataFrame:
-    """The long result form: averages over datasets, the collection's name before the method's. A value that is not finite or beyond 1e12 leaves its average null."""
+    """The long result form: averages over datasets, the collection's name (if it has one) before the method's. A value that is not finite or beyond 1e12 leaves its average null."""
     out = None
     for name, df in scores:
-        one = df.groupBy(F.concat(F.lit(f"{name}:"), "method").alias("method"), "param").agg(F.avg("value").alias("value"))
+        one = df.groupBy(F.concat(F.lit(f"{name}:" if name else ""), "method").alias("method"), "param").agg(F.avg("value").alias("value"))
         out = one if out is None else out.unionByName(one)
     v = F.col("value")
     return out.select("method", "param", F.lit("mean").alias("dataset_id"), F.lit(metric).alias("metric"), F.when(F.abs(v) < 1e12, F.floor(v * 1e6 + 0.5)).cast("long").alias("value_micro"))
@@ -162,12 +186,22 @@ def averaged(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 
 def ridge_error(lam: float):
-    def error(exact: np.ndarray, r: np.ndarray) -> float:
+    """Mean squared error, on the exact moments, of the weights from the estimates (n x d x d each); weights that cannot be solved for are 0."""
+
+    def weights(r: np.ndarray) -> np.ndarray:
         try:
-            theta = T.ridge_from_moment(r, 1, lam)
+            inner = r[:, 1:, 1:] + lam * np.eye(r.shape[1] - 1)
+            if lam == 0:
+                return (np.linalg.pinv(inner, rcond=np.finfo(float).eps * inner.shape[1]) @ r[:, 1:, :1])[:, :, 0]
+            return np.linalg.solve(inner, r[:, 1:, :1])[:, :, 0]
         except np.linalg.LinAlgError:
-            theta = np.zeros((1, len(r) - 1))
-        return max(T.ridge_mse(exact, theta, 1), 1e-12)
+            if len(r) == 1:
+                return np.zeros((1, r.shape[1] - 1))
+            return np.concatenate([weights(one[None]) for one in r])
+
+    def error(exact: np.ndarray, r: np.ndarray) -> np.ndarray:
+        w = weights(r)
+        return np.maximum(exact[:, 0, 0] - 2 * (w * exact[:, 1:, 0]).sum(1) + np.einsum("ni,nij,nj->n", w, exact[:, 1:, 1:], w), 1e-12)
 
     return error
 
@@ -178,7 +212,7 @@ def w02(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
     keep = [0, 2, 3, 4, 5, 6, 7]  # without the net price, which would give the target away
     line = X.line_num(spark, sf_dir).withColumn("features", F.array(*[F.get("features", F.lit(j)) for j in keep]))
     rows, moments = collection(line, 7, "w02")
-    return means([(f"lambda={lam:g}", sweep(moments, rows, 7, size_grid(7, (10, 40, 70, 100)), ridge_error(lam), quick)) for lam in (0.0, 1e-3, 1e-1)])
+    return means([("", sweep(moments, rows, 7, size_grid(7, (10, 40, 70, 100)), {f"lambda={lam:g}": ridge_error(lam) for lam in (0.0, 1e-3, 1e-1)}, quick))])
 
 
 @R.add("w04", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(196 AS INTEGER) AS width, CAST(8 AS INTEGER) AS filled FROM lineitem JOIN part ON l_partkey = p_partkey")
@@ -209,14 +243,12 @@ def learned_against_random(spark: SparkSession, sf_dir: str, task: str = "pca")
 
     def run(pdfs):
         for pdf in pdfs:
-            got = []
-            for v in map(np.asarray, pdf["v"]):
-                exact = S.unpack_lt(v, d)
-                ref = error(exact, exact)
-                for m, (pair, chi, unit) in models.items():
-                    rs = (pair.moment(v), D.decode_pinv(chi @ v, chi, d).r, D.decode_pinv(unit @ v, unit, d).r)
-                    got.append((m, *(float(T.lre(error(exact, r), ref)) for r in rs)))
-            yield pd.DataFrame(got, columns=["m", "learned", "chi", "unit"])
+            v = np.stack(pdf["v"].to_numpy())
+            exact = D.unpack_all(v, d)
+            ref = error(exact, exact)
+            for m, (pair, chi, unit) in models.items():
+                rs = (pair.decode(pair.encode(v)), *(v @ a.T @ np.linalg.pinv(a).T for a in (chi, unit)))
+                yield pd.DataFrame({"m": m} | {c: np.log10(error(exact, D.unpack_all(r, d)) / ref) for c, r in zip(("learned", "chi", "unit"), rs)})
 
     mean = test.select("v").mapInPandas(run, "m int, learned double, chi double, unit double").groupBy("m").agg(*[F.avg(c).alias(c) for c in ("learned", "chi", "unit")])
     return [(r.learned, min(r.chi, r.unit)) for r in mean.orderBy("m").collect()]

@@ -10,6 +10,7 @@ from sketchfit.meta.train import Autoencoder, augment_bank, balanced_accuracy_lo
 from sketchfit.operators import baselines as B
 from sketchfit.operators import moment_decoders as D
 from sketchfit.operators import sketch as S
+from sketchfit.operators import tasks as T
 from sketchfit.operators.kmeans import kmeans_mse_local, lloyd_local
 from sketchfit.operators.maps import fourier_map, identity_map
 from sketchfit.workloads import autoencoder, clusters, moments, privacy
@@ -125,3 +126,64 @@ def test_a_large_bank_is_mixed_and_trained_on_whole(monkeypatch):
 
     train_moment_pair(bank, 4, 3, steps=5, augmented=augment_bank(bank / bank_scale(bank), 4, 8).view(Spied))
     assert seen == set(range(9 * 600))
+
+
+@pytest.mark.parametrize("m", [1, 5, 10])
+def test_decoders_of_many_datasets_equal_those_of_one(m):
+    rng = np.random.default_rng(4)
+    x = rng.random((12, 20, 4))
+    x[3] = 0
+    a = rng.standard_normal((m, 10))
+    z = D.pack_all(x.transpose(0, 2, 1) @ x / 20) @ a.T
+    pairs = [
+        (D.robust_all(z, a, 4, 2, 60), lambda q: D.decode_robust(q, a, 4, 2, 60)),
+        (D.accelerated_all(z, a, 4, 60), lambda q: D.decode_accelerated(q, a, 4, 60)),
+        (D.expgrad_all(z, a, 4, 60), lambda q: D.decode_expgrad(q, a, 4, 60)),
+        (D.gradient_all(z, a, 4, 60), lambda q: D.decode_gradient(q, a, 4, 60)),
+    ]
+    for many, one in pairs:
+        assert np.allclose(many, [one(q).r for q in z], atol=1e-8)
+
+
+def test_row_sketches_of_one_scan_equal_those_made_alone(sets):
+    _, rows = sets
+    sizes = [1, 2, 20]
+    for r in B.rowsketches(rows, sizes, 3, 7).collect():
+        kinds, lo = np.array(r.acc[:-1]).reshape(2, -1, 3), 0
+        own = rows.where(F.col("dataset_id") == r.dataset_id)
+        assert r.acc[-1] == own.count()
+        for s in sizes:
+            gauss, sparse = np.zeros((s, 3)), np.zeros((s, 3))
+            for q in B.rowsketch_gaussian(own, s, 3, 7).collect():
+                gauss[q.i] = q.row
+            for q in B.rowsketch_sparse(own, s, 3, 7).collect():
+                sparse[q.bucket] = q.row
+            assert np.allclose(kinds[0, lo : lo + s] / np.sqrt(s), gauss) and np.allclose(kinds[1, lo : lo + s], sparse)
+            lo += s
+    alone = {(r.dataset_id, s, tuple(r.features)) for s in sizes for r in B.rowsample(rows, s, 7).collect()}
+    assert {(r.dataset_id, r.s, tuple(r.features)) for r in B.rowsamples(rows, sizes, 7).collect()} == alone
+
+
+def test_errors_of_ridge_share_estimates():
+    rng = np.random.default_rng(6)
+    x = rng.random((5, 30, 4))
+    exact = x.transpose(0, 2, 1) @ x / 30
+    r = exact + 0.05 * np.eye(4)
+    r[2] = 0  # no weights can be solved for
+    for lam in (0.0, 0.1):
+        want = [max(T.ridge_mse(e, T.ridge_from_moment(q, 1, lam), 1), 1e-12) for e, q in zip(exact, r)]
+        assert np.allclose(moments.ridge_error(lam)(exact, r), want)
+
+
+def test_several_errors_in_one_sweep_are_those_of_each(spark):
+    rng = np.random.default_rng(8)
+    data = [(str(i), f"{i}-{j}", rng.random(3).tolist()) for i in range(12) for j in range(9)]
+    rows = spark.createDataFrame(data, "dataset_id string, row_key string, features array<double>")
+    own = {"a": moments.ridge_error(0.0), "b": moments.ridge_error(0.1)}
+    v = S.second_moment(rows, 3, "dataset_id")
+    key = lambda df: {(r.method, r.param, r.dataset_id): r.value for r in df.collect()}
+    got = key(moments.sweep(v, None, 3, [2], own, steps=5))
+    for name, error in own.items():
+        for (method, param, dataset), value in key(moments.sweep(v, None, 3, [2], error, steps=5)).items():
+            assert got.pop((f"{name}:{method}", param, dataset)) == pytest.approx(value, abs=1e-9)
+    assert not got
