@@ -6,13 +6,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
 from ..functions import vectors as V
 from ..functions.keyed_random import bucket_col, uniform_col
+from ..sources.tables import written
 
 
 def rows_for_budget(m: int, d: int) -> int:
@@ -77,70 +78,172 @@ def rowsketch_gaussian(df: DataFrame, s: int, d: int, seed: int = 0, key: str =
 BLOCK = 64
 
 
-def rowsketches(df: DataFrame, sizes: list[int], d: int, seed: int = 0, key: str = "row_key") -> DataFrame:
-    """dataset_id, acc: the rows of `rowsketch_gaussian` (before the division by sqrt(s)) for every s of `sizes`, then those of `rowsketch_sparse`, flat and one after another,
-    at last the number of rows. All from one scan; a task adds up whole batches, sorted by dataset, without a loop over datasets."""
-    schema = "dataset_id string, b int, acc array<double>"
+def _hex(column: pa.Array) -> np.ndarray:
+    """The 32 characters of each md5 of a column that is not null, as bytes."""
+    text = column.drop_null().cast(pa.string())
+    if not len(text):
+        return np.zeros((0, 32), dtype=np.uint8)
+    at = np.frombuffer(text.buffers()[1], dtype=np.int32)[text.offset : text.offset + len(text) + 1]
+    return np.frombuffer(text.buffers()[2], dtype=np.uint8)[at[0] : at[-1]].reshape(-1, 32)
+
+
+def _uniforms(h: np.ndarray) -> np.ndarray:
+    """What `uniform_col` makes of the same md5."""
+    digit = np.where(h[:, :13] < 97, h[:, :13] - 48, h[:, :13] - 87)
+    return digit @ 16.0 ** np.arange(12, -1, -1) / (1 << 52)
+
+
+def _grown(a: np.ndarray, n: int, fill: float = 0) -> np.ndarray:
+    """a with room for n columns at least."""
+    return a if n <= a.shape[-1] else np.concatenate([a, np.full((*a.shape[:-1], n + n // 4 - a.shape[-1]), fill, dtype=a.dtype)], axis=-1)
+
+
+class _Sums:
+    """A task's sums by dataset, one line of memory for each number (sketches of the keyed datasets alone), and its sampled rows."""
+
+    def __init__(self, sizes: list[int], d: int):
+        self.sizes, self.d, self.place, self.many = sizes, d, {}, 0
+        self.head, self.rest = np.zeros((1 + d * (d + 1) // 2, 0)), np.zeros((2 * sum(sizes) * d, 0))
+        self.own = np.zeros(0, dtype=np.int64)  # the column of `rest` of each dataset, -1 without one
+        self.at, self.hash, self.x = np.zeros(0, dtype=np.int64), np.zeros(0, dtype="S32"), np.zeros((0, d))
+
+    def numbers(self) -> int:
+        return len(self.place) * len(self.head) + self.many * len(self.rest) + len(self.at) * (self.d + 4)
+
+    def add(self, batches: list[pa.RecordBatch]) -> None:
+        code = []
+        for batch in batches:
+            coded = batch.column(0).dictionary_encode()
+            names = [*coded.dictionary.to_pylist(), None] if coded.null_count else coded.dictionary.to_pylist()
+            own = np.array([self.place.setdefault(name, len(self.place)) for name in names], dtype=np.int64)
+            code.append(own[coded.indices.fill_null(len(names) - 1).to_numpy(zero_copy_only=False)])
+        at, n = np.concatenate(code), len(self.place)
+        self.head, self.own = _grown(self.head, n), _grown(self.own, n, -1)
+        x = np.concatenate([batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1) for batch in batches]).T.copy()
+        self.head[0, :n] += np.bincount(at, minlength=n)
+        for lo, (i, j) in enumerate(zip(*np.tril_indices(self.d)), 1):
+            self.head[lo, :n] += np.bincount(at, x[i] * x[j], n)
+        keyed = np.concatenate([batch.column(2).is_valid().to_numpy(zero_copy_only=False) for batch in batches])
+        if not keyed.any():
+            return
+        if not keyed.all():
+            at, x = at[keyed], x[:, keyed]
+        h, negative = (np.concatenate([batch.column(i).drop_null().to_numpy(zero_copy_only=False) for batch in batches]) for i in (2, 3))
+        u, least = (np.concatenate([_hex(batch.column(i)) for batch in batches]) for i in (4, 5))
+        self._sample(at, np.ascontiguousarray(least).view("S32")[:, 0], x.T)
+        new = np.unique(at[self.own[at] < 0])
+        self.own[new] = self.many + np.arange(len(new))
+        self.many += len(new)
+        self.rest = _grown(self.rest, self.many)
+        at, n, lo, acc = self.own[at], self.many, 0, self.rest[:, : self.many]
+        for s in self.sizes:
+            for g in keyed_normals(h, s).T:
+                for xj in x:
+                    acc[lo] += np.bincount(at, g * xj, n)
+                    lo += 1
+        u, x = _uniforms(u), np.where(negative, -1.0, 1.0) * x
+        for s in self.sizes:
+            cell = at * s + np.floor(u * s).astype(np.int64)
+            for xj in x:
+                acc[lo : lo + s * self.d : self.d] += np.bincount(cell, xj, n * s).reshape(n, s).T
+                lo += 1
+            lo += (s - 1) * self.d
+
+    def _sample(self, at: np.ndarray, h: np.ndarray, x: np.ndarray) -> None:
+        at, h, x = np.concatenate([self.at, at]), np.concatenate([self.hash, h]), np.concatenate([self.x, x])
+        first = np.frombuffer(h.tobytes(), dtype=">u8").reshape(-1, 4)[:, 0].astype(np.uint64)
+        order = np.lexsort((first, at))
+        same = np.flatnonzero((np.diff(at[order]) == 0) & (np.diff(first[order]) == 0))
+        if len(same):
+            order = np.lexsort((h, at))
+        start = np.flatnonzero(np.diff(at[order], prepend=-1))
+        rank = np.arange(len(order)) - np.repeat(start, np.diff(start, append=len(order)))
+        # equal hashes at the edge are all kept, so no order of rows decides
+        edge = np.minimum(start + max(self.sizes), np.append(start[1:], len(order))) - 1
+        last = np.repeat(h[order][edge], np.diff(start, append=len(order)))
+        keep = order[(rank < max(self.sizes)) | (h[order] == last)]
+        self.at, self.hash, self.x = at[keep], h[keep], x[keep]
+
+    def given(self, schema: pa.Schema) -> Iterator[pa.RecordBatch]:
+        names, listed = pa.array(list(self.place), pa.string()), schema.field(2).type
+
+        def batch(at: np.ndarray, b: np.ndarray, numbers: np.ndarray, r: pa.Array) -> pa.RecordBatch:
+            flat = pa.ListArray.from_arrays(pa.array(np.arange(len(at) + 1, dtype=np.int32) * numbers.shape[1]), pa.array(numbers.ravel()))
+            return pa.RecordBatch.from_arrays([names.take(pa.array(at)), pa.array(b.astype(np.int32)), flat.cast(listed), r], schema=schema)
+
+        n = len(self.place)
+        own = self.own[:n]
+        order = np.argsort(own[own >= 0])
+        for first, at, acc in ((0, np.arange(n), self.head[:, :n]), (-(-len(self.head) // BLOCK), np.flatnonzero(own >= 0)[order], self.rest[:, : self.many])):
+            for lo in range(0, len(acc), BLOCK):
+                if len(at):
+                    wide = np.zeros((len(at), BLOCK))
+                    wide[:, : len(acc) - lo] = acc[lo : lo + BLOCK].T
+                    yield batch(at, np.full(len(at), first + lo // BLOCK), wide, pa.nulls(len(at), pa.string()))
+        if len(self.at):
+            yield batch(self.at, np.full(len(self.at), -1), self.x, pa.array(self.hash.tolist(), pa.binary()).cast(pa.string()))
+
+
+def states(df: DataFrame, sizes: list[int], d: int, seed: int = 0, key: str = "row_key", keyed: Column | None = None) -> DataFrame:
+    """dataset_id, acc, least, all from one scan. acc: the number of rows, the triangle of the sum of X'X, and where `keyed` holds (by dataset; everywhere if not given) the rows
+    of `rowsketch_gaussian` (before the division by sqrt(s)) for every s of `sizes`, then those of `rowsketch_sparse`, flat and one after another; least: the rows of `rowsample`
+    for the largest s, in order, null elsewhere. Rows of other datasets need no key. A task's partial sums are written once and read for the sums and the sample."""
+    schema = "dataset_id string, b int, acc array<double>, r string"
     arrow = to_arrow_schema(T._parse_datatype_string(schema))
-    k = F.col(key).cast("string")
-    rows = df.select(F.col("dataset_id").cast("string"), V.as_doubles(F.col("features")).alias("features"), F.xxhash64(k, F.lit(seed)).alias("h"), uniform_col(f"sign{seed}", k).alias("g"), uniform_col(f"bucket{seed}", k).alias("u"))
-    width = 2 * sum(sizes) * d + 1
-    blocks = -(-width // BLOCK)  # a dataset's numbers are summed in blocks, so many of them are spread over tasks, and few make few rows
+    k = F.col("__k")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        place: dict = {}
-        acc = np.zeros((0, blocks * BLOCK))
+    def md5(tag: str) -> Column:
+        return F.md5(F.concat_ws("-", F.lit(f"{tag}{seed}"), k).cast("binary"))
 
-        def flush() -> pa.RecordBatch:
-            flat = pa.ListArray.from_arrays(pa.array(np.arange(len(place) * blocks + 1, dtype=np.int32) * BLOCK), pa.array(acc[: len(place)].ravel()))
-            names, which = pa.array(list(place), pa.string()), np.tile(np.arange(blocks, dtype=np.int32), len(place))
-            return pa.RecordBatch.from_arrays([names.take(pa.array(np.repeat(np.arange(len(place)), blocks))), pa.array(which), flat.cast(arrow.field(2).type)], schema=arrow)
+    base = [F.col("dataset_id").cast("string").alias("dataset_id"), V.as_doubles(F.col("features")).alias("features")]
+    own = df if keyed is None else df.where(keyed)  # a filter goes below what makes the key, so other rows need none
+    # half a uniform and more begin with a digit of 8 and more
+    rows = own.select(*base, F.col(key).cast("string").alias("__k")).select("dataset_id", "features", F.xxhash64(k, F.lit(seed)).alias("h"), (md5("sign") < "8").alias("g"), md5("bucket").alias("u"), md5("sample").alias("r"))
+    if keyed is not None:
+        rest = df.where(~F.coalesce(keyed, F.lit(False))).select(*base)
+        rows = rows.unionByName(rest.select("dataset_id", "features", *[F.lit(None).cast(kind).alias(c) for c, kind in (("h", "long"), ("g", "boolean"), ("u", "string"), ("r", "string"))]))
+    head, tail = 1 + d * (d + 1) // 2, 2 * sum(sizes) * d
+    held = max(1, min(1 << 17, 2_000_000 // max(sizes)))
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, waiting, many = _Sums(sizes, d), [], 0
         for batch in batches:
             if not batch.num_rows:
                 continue
-            coded = batch.column(0).dictionary_encode()
-            code, names = coded.indices.fill_null(len(coded.dictionary)).to_numpy(zero_copy_only=False), [*coded.dictionary.to_pylist(), None]
-            order = np.argsort(code, kind="stable")
-            cut = np.flatnonzero(np.diff(code[order], prepend=-1))
-            at = np.array([place.setdefault(names[c], len(place)) for c in code[order][cut]])
-            if len(place) > len(acc):
-                acc = np.concatenate([acc, np.zeros((len(place) + len(place) // 2 - len(acc), blocks * BLOCK))])
-            x = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)[order]
-            h, sign, u = (batch.column(i).to_numpy(zero_copy_only=False)[order] for i in (2, 3, 4))
-            count = np.diff(cut, append=len(order))
-            acc[at, width - 1] += count
-            lo = 0
-            for s in sizes:
-                g = keyed_normals(h, s)
-                for i in range(0, s, 16):  # some columns at a time, as each takes d numbers of every row
-                    part = g[:, i : i + 16, None] * x[:, None, :]
-                    many = part.shape[1] * d
-                    acc[at, lo : lo + many] += np.add.reduceat(part.reshape(len(x), many), cut)
-                    lo += many
-            x = np.where(sign < 0.5, -1.0, 1.0)[:, None] * x
-            for s in sizes:
-                cell = np.repeat(at, count) * s + np.floor(u * s).astype(np.int64)
-                by = np.argsort(cell, kind="stable")
-                first = np.flatnonzero(np.diff(cell[by], prepend=-1))
-                row, bucket = np.divmod(cell[by][first], s)
-                acc[row[:, None], lo + d * bucket[:, None] + np.arange(d)] += np.add.reduceat(x[by], first)
-                lo += s * d
-            if len(place) * width >= 8_000_000:
-                yield flush()
-                place, acc = {}, np.zeros((0, blocks * BLOCK))
-        if place:
-            yield flush()
-
-    sums = rows.mapInArrow(run, schema).groupBy("dataset_id", "b").agg(F.array(*[F.sum(F.get("acc", F.lit(j))) for j in range(BLOCK)]).alias("acc"))
+            waiting.append(batch)
+            many += batch.num_rows
+            if many < held:
+                continue
+            sums.add(waiting)
+            waiting, many = [], 0
+            if sums.numbers() >= 16_000_000:
+                yield from sums.given(arrow)
+                sums = _Sums(sizes, d)
+        if waiting:
+            sums.add(waiting)
+        if sums.place:
+            yield from sums.given(arrow)
+
+    parts = written(rows.mapInArrow(run, schema), "partial-states")
+    # a dataset's numbers are summed in blocks, so many of them are spread over tasks, and few make few rows
+    sums = parts.where("b >= 0").groupBy("dataset_id", "b").agg(F.array(*[F.sum(F.get("acc", F.lit(j))) for j in range(BLOCK)]).alias("acc"))
     whole = sums.groupBy("dataset_id").agg(F.array_sort(F.collect_list(F.struct("b", "acc"))).alias("c"))
-    return whole.select("dataset_id", F.slice(F.flatten(F.col("c.acc")), 1, width).alias("acc"))
+    flat, first = F.flatten(F.col("c.acc")), -(-head // BLOCK) * BLOCK
+    whole = whole.select("dataset_id", F.concat(F.slice(flat, 1, head), F.slice(flat, first + 1, tail)).alias("acc"))
+    w = Window.partitionBy("dataset_id").orderBy("r", "acc")
+    ranked = parts.where("b < 0").withColumn("i", F.row_number().over(w)).where(F.col("i") <= max(sizes))
+    least = ranked.groupBy("dataset_id").agg(F.array_sort(F.collect_list(F.struct("i", "acc"))).alias("c")).select(F.col("dataset_id").alias("__id"), F.col("c.acc").alias("least"))
+    return whole.join(least, F.col("dataset_id").eqNullSafe(F.col("__id")), "left").drop("__id")
+
+
+def rowsketches(df: DataFrame, sizes: list[int], d: int, seed: int = 0, key: str = "row_key") -> DataFrame:
+    """dataset_id, acc: the sketches of `states`, and at last the number of rows."""
+    head = 1 + d * (d + 1) // 2
+    return states(df, sizes, d, seed, key).select("dataset_id", F.concat(F.slice("acc", head + 1, 2 * sum(sizes) * d), F.slice("acc", 1, 1)).alias("acc"))
 
 
 def rowsample(df: DataFrame, s: int, seed: int = 0, key: str = "row_key") -> DataFrame:
     """The s rows of each dataset with the least md5 of their key: a sample that no layout changes."""
-    from pyspark.sql import Window
-
     h = F.md5(F.concat_ws("-", F.lit(f"sample{seed}"), F.col(key).cast("string")).cast("binary"))
     w = Window.partitionBy("dataset_id").orderBy("__h", F.col(key).cast("string"))
     return df.withColumn("__h", h).withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= s).drop("__h", "__r")
@@ -148,8 +251,6 @@ def rowsample(df: DataFrame, s: int, seed: int = 0, key: str = "row_key") -> Dat
 
 def rowsamples(df: DataFrame, sizes: list[int], seed: int = 0, key: str = "row_key") -> DataFrame:
     """dataset_id, s, features: the rows of `rowsample` for every s of `sizes`, ranked once."""
-    from pyspark.sql import Window
-
     k = F.col(key).cast("string")
     h = F.md5(F.concat_ws("-", F.lit(f"sample{seed}"), k).cast("binary"))
     w = Window.partitionBy("dataset_id").orderBy("__h", "__k")

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import features as X
@@ -61,59 +61,70 @@ def decoders(z: np.ndarray, a: np.ndarray, d: int, quick: bool) -> dict[str, np.
 SCORE = "method string, param double, dataset_id string, value double"
 
 
+def held_out() -> Column:
+    """Whether a dataset is of the test half."""
+    return uniform_col("split0", F.col("dataset_id")) >= 0.5
+
+
 def halves(moments: DataFrame) -> tuple[np.ndarray, DataFrame]:
     """The bank of the training half (all its datasets, d(d+1)/2 numbers for each, collected in the order of their ids' md5) and the moments of all datasets of the other half."""
-    train = uniform_col("split0", F.col("dataset_id")) < 0.5
-    bank = moments.where(train).orderBy(F.md5(F.col("dataset_id").cast("binary")), "dataset_id").select("v").toArrow().column(0).combine_chunks()
-    return bank.flatten().to_numpy(zero_copy_only=False).reshape(len(bank), -1), moments.where(~train)
+    bank = moments.where(~held_out()).orderBy(F.md5(F.col("dataset_id").cast("binary")), "dataset_id").select("v").toArrow().column(0).combine_chunks()
+    return bank.flatten().to_numpy(zero_copy_only=False).reshape(len(bank), -1), moments.where(held_out())
+
+
+def rows_of_budgets(sizes: list[int], d: int) -> list[int]:
+    return sorted({B.rows_for_budget(m, d) for m in sizes})
 
 
 def row_moments(rows: DataFrame, d: int, sizes: list[int]) -> DataFrame:
-    """dataset_id, method, m, r: moments that the row sketches and the row sample estimate, over all rows of every dataset, at equal budgets of numbers. One scan for both sketches, one for the sample."""
-    budget = {m: B.rows_for_budget(m, d) for m in sizes}
-    counts = sorted(set(budget.values()))
+    """dataset_id, method, m, r: moments that the row sketches and the row sample estimate, over all rows of every dataset, at equal budgets of numbers. One scan."""
+    return estimates_of(B.states(rows, rows_of_budgets(sizes, d), d, 3), d, sizes)
+
+
+def estimates_of(states: DataFrame, d: int, sizes: list[int]) -> DataFrame:
+    """The estimates of `row_moments` from the states of its scan."""
+    counts = rows_of_budgets(sizes, d)
+    head, total = 1 + D.full_size(d), sum(counts)
     starts = dict(zip(counts, np.cumsum([0, *counts])))
 
     def run(pdfs):
         for pdf in pdfs:
             acc = np.stack(pdf["acc"].to_numpy())
-            n, kinds = acc[:, -1][:, None, None], acc[:, :-1].reshape(len(acc), 2, sum(counts), d)
-            for i, method in enumerate(("row_gaussian", "row_sparse")):
-                for m, s in budget.items():
-                    x = kinds[:, i, starts[s] : starts[s] + s]
-                    r = D.pack_all(x.transpose(0, 2, 1) @ x) / (n[:, :, 0] * (s if i == 0 else 1))
+            n, kinds = acc[:, 0], acc[:, head:].reshape(len(acc), 2, total, d)
+            most = max(len(x) for x in pdf["least"])
+            x = np.zeros((len(acc), most, d))
+            held = np.array([len(one) for one in pdf["least"]])
+            x[np.arange(most) < held[:, None]] = np.concatenate([np.stack(one) for one in pdf["least"]])
+            for m in sizes:
+                s = B.rows_for_budget(m, d)
+                gauss, sparse = (kinds[:, i, starts[s] : starts[s] + s] for i in (0, 1))
+                for method, y, count in (("row_gaussian", gauss, n * s), ("row_sparse", sparse, n), ("row_sample", x[:, :s], np.minimum(held, s))):
+                    r = D.pack_all(y.transpose(0, 2, 1) @ y) / count[:, None]
                     yield pd.DataFrame({"dataset_id": pdf["dataset_id"], "method": method, "m": m, "r": list(r)})
 
-    sketched = B.rowsketches(rows, counts, d, 3).mapInPandas(run, "dataset_id string, method string, m int, r array<double>")
-    full = range(D.full_size(d))
-    flat = B.rowsamples(rows, counts, 3).withColumn("o", V.outer_lt(F.col("features"), d)).select("dataset_id", "s", *[F.get("o", F.lit(j)).alias(f"o{j}") for j in full])
-    sampled = flat.groupBy("dataset_id", "s").agg(F.array(*[F.avg(f"o{j}") for j in full]).alias("r"))
-    sizes_of = F.create_map(*[x for s in counts for x in (F.lit(s), F.array(*[F.lit(m) for m in sizes if budget[m] == s]))])
-    return sketched.unionByName(sampled.select("dataset_id", F.lit("row_sample").alias("method"), F.explode(F.element_at(sizes_of, F.col("s"))).alias("m"), "r"))
+    return states.select("dataset_id", "acc", "least").mapInPandas(run, "dataset_id string, method string, m int, r array<double>")
 
 
-def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int], error, quick: bool = True, steps: int = 150, rate: float = 1e-3) -> DataFrame:
+def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int], error, quick: bool = True, steps: int = 150, rate: float = 1e-3, states: DataFrame | None = None) -> DataFrame:
     """method, param (the size), dataset_id, value (log error ratio against the exact moment) of every method on every dataset of the test half. The datasets are spread over tasks.
 
     moments: dataset_id, v. rows: all rows, for the row-sketch baselines. error: takes exact moments and estimates, n x d x d each; or several by name, which then
-    stands before the method's: all of them score the same fitted pairs and estimates.
+    stands before the method's: all of them score the same fitted pairs and estimates. states: what one scan made of the rows (`scanned`), in place of `rows`.
     """
     errors = {f"{name}:": e for name, e in error.items()} if isinstance(error, dict) else {"": error}
     bank, test = halves(moments)
-    mean = bank.mean(0)
-    models, more = {}, augment_bank(bank / bank_scale(bank), d, 8, 1)
-    for m in sizes:
-        maps = {law: random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit")}
-        models[m] = (train_moment_pair(bank, d, m, steps=steps, rate=rate, seed=1, augmented=more), maps, {law: np.linalg.pinv(a) for law, a in maps.items()})
+    mean, more = bank.mean(0), augment_bank(bank / bank_scale(bank), d, 8, 1)
+    pairs = {m: train_moment_pair(bank, d, m, steps=steps, rate=rate, seed=1, augmented=more) for m in sizes}
+    maps = {m: {law: random_projection(d, m, "rank_one", law, "lt", 2) for law in ("chi", "unit")} for m in sizes}
+    back = {m: {law: np.linalg.pinv(a) for law, a in of.items()} for m, of in maps.items()}
 
     def estimates(v: np.ndarray, m: int) -> dict[str, np.ndarray]:
-        pair, maps, back = models[m]
-        out = {"learned": pair.decode(pair.encode(v)), **{law: v @ a.T @ back[law].T for law, a in maps.items()}}
-        out["random_offset"] = mean + (v - mean) @ maps["chi"].T @ back["chi"].T
-        out = {method: D.unpack_all(r, d) for method, r in out.items()}
-        if not quick or d <= 10:
-            out |= decoders(v @ maps["chi"].T, maps["chi"], d, quick)
-        return out
+        out = {"learned": pairs[m].decode(pairs[m].encode(v)), **{law: v @ a.T @ back[m][law].T for law, a in maps[m].items()}}
+        out["random_offset"] = mean + (v - mean) @ maps[m]["chi"].T @ back[m]["chi"].T
+        return {method: D.unpack_all(r, d) for method, r in out.items()}
+
+    def iterated(v: np.ndarray, m: int) -> dict[str, np.ndarray]:
+        return decoders(v @ maps[m]["chi"].T, maps[m]["chi"], d, quick)
 
     def ratios(exact: np.ndarray, found: list[tuple[object, object, np.ndarray]], names: np.ndarray) -> Iterator[pd.DataFrame]:
         """found: method, size and estimates of all datasets; method and size may be columns."""
@@ -129,11 +140,14 @@ def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int],
             for lo in range(0, len(pdf), many):
                 yield pdf.iloc[lo : lo + many]
 
-    def from_moments(pdfs):
-        for pdf in blocks(pdfs):
-            v = np.stack(pdf["v"].to_numpy())
-            for m in sizes:
-                yield from ratios(D.unpack_all(v, d), [(method, m, r) for method, r in estimates(v, m).items()], pdf["dataset_id"].to_numpy())
+    def from_moments(found):
+        def run(pdfs):
+            for pdf in blocks(pdfs):
+                v = np.stack(pdf["v"].to_numpy())
+                for m in sizes:
+                    yield from ratios(D.unpack_all(v, d), [(method, m, r) for method, r in found(v, m).items()], pdf["dataset_id"].to_numpy())
+
+        return run
 
     def from_rows(pdfs):
         for pdf in blocks(pdfs):
@@ -141,11 +155,18 @@ def sweep(moments: DataFrame, rows: DataFrame | None, d: int, sizes: list[int],
             yield from ratios(exact, [(pdf["method"].to_numpy(), pdf["m"].to_numpy(), r)], pdf["dataset_id"].to_numpy())
 
     spread = int(moments.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    out = test.select("dataset_id", "v").repartition(spread, "dataset_id").mapInPandas(from_moments, SCORE)
+    spread_out = test.select("dataset_id", "v").repartition(spread, "dataset_id")
+    more_scores = []
     if rows is not None:
-        held_out = rows.where(uniform_col("split0", F.col("dataset_id")) >= 0.5)
-        both = row_moments(held_out, d, sizes).join(test.select("dataset_id", "v"), "dataset_id")
-        out = out.unionByName(both.select("dataset_id", "v", "method", "m", "r").mapInPandas(from_rows, SCORE))
+        more_scores.append(row_moments(rows.where(held_out()), d, sizes))
+    if states is not None:
+        more_scores.append(estimates_of(states.where(held_out()), d, sizes))
+    more_scores = [one.join(test.select("dataset_id", "v"), "dataset_id").select("dataset_id", "v", "method", "m", "r").mapInPandas(from_rows, SCORE) for one in more_scores]
+    if not quick or d <= 10:
+        more_scores.append(spread_out.mapInPandas(from_moments(iterated), SCORE))
+    out = spread_out.mapInPandas(from_moments(estimates), SCORE)
+    for one in more_scores:
+        out = out.unionByName(one)
     return out
 
 
@@ -159,23 +180,37 @@ def means(scores: list[tuple[str, DataFrame]], metric: str = "lre") -> DataFrame
     return out.select("method", "param", F.lit("mean").alias("dataset_id"), F.lit(metric).alias("metric"), F.when(F.abs(v) < 1e12, F.floor(v * 1e6 + 0.5)).cast("long").alias("value_micro"))
 
 
-def collection(rows: DataFrame, d: int, kind: str) -> tuple[DataFrame, DataFrame]:
-    """The rows and their moments (dataset_id, n, v), each written once and read by every method."""
-    rows = written(rows.select("dataset_id", "row_key", "features"), f"{kind}-rows")
-    return rows, written(S.second_moment(rows, d, "dataset_id"), f"{kind}-moments")
+def collection(rows: DataFrame, d: int, kind: str) -> DataFrame:
+    """The moments (dataset_id, n, v) of all datasets, written once and read by every method."""
+    return written(S.second_moment(rows, d, "dataset_id"), f"{kind}-moments")
+
+
+def scanned(rows: DataFrame, d: int, sizes: list[int], kind: str) -> tuple[DataFrame, DataFrame]:
+    """One scan of the rows, which are not stored: the moments of all datasets, and the states of those of the test half for `estimates_of`."""
+    states = written(B.states(rows, rows_of_budgets(sizes, d), d, 3, keyed=held_out()), f"{kind}-states")
+    n = F.element_at("acc", 1)
+    return states.select("dataset_id", n.cast("long").alias("n"), F.transform(F.slice("acc", 2, D.full_size(d)), lambda x: x / n).alias("v")), states
 
 
 @R.add("w01")
 def w01(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
     """Components against size over all datasets and rows: embeddings by label (d = 64), suppliers' lines (d = 8), documents by source (d = 16; 64 when not quick)."""
     dd = 16 if quick else 64
-    rows, moments = collection(X.line_num(spark, sf_dir), 8, "w01-line")
-    parts = [("line", sweep(moments, rows, 8, size_grid(8, (5, 20, 50, 80, 100) if quick else (1, 5, 10, 20, 40, 60, 80, 100)), rank_mean_error, quick))]
-    _, moments = collection(X.documents_by(spark, sf_dir, dd), dd, "w01-documents")
-    parts.append(("documents", sweep(moments, None, dd, size_grid(dd, (3, 10, 30, 100)), rank_mean_error, quick)))
-    _, moments = collection(X.emb64(spark, sf_dir), 64, "w01-embeddings")
-    parts.append(("embeddings", sweep(moments, None, 64, size_grid(64, (1, 5, 20) if quick else (1, 5, 20, 50, 100)), rank_mean_error, True)))
-    return means(parts)
+
+    def line() -> DataFrame:
+        sizes = size_grid(8, (5, 20, 50, 80, 100) if quick else (1, 5, 10, 20, 40, 60, 80, 100))
+        moments, states = scanned(X.line_num(spark, sf_dir), 8, sizes, "w01-line")
+        return sweep(moments, None, 8, sizes, rank_mean_error, quick, states=states)
+
+    def documents() -> DataFrame:
+        moments = collection(X.documents_by(spark, sf_dir, dd), dd, "w01-documents")
+        return sweep(moments, None, dd, size_grid(dd, (3, 10, 30, 100)), rank_mean_error, quick)
+
+    def embeddings() -> DataFrame:
+        moments = collection(X.emb64(spark, sf_dir), 64, "w01-embeddings")
+        return sweep(moments, None, 64, size_grid(64, (1, 5, 20) if quick else (1, 5, 20, 50, 100)), rank_mean_error, True)
+
+    return means([(part.__name__, part()) for part in (line, documents, embeddings)])
 
 
 def averaged(spark: SparkSession, rows: list[tuple]) -> DataFrame:
@@ -211,8 +246,9 @@ def w02(spark: SparkSession, sf_dir: str, quick: bool = True) -> DataFrame:
     """Regression of the charge on price, quantity, discount, tax, retail price and size, over all suppliers and rows; lambda 0, 0.001 and 0.1."""
     keep = [0, 2, 3, 4, 5, 6, 7]  # without the net price, which would give the target away
     line = X.line_num(spark, sf_dir).withColumn("features", F.array(*[F.get("features", F.lit(j)) for j in keep]))
-    rows, moments = collection(line, 7, "w02")
-    return means([("", sweep(moments, rows, 7, size_grid(7, (10, 40, 70, 100)), {f"lambda={lam:g}": ridge_error(lam) for lam in (0.0, 1e-3, 1e-1)}, quick))])
+    sizes = size_grid(7, (10, 40, 70, 100))
+    moments, states = scanned(line, 7, sizes, "w02")
+    return means([("", sweep(moments, None, 7, sizes, {f"lambda={lam:g}": ridge_error(lam) for lam in (0.0, 1e-3, 1e-1)}, quick, states=states))])
 
 
 @R.add("w04", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(196 AS INTEGER) AS width, CAST(8 AS INTEGER) AS filled FROM lineitem JOIN part ON l_partkey = p_partkey")

@@ -1,5 +1,7 @@
 """Whole-table scores of the experiments against plain loops over the same rows."""
 
+import hashlib
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -187,3 +189,34 @@ def test_several_errors_in_one_sweep_are_those_of_each(spark):
         for (method, param, dataset), value in key(moments.sweep(v, None, 3, [2], error, steps=5)).items():
             assert got.pop((f"{name}:{method}", param, dataset)) == pytest.approx(value, abs=1e-9)
     assert not got
+
+
+def test_one_scan_gives_moments_of_all_and_sketches_of_the_keyed(sets):
+    local, rows = sets
+    twice = rows.unionByName(rows.where("dataset_id = 'one'"))  # rows of one key
+    got = {r.dataset_id: r for r in B.states(twice, [1, 2], 3, 3, keyed=F.col("dataset_id") != "b").collect()}
+    alone = {r.dataset_id: r.acc for r in B.rowsketches(twice, [1, 2], 3, 3).collect()}
+    local = local | {"one": local["one"].repeat(2, 0)}
+    assert set(got) == set(local)
+    for name, x in local.items():
+        n, triangle, tail = got[name].acc[0], got[name].acc[1:7], got[name].acc[7:]
+        assert n == len(x) and np.allclose(triangle, S.pack_lt(x.T @ x))
+        assert np.allclose(tail, [] if name == "b" else alone[name][:-1])
+        if name == "b":
+            assert got[name].least is None
+        else:
+            least = sorted(range(len(x)), key=lambda i: hashlib.md5(f"sample3-{name}{i if name != 'one' else 0}".encode()).hexdigest())[:2]
+            assert np.allclose(got[name].least, x[least])
+
+
+def test_sweep_of_scanned_states_equals_that_of_rows(spark):
+    rng = np.random.default_rng(3)
+    data = [(str(i), f"{i}-{j}", rng.random(3).tolist()) for i in range(14) for j in range(12)]
+    rows = spark.createDataFrame(data, "dataset_id string, row_key string, features array<double>")
+    key = lambda df: {(r.method, r.param, r.dataset_id): r.value for r in df.collect()}
+    want = key(moments.sweep(S.second_moment(rows, 3, "dataset_id"), rows, 3, [6], moments.rank_mean_error, steps=5))
+    found, states = moments.scanned(rows, 3, [6], "test")
+    got = key(moments.sweep(found, None, 3, [6], moments.rank_mean_error, steps=5, states=states))
+    assert got.keys() == want.keys() and {m for m, _, _ in got} >= {"row_gaussian", "row_sparse", "row_sample", "robust", "learned"}
+    # the robust decoder's moment has rank 1 here, so its other components are any
+    assert {m for m, p, i in want if abs(got[m, p, i] - want[m, p, i]) > 1e-6} <= {"robust"}
